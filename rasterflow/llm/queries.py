@@ -7,20 +7,54 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe
+from . import avi, bpe, chat, mixing, pii, quality
 from .common import read
 
 #: Folder of the public vocabularies; a parameter of every query that needs one.
 TOKENIZERS = "/opt/tokenizers"
 
 
+def op1_avi(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document stored as a motion-JPEG AVI file and read back."""
+    return avi.digests(read(spark, sf_dir, "documents"))
+
+
+def op2_quality(spark: SparkSession, sf_dir: str, sample: int = quality.SAMPLE) -> DataFrame:
+    """Quality of every document, learnt from labels that aren't held out."""
+    docs = read(spark, sf_dir, "documents")
+    return quality.score(docs, quality.train(docs, read(spark, sf_dir, "labels"), sample))
+
+
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Personal data of every document."""
+    return pii.find(read(spark, sf_dir, "documents"))
+
+
+def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every conversation formatted, and read back from the output."""
+    probe = spark.sql("SELECT -7L AS conv_id, turn, role, :text AS text FROM VALUES (0L, 'user'), (1L, 'assistant') AS t(turn, role)", args={"text": chat.PROBE})
+    turns = read(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(probe)
+    return chat.digests(chat.conversations(chat.linear(turns)))
+
+
 def op6_bpe(spark: SparkSession, sf_dir: str, path: str = os.path.join(TOKENIZERS, "byte_bpe_50k.json")) -> DataFrame:
     """Every document encoded, and decoded from its ids."""
     return bpe.round_trip(read(spark, sf_dir, "documents"), path)
 
 
+def op8_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Words that the mix takes of every document, in order of training."""
+    docs = read(spark, sf_dir, "documents").select("doc_id", "source", "text")
+    return mixing.mix(docs).select("doc_id", "size", "source_size", "target", "taken")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_avi": op1_avi,
+    "op2_quality": op2_quality,
+    "op3_pii": op3_pii,
+    "op4_chat": op4_chat,
     "op6_bpe": op6_bpe,
+    "op8_mix": op8_mix,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op4_chat": chat.ORACLE, "op8_mix": mixing.ORACLE}
