@@ -182,5 +182,5 @@ def score(docs: DataFrame, model: Model, threshold: float = 0.7, id_col: str = "
             yield pa.RecordBatch.from_arrays([*arrays, pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32())], [*b.schema.names[:-1], "score", "predicted"])
 
     rows = docs.select(*columns, (F.coalesce(crc_of_id(id_col) % 4 == 2, F.lit(False))).alias("held_out"), F.col(text_col).alias("scored_text"))
-    schema = rows.drop("scored_text").schema.add("score", "double").add("predicted", "int")
+    schema = rows.drop("scored_text").schema.add("score", "double").add("predicted", "integer")
     return rows.mapInArrow(run, schema)
