@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import avi, bpe, chat, mixing, pii, quality
+from . import avi, bpe, chat, hmm, mixing, neighbours, pii, quality, tokens
 from .common import read
 
 #: Folder of the public vocabularies; a parameter of every query that needs one.
@@ -37,24 +37,44 @@ def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(chat.conversations(chat.linear(turns)))
 
 
+def op5_hmm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document scored by a hidden Markov model of those that aren't held out."""
+    docs = hmm.split(read(spark, sf_dir, "documents").select("doc_id", "text"))
+    return hmm.score(docs, docs.where("NOT held_out"))
+
+
 def op6_bpe(spark: SparkSession, sf_dir: str, path: str = os.path.join(TOKENIZERS, "byte_bpe_50k.json")) -> DataFrame:
     """Every document encoded, and decoded from its ids."""
     return bpe.round_trip(read(spark, sf_dir, "documents"), path)
 
 
+def op7_neighbours(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
+    """The nearest other vectors of every hundredth vector."""
+    vectors = read(spark, sf_dir, "embeddings")
+    return neighbours.search(neighbours.build(vectors), vectors.where("vec_id % 100 = 0"), k)
+
+
 def op8_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Words that the mix takes of every document, in order of training."""
     docs = read(spark, sf_dir, "documents").select("doc_id", "source", "text")
     return mixing.mix(docs).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op9_tokens(spark: SparkSession, sf_dir: str, path: str = os.path.join(TOKENIZERS, "byte_bpe_50k.json"), rule: str = "first") -> DataFrame:
+    """Tokens of every line of every document."""
+    return tokens.sections(read(spark, sf_dir, "documents"), path, rule)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_avi": op1_avi,
     "op2_quality": op2_quality,
     "op3_pii": op3_pii,
     "op4_chat": op4_chat,
+    "op5_hmm": op5_hmm,
     "op6_bpe": op6_bpe,
+    "op7_neighbours": op7_neighbours,
     "op8_mix": op8_mix,
+    "op9_tokens": op9_tokens,
 }
 
 ORACLES: dict[str, str] = {"op4_chat": chat.ORACLE, "op8_mix": mixing.ORACLE}
