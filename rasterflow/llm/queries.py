@@ -7,7 +7,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import avi, bpe, chat, hmm, mixing, neighbours, pii, quality, tokens
+from . import avi, bpe, chat, hmm, mixing, neardup, neighbours, pii, quality, tokens
 from .common import read
 
 #: Folder of the public vocabularies; a parameter of every query that needs one.
@@ -65,6 +65,11 @@ def op9_tokens(spark: SparkSession, sf_dir: str, path: str = os.path.join(TOKENI
     return tokens.sections(read(spark, sf_dir, "documents"), path, rule)
 
 
+def op10_neardup(spark: SparkSession, sf_dir: str, words: int = 2, percent: int = 80) -> DataFrame:
+    """Component of near-duplicates of every document."""
+    return neardup.components(read(spark, sf_dir, "documents"), words, percent)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_avi": op1_avi,
     "op2_quality": op2_quality,
@@ -75,6 +80,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_neighbours": op7_neighbours,
     "op8_mix": op8_mix,
     "op9_tokens": op9_tokens,
+    "op10_neardup": op10_neardup,
 }
 
-ORACLES: dict[str, str] = {"op4_chat": chat.ORACLE, "op8_mix": mixing.ORACLE}
+ORACLES: dict[str, str] = {"op4_chat": chat.ORACLE, "op8_mix": mixing.ORACLE, "op10_neardup": neardup.ORACLE}
