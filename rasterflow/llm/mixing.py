@@ -60,7 +60,7 @@ def targets(totals: DataFrame, schedules: Sequence[Schedule], budget: float, cap
     before, rest, whole = by_ratio.rowsBetween(W.unboundedPreceding, -1), by_ratio.rowsBetween(0, W.unboundedFollowing), by_ratio.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
     level = (F.lit(budget) * F.sum("source_size").over(whole) - F.coalesce(F.sum("most").over(before), F.lit(0.0))) / F.sum("weight").over(rest)
     ranked = ranked.withColumn("level_here", level)
-    ranked = ranked.withColumn("level", F.min(F.when(F.col("level_here") <= F.col("most") / F.col("weight"), F.col("level_here"))).over(whole))
+    ranked = ranked.withColumn("level", F.max(F.when(F.col("level_here") <= F.col("most") / F.col("weight"), F.col("level_here"))).over(whole))
     return ranked.select("skey", "source_size", "class", F.coalesce(F.least(F.col("most"), F.col("level") * F.col("weight")), F.col("most")).alias("target"))
 
 
@@ -108,7 +108,7 @@ t AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 r AS (SELECT *, ((row_number() OVER (ORDER BY source ASC NULLS LAST)) - 1) % 3 AS k FROM t),
 w AS (SELECT *, CASE k WHEN 0 THEN 3.0::DOUBLE WHEN 1 THEN 1.0::DOUBLE ELSE 2.0::DOUBLE END AS weight, 2.0::DOUBLE * source_size AS most FROM r),
 l AS (SELECT *, (1.5::DOUBLE * (sum(source_size) OVER ())::DOUBLE - coalesce(sum(most) OVER (ORDER BY most / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0::DOUBLE)) / sum(weight) OVER (ORDER BY most / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS here FROM w),
-g AS (SELECT *, min(CASE WHEN here <= most / weight THEN here END) OVER () AS level FROM l),
+g AS (SELECT *, max(CASE WHEN here <= most / weight THEN here END) OVER () AS level FROM l),
 s AS (SELECT source, source_size, coalesce(least(most, level * weight), most) AS target FROM g),
 c AS (SELECT d.doc_id, d.size, s.source_size, s.target, coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY d.h, d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS before,
   CASE WHEN s.source_size > 0 THEN floor(s.target / s.source_size) ELSE 0 END::BIGINT AS copies FROM d JOIN s ON d.source IS NOT DISTINCT FROM s.source)
