@@ -7,6 +7,7 @@ import tempfile
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, functions as F
@@ -102,5 +103,36 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
+#: Words of 64 bits in an id filter: 8 MB, whatever the number of ids.
+FILTER_WORDS = 1 << 20
+
+
+def id_filter(ids: DataFrame, column: str, words: int = FILTER_WORDS) -> DataFrame:
+    """One row (bits array<long>) to broadcast: a bit is set for each id's hash.
+
+    Of bounded size: with many more ids than bits it lets everything pass, and only the join after it decides.
+    """
+    spark, place = ids.sparkSession, F.pmod(F.xxhash64(F.col(column).cast("long")), F.lit(64 * words))
+    set_bits = ids.select(place.alias("p")).groupBy(F.floor(F.col("p") / 64).cast("int").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p % 64 AS INT))")).alias("b")).toArrow()
+    bits = np.zeros(words, np.int64)
+    bits[set_bits["w"].to_numpy()] = set_bits["b"].to_numpy()
+    offsets = pa.array([0, words], pa.int32())
+    return spark.createDataFrame(pa.table({"bits": pa.ListArray.from_arrays(offsets, pa.array(bits))}))
+
+
+def passing(rows: DataFrame, column: str, bits: DataFrame, words: int = FILTER_WORDS, passes: bool = True) -> DataFrame:
+    """Rows whose id may be among those of the filter (or, with passes=False, those whose id surely isn't, and null ids)."""
+    place = F.pmod(F.xxhash64(F.col(column).cast("long")), F.lit(64 * words))
+    word = F.element_at("bits", (F.floor(place / 64) + 1).cast("int"))
+    bit = F.when(F.col(column).isNull(), 0).otherwise(F.call_function("getbit", word, (place % 64).cast("int")))
+    return rows.join(F.broadcast(bits), bit == int(passes), "left_semi")
+
+
+def without(rows: DataFrame, column: str, ids: DataFrame) -> DataFrame:
+    """Rows whose id isn't in `ids`; only those that the filter can't tell apart are shuffled for the join."""
+    bits = id_filter(ids, column)
+    return passing(rows, column, bits, passes=False).unionByName(passing(rows, column, bits).join(ids.select(column).distinct(), column, "left_anti").select(*rows.columns))
+
+
 def one_line(sql: str) -> str:
     return re.sub(r"\s+", " ", sql).strip()
