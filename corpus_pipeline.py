@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from rasterflow.llm import bpe, mixing, neardup, pii, quality
-from rasterflow.llm.common import read, written
+from rasterflow.llm.common import read, without, written
 from rasterflow.llm.queries import TOKENIZERS
 from rasterflow.session import ship
 
@@ -28,8 +28,8 @@ def good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates (five words to a shingle, a similarity of 0.8)."""
     ship(spark)
-    dropped = neardup.components(docs).where("NOT kept").select("doc_id").distinct()
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    dropped = written(neardup.components(docs).where("NOT kept").select("doc_id"))
+    return without(docs, "doc_id", dropped)
 
 
 def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
