@@ -40,9 +40,7 @@ def linear(turns: DataFrame, tree: str = "conv_id", order: str = "turn", role: s
 
 def paths(nodes: DataFrame) -> DataFrame:
     """Rows (tree_key, leaf, node, up): the nodes of every root-to-leaf path; `up` counts steps above the leaf."""
-    ids = nodes.select(F.coalesce(F.col("tree").cast("string"), F.lit("")).alias("tree_key"), "node", "parent").distinct()
-    there = ids.select("tree_key", F.col("node").alias("parent")).distinct()
-    ids = written(ids)
+    ids = written(nodes.select(F.coalesce(F.col("tree").cast("string"), F.lit("")).alias("tree_key"), "node", "parent").distinct())
     there = ids.select("tree_key", F.col("node").alias("parent")).distinct()
     jump = written(ids.join(there, ["tree_key", "parent"], "left_semi").select("tree_key", "node", F.col("parent").alias("above")))
     leaves = ids.join(jump.select("tree_key", F.col("above").alias("node")).distinct(), ["tree_key", "node"], "left_anti").select("tree_key", F.col("node").alias("leaf"), "node", F.lit(0).cast("long").alias("up")).distinct()
@@ -54,6 +52,7 @@ def paths(nodes: DataFrame) -> DataFrame:
         jump = written(jump.join(jump.select("tree_key", F.col("node").alias("above"), F.col("above").alias("over")), ["tree_key", "above"]).select("tree_key", "node", F.col("over").alias("above")))
     out = leaves
     for k in reversed(range(len(jumps))):
+        out = written(out)  # else each step would double the plan
         out = out.unionByName(out.join(jumps[k], ["tree_key", "node"]).select("tree_key", "leaf", F.col("above").alias("node"), (F.col("up") + (1 << k)).alias("up")))
     return out
 
