@@ -25,7 +25,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from .common import connected, raw_texts, slices, written
+from .common import connected, id_filter, passing, raw_texts, slices, written
 
 #: Minhashes; trees of the forest and their depth; orders and depth where a region is crowded, and from what size.
 HASHES = 64
@@ -159,7 +159,7 @@ def confirmed_links(groups: DataFrame, docs: DataFrame, words: int, percent: int
     dealt = groups.join(sums.select("root", F.least(blocks, F.col("sets").cast("int")).alias("blocks")), "root")
     dealt = dealt.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     texts = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"), F.lit(words).alias("w"))
-    rows = texts.join(dealt, "node").select("node", "text", "root", "block", "blocks")
+    rows = passing(texts, "node", id_filter(groups, "node")).join(dealt, "node").select("node", "text", "root", "block", "blocks")
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     rows = rows.select("node", "text", "root", "block", other.alias("other"))
     rows = rows.select("node", "text", "root", "block", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"))
