@@ -1,6 +1,6 @@
 """Every registered query: importing the modules registers them."""
 
 from ..registry import ORACLES, QUERIES
-from . import costs
+from . import aggregates, costs, rasters
 
-__all__ = ["ORACLES", "QUERIES", "costs"]
+__all__ = ["ORACLES", "QUERIES", "aggregates", "costs", "rasters"]
