@@ -1,6 +1,6 @@
 """Every registered query: importing the modules registers them."""
 
 from ..registry import ORACLES, QUERIES
-from . import aggregates, costs, rasters
+from . import aggregates, costs, media, rasters, relational
 
-__all__ = ["ORACLES", "QUERIES", "aggregates", "costs", "rasters"]
+__all__ = ["ORACLES", "QUERIES", "aggregates", "costs", "media", "rasters", "relational"]
