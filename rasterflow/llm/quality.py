@@ -164,7 +164,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
         if x not in seen:
             seen.add(x)
             first.append(i)
-    got = got.take(first)
+    got = got.take(pa.array(first, pa.int64()))
     rows = [np.frombuffer(x, np.int32) for x in got["grams"].to_pylist()]
     return fit(rows, np.array(got["label"].to_pylist(), np.int64))
 
