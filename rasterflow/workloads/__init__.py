@@ -1,6 +1,6 @@
 """Every registered query: importing the modules registers them."""
 
 from ..registry import ORACLES, QUERIES
-from . import aggregates, costs, media, rasters, relational, streams
+from . import aggregates, costs, media, rasters, relational, streams, surround
 
-__all__ = ["ORACLES", "QUERIES", "aggregates", "costs", "media", "rasters", "relational", "streams"]
+__all__ = ["ORACLES", "QUERIES", "aggregates", "costs", "media", "rasters", "relational", "streams", "surround"]
