@@ -202,19 +202,21 @@ def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id"
 
     def scan(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         """Up to k nearest of each query within one shard of a list."""
+        if not left.num_rows or not right.num_rows:  # a list that no query visits, or an empty shard
+            kind = left.schema.field("id").type
+            return pa.table([pa.array([], kind), pa.array([], kind), pa.array([], pa.float64())], names=["query_id", "vec_id", "score"])
         q, p = (np.array(t["vector"].to_pylist(), np.float64).reshape(t.num_rows, -1) for t in (left, right))
         q_id, p_id = (t["id"].to_numpy(zero_copy_only=False) for t in (left, right))
         out: list[list[np.ndarray]] = [[], [], []]
-        if len(p):
-            for i in range(len(q)):
-                d = np.sqrt(((p - q[i]) ** 2).sum(1))
-                other = np.flatnonzero(p_id != q_id[i])
-                if len(other) > k:
-                    edge = np.partition(d[other], k - 1)[k - 1]
-                    other = other[d[other] <= edge]
-                best = other[np.lexsort((p_id[other], d[other]))[:k]]
-                for store, x in zip(out, (np.full(len(best), q_id[i]), p_id[best], d[best]), strict=True):
-                    store.append(x)
+        for i in range(len(q)):
+            d = np.sqrt(((p - q[i]) ** 2).sum(1))
+            other = np.flatnonzero(p_id != q_id[i])
+            if len(other) > k:
+                edge = np.partition(d[other], k - 1)[k - 1]
+                other = other[d[other] <= edge]
+            best = other[np.lexsort((p_id[other], d[other]))[:k]]
+            for store, x in zip(out, (np.full(len(best), q_id[i]), p_id[best], d[best]), strict=True):
+                store.append(x)
         a, b, c = (np.concatenate([*x, np.empty(0, q_id.dtype if j < 2 else np.float64)]) for j, x in enumerate(out))
         return pa.table([pa.array(a, left.schema.field("id").type), pa.array(b, left.schema.field("id").type), pa.array(c, pa.float64())], names=["query_id", "vec_id", "score"])
 
