@@ -20,12 +20,13 @@ from . import codec
 
 @dataclass(frozen=True)
 class Runtime:
-    """threads: decoders beside the consumer (0: none, decode and score in turn)."""
+    """threads: decoders beside the consumer (0: none, decode and score in turn); work: times that the model runs, to stand for a deeper one."""
 
     threads: int = 1
     batch: int = 64
     depth: int = 4
     reuse: bool = True
+    work: int = 1
 
 
 @dataclass
@@ -106,7 +107,8 @@ def infer(rows: DataFrame, model: Softmax, runtime: Runtime = Runtime(), deblock
             return b, x, errors
 
         def result(b: pa.RecordBatch, x: np.ndarray, errors: list[str | None]) -> pa.RecordBatch:
-            p = model.scores(x[: b.num_rows])
+            for _ in range(runtime.work):
+                p = model.scores(x[: b.num_rows])
             if runtime.reuse:
                 pool.put(x)
             best = p.argmax(1)

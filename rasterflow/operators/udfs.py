@@ -63,7 +63,9 @@ def compared(left: DataFrame, right: DataFrame) -> DataFrame:
     """Two renditions of the same item side by side (cogroup): bytes of each."""
 
     def both(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"raster_id": [int(a.raster_id.iloc[0] if len(a) else b.raster_id.iloc[0])], "left_bytes": [int(a.n_bytes.sum()) if len(a) else 0], "right_bytes": [int(b.n_bytes.sum()) if len(b) else 0]})
+        key = a["raster_id"] if len(a) else b["item"]
+        return pd.DataFrame({"raster_id": [int(key.iloc[0])], "left_bytes": [int(a["n_bytes"].sum()) if len(a) else 0], "right_bytes": [int(b["bytes"].sum()) if len(b) else 0]})
 
-    k = ["raster_id", "n_bytes"]
-    return left.select(*k).groupBy("raster_id").cogroup(right.select(*k).groupBy("raster_id")).applyInPandas(both, "raster_id long, left_bytes long, right_bytes long")
+    a = left.select("raster_id", "n_bytes")
+    b = right.select(F.col("raster_id").alias("item"), F.col("n_bytes").alias("bytes"))
+    return a.groupBy("raster_id").cogroup(b.groupBy("item")).applyInPandas(both, "raster_id long, left_bytes long, right_bytes long")

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions import cost
 from ..operators import codec, inference as I
-from ..plans import select
+from ..plans import profile, select
 from ..registry import query
 from ..sources.rasters import text_blobs
 
@@ -168,3 +168,19 @@ def breakdown(spark, sf):
     s = I.renditions(held, ("full",)).select("payload").mapInArrow(go, "n long, decode double, features double, score double")
     per = lambda c: (F.sum(c) / F.sum("n") * 1e6).alias(c)
     return s.agg(F.sum("n").alias("n"), per("decode"), per("features"), per("score"))
+
+
+@query("c6_profile")
+def measured(spark, sf):
+    """Stage rates measured here, in three regimes, with the three estimates and their errors."""
+    own, held = split(spark, sf)
+    m = I.train(own, I.BINS["res50"])
+    rows = I.renditions(held, ("full",)).persist()
+    out = []
+    for name, work in (("pre_bound", 1), ("middle", 40), ("exec_bound", 400)):
+        r = profile.measure(rows, m, I.Runtime(work=work))
+        pre, ex, real = r["pre"], r["exec"], r["measured"]
+        est = {"pipelined": min(pre, ex), "additive": 1 / (1 / pre + 1 / ex), "exec_only": ex}
+        out += [(name, int(r["n"]), pre, ex, real, k, v, abs(v - real) / real) for k, v in est.items()]
+    rows.unpersist()
+    return spark.createDataFrame(out, "config string, n long, pre double, exec double, measured double, estimator string, est double, error double")
