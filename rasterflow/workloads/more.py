@@ -117,7 +117,7 @@ def t2(spark, sf):
 
 
 SESSIONS = """SELECT user_id, count(*) AS sessions, max(n)::BIGINT AS longest FROM (SELECT user_id, s, count(*) AS n FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM
- (SELECT *, (ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE)::INT AS new FROM events)) GROUP BY 1, 2) GROUP BY 1"""
+ (SELECT *, coalesce((ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE)::INT, 0) AS new FROM events)) GROUP BY 1, 2) GROUP BY 1"""
 
 
 @query("st4_sessions")
