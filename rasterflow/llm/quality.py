@@ -137,8 +137,8 @@ def fit(rows: list[np.ndarray], labels: np.ndarray, c: float = 4.0, kept: float
     ratio = log_ratio(own, own_y)
     values = []
     for r in own:
-        v = ratio[r].astype(np.float64)
-        values.append(v / (np.linalg.norm(v) or 1.0))
+        v = ratio[r]
+        values.append(v / np.float32(np.linalg.norm(v) or 1.0))
     w, bias = coordinate_descent(own, values, own_y, np.full(len(own), c))
     w = (1 - kept) * np.abs(w[w != 0]).mean() + kept * w if (w != 0).any() else w
     model = Model(ratio, w.astype(np.float32), bias, 1.0, 0.0)
@@ -158,15 +158,20 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
 
     chosen = docs.select(id_col, text_col).join(F.broadcast(known), id_col).select(id_col, "label", text_col)  # `sample` rows at most
     kind = docs.schema[id_col].dataType.simpleString()
-    got = chosen.mapInArrow(run, f"id {kind}, label int, grams binary").toArrow().sort_by("id")
-    seen, first = set(), []
-    for i, x in enumerate(got["id"].to_pylist()):
-        if x not in seen:
-            seen.add(x)
-            first.append(i)
-    got = got.take(pa.array(first, pa.int64()))
-    rows = [np.frombuffer(x, np.int32) for x in got["grams"].to_pylist()]
-    return fit(rows, np.array(got["label"].to_pylist(), np.int64))
+    got = chosen.mapInArrow(run, f"id {kind}, label int, grams binary").toArrow().combine_chunks()
+    if not got.num_rows:
+        return fit([], np.empty(0, np.int64))
+    # views of one buffer, in the order of ids: the sample is in the driver's memory once
+    ids, (column,) = got["id"].to_pylist(), got["grams"].chunks
+    _, offsets, data = column.buffers()
+    at = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1] // 4
+    flat = np.frombuffer(data, np.int32) if data is not None and data.size else np.empty(0, np.int32)
+    first: dict[int, int] = {}
+    for i, x in enumerate(ids):
+        first.setdefault(x, i)
+    order = [first[x] for x in sorted(first)]
+    labels_ = got["label"].to_numpy()
+    return fit([flat[at[i] : at[i + 1]] for i in order], labels_[order].astype(np.int64))
 
 
 def score(docs: DataFrame, model: Model, threshold: float = 0.7, id_col: str = "doc_id", text_col: str = "text", keep_columns: bool = False) -> DataFrame:
