@@ -103,8 +103,8 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-#: Words of 64 bits in an id filter: 8 MB, whatever the number of ids.
-FILTER_WORDS = 1 << 20
+#: Words of 64 bits in an id filter: 2 MB, whatever the number of ids.
+FILTER_WORDS = 1 << 18
 
 
 def id_filter(ids: DataFrame, column: str, words: int = FILTER_WORDS) -> DataFrame:
