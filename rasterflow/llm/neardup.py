@@ -3,9 +3,9 @@
 Documents are sets of distinct word shingles.  Those with equal sets collapse to one representative first.  Each tree
 of the forest orders representatives by its own sequence of minhashes; documents whose longest common prefix in an
 order reaches the depth of the region are candidates.  The depth is DEPTH where few share a prefix; where more than
-CROWD do, the region is ordered anew by DEEP longer orders of depth DEEPER, drawn from all minhashes, so that text
-that many documents share doesn't tie them together.  Candidates' whole texts then meet, and links are confirmed on
-full sets.
+CROWD do, its members' texts are read again and ordered by DEEP longer orders of depth DEEPER, each of minhashes of
+its own, so that text that many documents share doesn't tie them together.  Candidates' whole texts then meet, and
+links are confirmed on full sets.
 
 Candidates are kept as connected groups, not as pairs.  A group that is too large for one task is cut into blocks by
 hash, and every two blocks meet in a task, so no candidate is dropped; within a task, inverted lists give the
@@ -28,9 +28,10 @@ from pyspark.sql import DataFrame, functions as F
 from .common import connected, id_filter, passing, raw_texts, slices, written
 
 #: Minhashes; trees of the forest and their depth; orders and depth where a region is crowded, and from what size.
+#: No two orders share a minhash: at 0.8, (1 - 0.8^3)^20 = 5.9e-7 is missed by the trees and (1 - 0.8^6)^50 = 2.5e-7 in crowds.
 HASHES = 64
 TREES, DEPTH = 20, 3
-DEEP, DEEPER = 40, 6
+DEEP, DEEPER = 50, 6
 CROWD = 64
 #: Sets and shingles that a block should hold; a larger group meets block by block.
 BLOCK_SETS, BLOCK_SHINGLES = 1024, 1 << 20
@@ -39,7 +40,9 @@ _rng = np.random.default_rng(20240607)
 MULTIPLY = _rng.integers(0, 1 << 63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 ADD = _rng.integers(0, 1 << 63, HASHES, dtype=np.uint64)
 ORDERS = np.arange(TREES * DEPTH).reshape(TREES, DEPTH)
-DEEP_ORDERS = np.stack([_rng.permutation(HASHES)[:DEEPER] for _ in range(DEEP)])
+DEEP_MULTIPLY = _rng.integers(0, 1 << 63, DEEP * DEEPER, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+DEEP_ADD = _rng.integers(0, 1 << 63, DEEP * DEEPER, dtype=np.uint64)
+DEEP_ORDERS = np.arange(DEEP * DEEPER).reshape(DEEP, DEEPER)
 
 
 def shingles(text: bytes, words: int) -> np.ndarray:
@@ -57,10 +60,10 @@ def shingles(text: bytes, words: int) -> np.ndarray:
     return out[np.concatenate(([True], out[1:] != out[:-1]))]
 
 
-def minhashes(s: np.ndarray) -> np.ndarray:
-    low = np.full(HASHES, np.uint64(2**64 - 1))
-    for i in range(0, len(s), 4096):
-        low = np.minimum(low, (s[i : i + 4096, None] * MULTIPLY + ADD).min(0))
+def minhashes(s: np.ndarray, multiply: np.ndarray = MULTIPLY, add: np.ndarray = ADD) -> np.ndarray:
+    low, step = np.full(len(multiply), np.uint64(2**64 - 1)), (1 << 18) // len(multiply)
+    for i in range(0, len(s), step):
+        low = np.minimum(low, (s[i : i + step, None] * multiply + add).min(0))
     return (low >> np.uint64(32)).astype(np.uint32)
 
 
@@ -100,14 +103,31 @@ def keyed(representatives: DataFrame, orders: np.ndarray, salt: int) -> DataFram
     return representatives.select("rep", "signature").mapInArrow(run, "key long, rep long")
 
 
-def candidate_links(representatives: DataFrame) -> DataFrame:
+def deep_keyed(crowded: DataFrame, docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
+    """Rows (key, rep), one for each deep order of the representatives in `crowded`, from their texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches):
+            sets = [shingles(x, words) for x in raw_texts(b)]
+            keys = [prefixes(minhashes(s, DEEP_MULTIPLY, DEEP_ADD), DEEP_ORDERS, 1) if len(s) else np.empty(0, np.int64) for s in sets]
+            at = np.repeat(np.arange(b.num_rows), [len(k) for k in keys])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*keys, np.empty(0, np.int64)])), b.column(0).take(pa.array(at))], ["key", "rep"])
+
+    texts = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).alias("text"))
+    rows = passing(texts, "rep", id_filter(crowded, "rep")).join(crowded, "rep", "left_semi")
+    return rows.select("rep", "text").mapInArrow(run, "key long, rep long")
+
+
+def candidate_links(representatives: DataFrame, docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
     """Rows (a, b): each representative with the first of every region that it is in."""
     keys = keyed(representatives, ORDERS, 0)
     regions = written(keys.groupBy("key").agg(F.count("*").alias("n"), F.min("rep").alias("first")).where("n > 1"))
     placed = written(keys.join(regions, "key").select("rep", "first", "n"))
     near = placed.where(F.col("n") <= CROWD).where("rep <> first").select(F.col("rep").alias("a"), F.col("first").alias("b"))
-    crowded = representatives.join(placed.where(F.col("n") > CROWD).select("rep").distinct(), "rep", "left_semi")
-    keys = keyed(crowded, DEEP_ORDERS, 1)
+    crowded = written(placed.where(F.col("n") > CROWD).select("rep").distinct())
+    if crowded.isEmpty():
+        return near.distinct()
+    keys = written(deep_keyed(crowded, docs, words, id_col, text_col))
     regions = keys.groupBy("key").agg(F.count("*").alias("n"), F.min("rep").alias("first")).where("n > 1")
     deep = keys.join(regions, "key").where("rep <> first").select(F.col("rep").alias("a"), F.col("first").alias("b"))
     return near.unionByName(deep).distinct()
@@ -188,7 +208,7 @@ def components(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str =
     classes = written(classes)
     chosen = base.join(classes.select(F.col("class"), F.col("rep").alias("id")), ["class", "id"], "left_semi")
     representatives = written(chosen.dropDuplicates(["id", "class"]).select(F.col("id").alias("rep"), "n_shingles", "signature"))
-    groups = connected(candidate_links(representatives))
+    groups = connected(candidate_links(representatives, docs, words, id_col, text_col))
     sized = groups.join(representatives.groupBy("rep").agg(F.max("n_shingles").alias("n_shingles")).withColumnRenamed("rep", "node"), "node")
     links = confirmed_links(written(sized), docs, words, percent, id_col, text_col)
     roots = connected(links)

@@ -310,3 +310,29 @@ def test_near_duplicates_equal_brute_force(spark, words, monkeypatch):
     got = {x["doc_id"]: (x["n_shingles"], x["component_id"]) for x in neardup.components(d, words).collect()}
     assert got == brute_components(rows, words)
     assert neardup.components(d.limit(0), words).count() == 0
+
+
+def test_near_duplicates_in_crowds_at_the_threshold(spark, monkeypatch):
+    rows = []
+    for i in (0, 1, 550, 899, 1169, 2147, 2516, 3993, 4680, 6107):  # exactly 0.8; from 550 on, missed by orders that shared 64 minhashes
+        common = [f"w{i}x{j}" for j in range(8)]
+        rows += [(2 * i, " ".join([*common, f"a{i}"])), (2 * i + 1, " ".join([*common, f"b{i}"]))]
+    monkeypatch.setattr(neardup, "CROWD", 1)  # every region is a crowd
+    got = neardup.components(spark.createDataFrame(rows, "doc_id long, text string"), 1).collect()
+    assert [r["doc_id"] for r in got if r["component_id"] != r["doc_id"] // 2 * 2] == []
+
+
+def test_near_duplicates_with_shared_passages_equal_brute_force(spark, monkeypatch):
+    rng = random.Random(11)
+    passage = " ".join(f"p{i}" for i in range(40))
+    rows = []
+    for i in range(60):
+        own = [f"o{i}x{j}" for j in range(30)]
+        rows.append((len(rows), " ".join([passage, *own])))
+        if i % 3 == 0:
+            own[rng.randrange(30)] = "changed"
+            rows.append((len(rows), " ".join([passage, *own])))
+    monkeypatch.setattr(neardup, "CROWD", 8)
+    want = brute_components(rows, 2)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in neardup.components(spark.createDataFrame(rows, "doc_id long, text string"), 2).collect()}
+    assert got == want
