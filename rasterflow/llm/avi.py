@@ -6,7 +6,8 @@ decoder reads back without loss.  The decoder takes any baseline frame with Huff
 components); frames with equal headers advance together, one symbol of each at a step.
 
 Shots: the total variation between the grey histograms of neighbouring frames is compared with a threshold that
-adapts to the differences before it (mean and deviation of a window, above a floor).
+adapts to the differences before it (mean and deviation of a window without the cuts in it, above a floor; the first
+difference is compared with the floor alone).
 
 Null text: empty; an empty text is one frame of padding; equal texts give equal media.  Null media give no clips;
 damaged media give one row with an error.  Repeated rows are stored one by one; an empty table gives no rows; other
@@ -358,13 +359,14 @@ def shots(histogram: np.ndarray) -> list[tuple[int, int, float]]:
     if not n:
         return []
     d = np.concatenate([[0.0], np.abs(np.diff(histogram, axis=0)).sum(1) / 2])
-    c, q = np.concatenate([[0.0], np.cumsum(d)]), np.concatenate([[0.0], np.cumsum(d * d)])
-    t = np.arange(n)
-    first = np.maximum(1, t - WINDOW)
-    m = np.maximum(t - first, 1)
-    mean = np.where(t > first, (c[t] - c[first]) / m, 0.0)
-    spread = np.sqrt(np.maximum(np.where(t > first, (q[t] - q[first]) / m, 0.0) - mean**2, 0.0))
-    cuts = np.flatnonzero((d > FLOOR) & (t > first) & (d > mean + DEVIATIONS * np.maximum(spread, 1e-3)))
+    cut = np.zeros(n, bool)
+    for t in np.flatnonzero(d > FLOOR).tolist():
+        before = slice(max(1, t - WINDOW), t)
+        kept = d[before][~cut[before]]
+        if not len(kept):  # nothing but cuts: with these, so that steady noise isn't cut at each frame
+            kept = d[before]
+        cut[t] = not len(kept) or d[t] > kept.mean() + DEVIATIONS * max(kept.std(), 1e-3)
+    cuts = np.flatnonzero(cut)
     starts = [0, *cuts.tolist()]
     return [(a, b, float(d[a])) for a, b in zip(starts, [*starts[1:], n], strict=True)]
 

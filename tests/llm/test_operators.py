@@ -78,6 +78,26 @@ def test_shots():
     assert avi.shots(np.zeros((0, 16))) == []
 
 
+def cuts_of(differences):
+    """Starts of shots where frames 1, 2, ... differ so much from the one before."""
+    h = np.concatenate([[0.0], np.cumsum([x * (-1) ** i for i, x in enumerate(differences)])])
+    return [a for a, _, _ in avi.shots(np.stack([h, 1 - h], 1))]
+
+
+def test_shots_in_quick_series():
+    for every in (3, 4, 5, 6):
+        at = list(range(every, 60, every))
+        assert cuts_of([0.9 if t in at else 0.0 for t in range(1, 60)]) == [0, *at]
+    assert cuts_of([{10: 1.0, 14: 0.5, 20: 0.6}.get(t, 0.0) for t in range(1, 40)]) == [0, 10, 14, 20]
+
+
+def test_shots_at_the_first_frame():
+    assert cuts_of([0.9]) == [0, 1]
+    assert cuts_of([0.05]) == [0]
+    assert cuts_of([0.9, *[0.0] * 20]) == [0, 1]
+    assert cuts_of([0.2] * 40) == [0, 1]  # steady noise
+
+
 def test_quality_separates_and_handles_edges(spark):
     r = random.Random(2)
     good = [" ".join(r.choice(["the", "of", "and", "rain", "fell"]) for _ in range(30)) for _ in range(150)]
