@@ -4,7 +4,8 @@ Centroids are fitted on a bounded sample by k-means whose oversized clusters are
 (each linked to its nearest).  The search ratio is set on the sample too.  A vector goes to the lists of its nearest centroids: all whose distance is within a
 ratio of the least, REPLICAS at most, so vectors near a boundary are found from both sides.  A query walks the graph,
 keeps the centroids within a distance ratio, and scans their lists exactly, in double precision on the original
-vectors.  A list with more than LIST rows is dealt over shards by hash, so that copies of one vector don't meet in one
+vectors.  Where these don't surely hold as many other ids as are asked for, its nearest lists that do are found by
+comparing all centroids, and the ratio counts from the last of them; all lists are the last resort.  A list with more than LIST rows is dealt over shards by hash, so that copies of one vector don't meet in one
 task; a query visits every shard.
 
 Vectors that are null, zero, or hold null or non-finite components take no part, nor do those of another length than
@@ -15,7 +16,7 @@ with its own id).  Fewer candidates than asked for: all of them.  An empty table
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +42,7 @@ class Graph:
     entries: np.ndarray
     ratio: float = 1.2  # lists whose centroid is within this ratio of the nearest centroid's distance are searched
     lists: int = 16  # most lists that this takes, with a margin
+    homes: np.ndarray | None = None  # ids by list, each counted in one list only
 
     def nearest(self, x: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
         """The `width` nearest centroids found for each row, nearest first, and their distances.
@@ -71,6 +73,25 @@ class Graph:
                 break
         return beam, dist
 
+    def visited(self, x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Pairs (row, list) to search for k ids and the row's own."""
+        found, d = self.nearest(x, self.lists)
+        keep = (d <= self.ratio * np.maximum(d[:, :1], 1e-12) + 1e-12) & np.isfinite(d)
+        short = np.flatnonzero((self.homes[found] * keep).sum(1) <= k)
+        keep[short] = False
+        at, which = np.nonzero(keep)
+        rows, lists = [at], [found[at, which]]
+        for i in short.tolist():
+            far = np.sqrt(((self.centroids - x[i]) ** 2).sum(1))
+            order = np.argsort(far, kind="stable")
+            enough = int(np.searchsorted(np.cumsum(self.homes[order]), k + 1)) + 1
+            edge = far[order[min(enough, len(order)) - 1]]
+            within = int((far <= self.ratio * max(edge, 1e-12) + 1e-12).sum())
+            take = order[: max(enough, min(within, self.lists))]
+            rows.append(np.full(len(take), i))
+            lists.append(take)
+        return np.concatenate(rows), np.concatenate(lists)
+
 
 def balanced_centroids(x: np.ndarray, k: int, seed: int = 0) -> np.ndarray:
     """k-means centres; clusters much larger than the mean are split in two and the smallest are given up for them."""
@@ -171,13 +192,16 @@ def build(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding",
                 keep = d <= REPLICA_RATIO * d[:, :1] + 1e-12
                 keep[:, REPLICAS:] = False
                 at, which = np.nonzero(keep)
-                yield pa.RecordBatch.from_arrays([pa.array(found[at, which].astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at))], ["list", "id", "vector"])
+                yield pa.RecordBatch.from_arrays([pa.array(found[at, which].astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), pa.array(which == 0)], ["list", "id", "vector", "home"])
 
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
-    postings = written(rows.mapInArrow(assign, f"list int, id {kinds['id']}, vector {kinds['vector']}"))
+    postings = written(rows.mapInArrow(assign, f"list int, id {kinds['id']}, vector {kinds['vector']}, home boolean"))
+    homes = np.zeros(len(graph.value.centroids), np.int64)
+    for h in postings.where("home").groupBy("id").agg(F.min("list").alias("list")).groupBy("list").count().collect():  # CENTROIDS rows at most
+        homes[h["list"]] = h["count"]
     shards = postings.groupBy("list").agg(F.ceil(F.count("*") / LIST).cast("int").alias("shards"))
     dealt = postings.join(F.broadcast(shards), "list").withColumn("shard", F.pmod(F.xxhash64("id"), F.col("shards")).cast("int"))  # CENTROIDS rows at most
-    return Index(graph.value, dealt.select("list", "shard", "id", "vector"), shards)
+    return Index(replace(graph.value, homes=homes), dealt.select("list", "shard", "id", "vector"), shards)
 
 
 def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
@@ -193,9 +217,8 @@ def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id"
             for i in range(0, whole.num_rows, 256):
                 b = whole.slice(i, 256)
                 x = np.array(b.column(1).to_pylist(), np.float64).reshape(b.num_rows, -1)
-                found, d = g.nearest(x, g.lists)
-                at, which = np.nonzero((d <= g.ratio * d[:, :1] + 1e-12) & np.isfinite(d))
-                yield pa.RecordBatch.from_arrays([pa.array(found[at, which].astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at))], ["list", "id", "vector"])
+                at, lists = g.visited(x, k)
+                yield pa.RecordBatch.from_arrays([pa.array(lists.astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at))], ["list", "id", "vector"])
 
     asked = rows.mapInArrow(visit, f"list int, id {kinds['id']}, vector {kinds['vector']}")
     asked = asked.join(F.broadcast(index.shards), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"), "id", "vector")

@@ -245,6 +245,27 @@ def test_neighbours_recall_and_ties(spark):
     assert neighbours.search(neighbours.build(none), none).count() == 0
 
 
+def test_neighbours_of_isolated_vectors_and_small_groups(spark, monkeypatch):
+    rng = np.random.default_rng(5)
+    x = [v for v in rng.standard_normal((1200, 8))]
+    asked = []
+    for g in range(1, 10):  # a vector alone and groups of 2 to 9 copies, far from all others
+        far = 50.0 * g * np.eye(8)[g % 8] * (-1) ** g
+        asked.append(len(x))
+        x += [far] * g
+    d = spark.createDataFrame([(i, [float(c) for c in v]) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    planted, fitted = np.array([x[i] for i in asked]), neighbours.balanced_centroids
+    monkeypatch.setattr(neighbours, "LIST", 64)
+    monkeypatch.setattr(neighbours, "balanced_centroids", lambda x, k: np.concatenate([fitted(x, k)[: k - len(planted)], planted]))
+    got = defaultdict(list)
+    index = neighbours.build(d)
+    for r in neighbours.search(index, d.where(d.vec_id.isin(asked))).orderBy("query_id", "rank").collect():
+        got[r["query_id"]].append(r["vec_id"])
+    assert {i: len(got[i]) for i in asked} == {i: 10 for i in asked}
+    for g, i in enumerate(asked, 1):
+        assert got[i][: g - 1] == list(range(i + 1, i + g))
+
+
 def water(sizes, weights, budget, cap):
     target, left, open_ = dict.fromkeys(sizes, 0.0), budget * sum(sizes.values()), set(sizes)
     while left > 1e-9 and open_:
