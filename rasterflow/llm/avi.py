@@ -26,7 +26,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import raw_texts, slices
+from .common import raw_texts, settled, slices
 
 FRAME = 576
 SIDE = 24
@@ -410,7 +410,7 @@ def media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(store([payload_of(x) for x in raw_texts(b, text_col)]), pa.binary())], [id_col, "media"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, media binary")
+    return docs.select(id_col, text_col).mapInArrow(settled(run), f"{id_col} {kind}, media binary")
 
 
 def clips(media: DataFrame, id_col: str = "doc_id", media_col: str = "media") -> DataFrame:
@@ -435,7 +435,7 @@ def clips(media: DataFrame, id_col: str = "doc_id", media_col: str = "media") ->
             yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at, pa.int64())), *[pa.array(c, t) for c, t in zip(columns, types, strict=True)]], [id_col, *names])
 
     kind = media.schema[id_col].dataType.simpleString()
-    return media.select(id_col, media_col).mapInArrow(run, f"{id_col} {kind}, clip int, first_frame long, end_frame long, start_s double, end_s double, difference double, error string")
+    return media.select(id_col, media_col).mapInArrow(settled(run), f"{id_col} {kind}, clip int, first_frame long, end_frame long, start_s double, end_s double, difference double, error string")
 
 
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -454,4 +454,4 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)]], [id_col, *names])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return docs.select(id_col, text_col).mapInArrow(settled(run), f"{id_col} {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")

@@ -23,11 +23,15 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .common import slices, texts
+from .common import settled, slices, texts
 
 SHORT = 64
-#: Words and pieces kept by a worker; beyond that its memory starts anew.
-REMEMBERED = 300_000
+#: Bytes that the words and pieces a worker has seen may take, all memories together; beyond that they are forgotten.
+REMEMBERED = 24 << 20
+#: Pieces of more characters than this are forgotten after their slice of texts.
+BRIEF = 64
+#: Bytes of text in a slice: what a slice adds to the memories is bounded by it.
+SLICE = 1 << 20
 #: Fixed value: the public pattern that splits text before the merges.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 NEVER = np.int32(2**31 - 1)
@@ -69,6 +73,9 @@ class RankArrayBPE:
         self.special = special
         self.split_special = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
         self.kind = np.dtype("<u2" if n <= 1 << 16 else "<u4")
+        self.pair_ranks: dict[int, int] | None = None  # for long words, made when the first comes
+        self.held = 0  # bytes of the memories, about
+        self.passing: list[tuple[dict[str, bytes], str]] = []  # what goes after this slice
         self.words: dict[str, bytes] = {}
         self.odd: dict[str, bytes] = {}  # pieces of texts with other white space beside a space
         self.opening: dict[str, bytes] = {}  # pieces at the start of a text
@@ -122,7 +129,9 @@ class RankArrayBPE:
         ids = self.first_ids[np.frombuffer(word, np.uint8)].tolist()
         n = len(ids)
         after, before = [*range(1, n), -1], [-1, *range(n - 1)]
-        known = dict(zip(self.keys.tolist(), self.ranks.tolist(), strict=True))
+        if self.pair_ranks is None:
+            self.pair_ranks = dict(zip(self.keys.tolist(), self.ranks.tolist(), strict=True))
+        known = self.pair_ranks
         rank = lambda i, j: known.get(ids[i] << 20 | ids[j])
         heap = [(k, i, ids[i], ids[i + 1]) for i in range(n - 1) if (k := rank(i, i + 1)) is not None]
         heapq.heapify(heap)
@@ -159,14 +168,28 @@ class RankArrayBPE:
     def _fill(self, memory: dict[str, bytes], missing: list[str], lead: str) -> None:
         """Remember pieces: a space (or nothing) and what follows it."""
         whole = [p for p in missing if p.isalpha()]  # these are single words
-        memory.update(zip(whole, self.encode_words([lead + p for p in whole]), strict=True))
+        self._keep(memory, whole, self.encode_words([lead + p for p in whole]))
         rest = [p for p in missing if not p.isalpha()]
         parts = [self.split_words(lead + p) for p in rest]
         new = list({w for ws in parts for w in ws} - self.words.keys())
-        self.words.update(zip(new, self.encode_words(new), strict=True))
+        self._keep(self.words, new, self.encode_words(new))
         get = self.words.__getitem__
-        for p, ws in zip(rest, parts, strict=True):
-            memory[p] = b"".join(map(get, ws))
+        self._keep(memory, rest, [b"".join(map(get, ws)) for ws in parts])
+
+    def _keep(self, memory: dict[str, bytes], pieces: list[str], ids: list[bytes]) -> None:
+        memory.update(zip(pieces, ids, strict=True))
+        self.held += 250 * len(pieces) + 2 * sum(map(len, pieces)) + sum(map(len, ids))
+        self.passing += [(memory, p) for p in pieces if len(p) > BRIEF]
+
+    def forget(self, all_of_it: bool = True) -> None:
+        """Drop long pieces, and the whole of the memories if they are full (or all_of_it)."""
+        for memory, p in self.passing:
+            self.held -= 250 + 2 * len(p) + len(memory.pop(p, b""))
+        self.passing = []
+        if all_of_it or self.held > REMEMBERED:
+            for memory in (self.words, self.opening, self.spaced, self.odd):
+                memory.clear()
+            self.held = 0
 
     def _plain(self, many: list[str]) -> list[np.ndarray]:
         """Ids of texts without special tokens.
@@ -175,9 +198,6 @@ class RankArrayBPE:
         between spaces encode alone.  Where a piece is empty or touches other white space, the text is cut at the
         plain gaps only.
         """
-        for memory in (self.words, self.opening, self.spaced, self.odd):
-            if len(memory) > REMEMBERED:
-                memory.clear()
         pieces = [x.split(" ") for x in many]
         missing = list(set().union(*pieces) - self.spaced.keys())
         bad = {p for p in missing if not p or p[0].isspace() or p[-1].isspace()}
@@ -190,6 +210,7 @@ class RankArrayBPE:
         for i, p in enumerate(pieces):
             ids = b"".join(map(rare, cut[i])) if i in cut else self.opening[p[0]] + b"".join(map(get, p[1:]))
             out.append(np.frombuffer(ids, self.kind))
+        self.forget(all_of_it=False)
         return out
 
     def encode_batch(self, many: list[str]) -> list[np.ndarray]:
@@ -230,10 +251,21 @@ def loaded(spec: bytes) -> RankArrayBPE:
     """The encoder of a vocabulary, once in each worker."""
     key = hashlib.sha256(spec).hexdigest()
     if key not in _loaded:
+        _loaded.clear()
         _loaded[key] = RankArrayBPE(spec)
+    _loaded[key].forget()  # a task starts without another's words, so no worker carries them through other stages
     return _loaded[key]
 
 
+def unloaded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches; at their end the worker forgets the words that it has seen."""
+    try:
+        yield from batches
+    finally:
+        for bpe in _loaded.values():
+            bpe.forget()
+
+
 def vocabulary(path: str) -> bytes:
     """The vocabulary file (some MB), read on the driver and sent to the executors."""
     with open(path, "rb") as f:
@@ -246,13 +278,13 @@ def encode(df: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "te
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = loaded(spec.value)
-        for b in slices(batches, text_col):
+        for b in slices(unloaded(batches), text_col, SLICE):
             ids = bpe.encode_batch(texts(b, text_col))
             offsets = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(offsets, np.concatenate([*ids, np.empty(0, "<u2")]).astype(np.int32))], [id_col, "ids"])
 
     kind = df.schema[id_col].dataType.simpleString()
-    return df.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, ids array<int>")
+    return df.select(id_col, text_col).mapInArrow(settled(run), f"{id_col} {kind}, ids array<int>")
 
 
 def decode(df: DataFrame, path: str, id_col: str = "doc_id") -> DataFrame:
@@ -265,7 +297,7 @@ def decode(df: DataFrame, path: str, id_col: str = "doc_id") -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([bpe.decode(x or []) for x in b.column(1).to_pylist()], pa.string())], [id_col, "text"])
 
     kind = df.schema[id_col].dataType.simpleString()
-    return df.select(id_col, "ids").mapInArrow(run, f"{id_col} {kind}, text string")
+    return df.select(id_col, "ids").mapInArrow(settled(run), f"{id_col} {kind}, text string")
 
 
 def round_trip(df: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -275,7 +307,7 @@ def round_trip(df: DataFrame, path: str, id_col: str = "doc_id", text_col: str =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = loaded(spec.value)
         decimal = bpe.decimal.__getitem__
-        for b in slices(batches, text_col):
+        for b in slices(unloaded(batches), text_col, SLICE):
             counts, hashes, decoded = [], [], []
             for ids in bpe.encode_batch(texts(b, text_col)):
                 numbers = ids.tolist()
@@ -285,4 +317,4 @@ def round_trip(df: DataFrame, path: str, id_col: str = "doc_id", text_col: str =
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(counts, pa.int64()), pa.array(hashes, pa.string()), pa.array(decoded, pa.string())], [id_col, "n_tokens", "ids_sha256", "decoded_sha256"])
 
     kind = df.schema[id_col].dataType.simpleString()
-    return df.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return df.select(id_col, text_col).mapInArrow(settled(run), f"{id_col} {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")

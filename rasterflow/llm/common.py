@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import re
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -46,13 +49,31 @@ def raw_texts(batch: pa.RecordBatch, column: str = "text") -> list[bytes]:
     return [x or b"" for x in batch.column(column).cast(pa.binary()).to_pylist()]
 
 
+def settled(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """`run` as a task's body that gives memory back when its partition ends: the worker lives on beside those of other stages."""
+
+    def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            gc.collect()
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(AttributeError, OSError):  # only where the C library has it
+                ctypes.CDLL(None).malloc_trim(0)
+
+    return body
+
+
 def shared_folder(spark: SparkSession) -> str:
-    """A new path in the folder that driver and executors share.
+    """A new path in the folder that driver and executors share, the session's spark.checkpoint.dir.
 
-    The folder is the session's spark.checkpoint.dir; where that is unset (tests), one is made.
+    Where that is unset, a local session gets a folder of its own (tests); any other is refused, as executors couldn't
+    read a folder of the driver's machine.
     """
     base = spark.conf.get("spark.checkpoint.dir", None) or getattr(shared_folder, "own", None)
     if not base:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = shared_folder.own = tempfile.mkdtemp(prefix="shared-")
     return f"{base.rstrip('/')}/table-{uuid.uuid4().hex}"
 
@@ -69,37 +90,86 @@ def crc_of_id(column: str = "doc_id"):
     return F.crc32(F.encode(F.col(column).cast("string"), "UTF-8"))
 
 
-def only(df: DataFrame, *columns: str) -> DataFrame:
-    """Just the columns named, so that clashing extra columns don't matter."""
-    return df.select(*columns)
+#: Rows of a written table that ask together for a key's value.
+CHUNK_BITS = 12
+
+
+def chunked(rows: DataFrame) -> DataFrame:
+    """The rows, written, with a column chunk: runs of at most 2 ** CHUNK_BITS rows that lie together."""
+    return written(rows.withColumn("chunk", F.shiftright(F.monotonically_increasing_id(), CHUNK_BITS)))
+
+
+def looked_up(rows: DataFrame, key: str, table: DataFrame) -> DataFrame:
+    """Rows of a `chunked` table with what `table` (unique by key) has of their key, else null.
+
+    Each chunk asks once for each of its keys, and the answers are joined by chunk and key: a key that a third of all
+    rows share costs one row a chunk and doesn't meet in one task.
+    """
+    asked = rows.where(F.col(key).isNotNull()).select("chunk", key).distinct()
+    return rows.join(asked.join(table, key), ["chunk", key], "left")
+
+
+def roots(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Nodes of a graph on numbers that aren't the smallest of their component, and the smallest."""
+    ids, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y, root = at[: len(a)], at[len(a) :], np.arange(len(ids))
+    while True:
+        low = np.minimum(root[x], root[y])
+        new = root.copy()
+        np.minimum.at(new, root[x], low)
+        np.minimum.at(new, root[y], low)
+        while not np.array_equal(new, new[new]):
+            new = new[new]
+        if np.array_equal(new, root):
+            break
+        root = new
+    far = np.flatnonzero(root != np.arange(len(ids)))
+    return ids[far], ids[root[far]]
+
+
+#: Edges that a task joins up at once.
+FOREST = 1 << 20
 
 
 def connected(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """Components of a graph on longs: rows (node, root), root the smallest id reachable, for each node with a link.
 
-    Alternates joining every larger neighbour, then every smaller one, to the smallest of a node's neighbourhood;
-    each round is two aggregations and joins, and is written so that lineage stays short.  Rounds grow with
-    the logarithm of the graph's diameter.  Nothing is collected but one count a round.
+    Tasks first join up the edges that they hold.  Then rounds alternate: the larger end of every edge moves to the
+    least neighbour of the smaller end, and every smaller neighbour of a node to the node's least.  Each round is
+    written, so lineage stays short and lost executors cost one round; rounds grow with the logarithm of the graph's
+    diameter.  The first step asks by chunk (`looked_up`), so a hub's edges are never in one task; in the second a node
+    has at most one edge for each task of the step before.  Nothing is collected but one count a round.
     """
-    spark = edges.sparkSession
-    e = written(edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct())
 
-    def star(e: DataFrame, large: bool) -> DataFrame:
-        both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v"))) if large else e
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        joined = both.join(low, "u")
-        if large:
-            return joined.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        return joined.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v")))
+    def forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, n = [], 0
+
+        def out() -> pa.RecordBatch:
+            t = pa.Table.from_batches(held)
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in roots(t["u"].to_numpy(), t["v"].to_numpy())], ["u", "v"])
 
+        for batch in batches:
+            held.append(batch)
+            n += batch.num_rows
+            if n >= FOREST:
+                yield out()
+                held, n = [], 0
+        if n:
+            yield out()
+
+    ends = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v")
+    e = chunked(ends.mapInArrow(settled(forest), "u long, v long").distinct())
     before = None
     while True:
-        e = written(star(star(e, True).where("u <> v").distinct(), False).where("u <> v").distinct())
+        least = e.groupBy("u").agg(F.min("v").alias("m"))
+        larger = looked_up(e, "v", least.withColumnRenamed("u", "v")).select("u", F.coalesce("m", "v").alias("v")).distinct()
+        least = larger.groupBy("u").agg(F.min("v").alias("m"))
+        smaller = larger.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        e = chunked(smaller.unionByName(least.select("u", F.col("m").alias("v"))).distinct())
         state = e.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0)).alias("s")).first()
         if state == before:
             break
         before = state
-    _ = spark
     return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
@@ -133,6 +203,3 @@ def without(rows: DataFrame, column: str, ids: DataFrame) -> DataFrame:
     bits = id_filter(ids, column)
     return passing(rows, column, bits, passes=False).unionByName(passing(rows, column, bits).join(ids.select(column).distinct(), column, "left_anti").select(*rows.columns))
 
-
-def one_line(sql: str) -> str:
-    return re.sub(r"\s+", " ", sql).strip()
