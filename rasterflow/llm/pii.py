@@ -2,8 +2,8 @@
 
 One Aho-Corasick pass over a text finds anchors: at-signs, plus signs, digits, schemes and identifier cues.  From an
 anchor a deterministic parser expands to the boundaries of an email, an IP address, a card, a phone number, an account
-number, an IBAN or a login in a URL, and checks it (ranges, digit counts, check digits).  A parser never looks at a
-character of its kind twice, so long runs stay linear.
+number, an IBAN, a login in a URL or a secret that is assigned to a name, and checks it (ranges, digit counts, check
+digits).  A parser never looks at a character of its kind twice (runs are possessive), so long runs stay linear.
 
 Null text: empty, no spans.  Matches of a kind don't overlap; those of different kinds may.  Repeated rows get equal
 results; an empty table gives no rows; other columns are ignored.
@@ -19,13 +19,15 @@ import ahocorasick
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import slices, texts
+from .common import settled, slices, texts
 
 #: Kinds of the contract, then those that cues add, in the order of output.
 BASE = ("email", "ip", "card", "phone")
-ADDED = ("account", "iban", "login")
+ADDED = ("account", "iban", "login", "secret")
 #: Words before an account number or IBAN.
 CUES = ("account no", "account number", "account", "acct", "passport", "ssn", "kontonummer", "konto", "numéro de compte", "cuenta")
+#: Ends of the names that a secret is assigned to.
+SECRETS = ("token", "secret", "password", "passwd", "pwd", "api_key", "apikey", "api-key", "access_key", "private_key", "secret_key")
 
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 DOMAIN = re.compile(r"[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++").match
@@ -33,8 +35,10 @@ IP = re.compile(r"[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++").match
 DIGITS = re.compile(r"[0-9]++").match
 CARD = re.compile(r"[0-9](?:[ -]?+[0-9])++").match
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]").match
-ACCOUNT = re.compile(r"(?:[ \t]*(?:no|nr|number|nº)\b\.?)?[ \t]*[:#]?[ \t]*([0-9](?:[ -]?[0-9]){5,25})(?![0-9])", re.I).match
-IBAN = re.compile(r"[ \t]*[:#]?[ \t]*([A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30})(?![A-Za-z0-9])").match
+ACCOUNT = re.compile(r"[ \t]*+(?:(?:no|nr|number|nº)\b\.?+[ \t]*+)?+[:#]?+[ \t]*+([0-9](?:[ -]?[0-9]){5,25})(?![0-9])", re.I).match
+IBAN = re.compile(r"[ \t]*+[:#]?+[ \t]*+([A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30})(?![A-Za-z0-9])").match
+SECRET = re.compile(r"[\"']?+[ \t]*+[=:]=?>?[ \t]*+[\"']?+([A-Za-z0-9+/_=.~-]{16,}+)").match
+BEARER = re.compile(r"[ \t]++([A-Za-z0-9+/_=.~-]{16,}+)").match
 LOGIN = re.compile(r"[A-Za-z0-9._%+~-]{1,256}:[^\s@/:]{1,256}@[A-Za-z0-9.-]+").match
 
 
@@ -49,6 +53,11 @@ def automaton() -> ahocorasick.Automaton:
         for form in {cue, cue.upper(), cue.capitalize()}:
             a.add_word(form, ("cue", len(form)))
     a.add_word("IBAN", ("iban", 4))
+    for cue in SECRETS:
+        for form in {cue, cue.upper(), cue.capitalize()}:
+            a.add_word(form, ("secret", len(form)))
+    for form in ("bearer", "Bearer", "BEARER"):
+        a.add_word(form, ("bearer", 6))
     a.make_automaton()
     return a
 
@@ -76,7 +85,7 @@ class Finder:
 
     def spans(self, text: str) -> dict[str, list[tuple[int, int]]]:
         out: dict[str, list[tuple[int, int]]] = {k: [] for k in BASE + ADDED}
-        email = ip = card = phone = account = 0  # where the next match of a kind may start
+        email = ip = card = phone = account = secret = 0  # where the next match of a kind may start
         for last, (kind, size) in self.automaton.iter(text):
             if kind == "digit":
                 if last >= ip:
@@ -113,6 +122,11 @@ class Finder:
                     while start > 0 and text[start - 1].isalnum():
                         start -= 1
                     out["login"].append((start, m.end()))
+            elif kind in ("secret", "bearer"):
+                if last >= secret and (m := (SECRET if kind == "secret" else BEARER)(text, last + 1)):
+                    secret = m.end()
+                    if any("0" <= c <= "9" for c in m[1]) and any(c.isalpha() for c in m[1]):
+                        out["secret"].append(m.span(1))
             else:
                 before = last - size
                 if before >= 0 and text[before].isalnum():
@@ -145,18 +159,19 @@ def redacted(text: str, spans: dict[str, list[tuple[int, int]]]) -> str:
 
 
 def find(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows (id, n_email, n_ip, n_card, n_phone, base_sha256, spans) of every whole text; counts are of the base kinds."""
+    """Rows (id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_account, n_iban, n_login, n_secret) of every whole text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         finder = Finder()
         for b in slices(batches, text_col):
             found = [finder.spans(x) for x in texts(b, text_col)]
             counts = [pa.array([len(f[k]) for f in found], pa.int64()) for k in BASE]
+            added = [pa.array([len(f[k]) for f in found], pa.int64()) for k in ADDED]
             base = [hashlib.sha256(joined(f, BASE).encode()).hexdigest() for f in found]
-            yield pa.RecordBatch.from_arrays([b.column(0), *counts, pa.array(base, pa.string()), pa.array([joined(f, BASE + ADDED) for f in found], pa.string())], [id_col, *[f"n_{k}" for k in BASE], "base_sha256", "spans"])
+            yield pa.RecordBatch.from_arrays([b.column(0), *counts, pa.array(base, pa.string()), pa.array([joined(f, BASE + ADDED) for f in found], pa.string()), *added], [id_col, *[f"n_{k}" for k in BASE], "base_sha256", "spans", *[f"n_{k}" for k in ADDED]])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col).mapInArrow(run, f"{id_col} {kind}, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return docs.select(id_col, text_col).mapInArrow(settled(run), f"{id_col} {kind}, {', '.join(f'n_{k} long' for k in BASE)}, base_sha256 string, spans string, {', '.join(f'n_{k} long' for k in ADDED)}")
 
 
 def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
@@ -168,4 +183,4 @@ def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
             new = [None if x is None else redacted(x, finder.spans(x)) for x in b.column(text_col).to_pylist()]
             yield b.set_column(b.schema.get_field_index(text_col), text_col, pa.array(new, b.column(text_col).type))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(settled(run), docs.schema)
