@@ -18,8 +18,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .bpe import loaded, vocabulary
-from .common import slices, texts
+from .bpe import SLICE, loaded, unloaded, vocabulary
+from .common import settled, slices, texts
 
 RULES = ("first", "last", "largest", "share")
 
@@ -35,6 +35,22 @@ def lines(raw: np.ndarray) -> np.ndarray:
     return np.unique(np.concatenate([[0], ends[ends < len(raw)], [len(raw)]])) if len(raw) else np.array([0, 0])
 
 
+def cut_by(fields: list[dict] | None, n: int) -> tuple[np.ndarray, list[str | None]]:
+    """Bounds that cover a text of n code points, and the field between each two (null: none)."""
+    clipped = lambda x, other: min(max(0, other if x is None else x), n)
+    own = sorted(((clipped(f["first_char"], 0), clipped(f["end_char"], n), k, f["name"]) for k, f in enumerate(fields or []) if f is not None), key=lambda f: f[:3])
+    cuts, tags, at = [0], [], 0
+    for first, end, _, name in own:
+        if first > at:
+            cuts.append(first), tags.append(None)
+        at = max(first, at)
+        at = max(end, at)
+        cuts.append(at), tags.append(name)
+    if at < n or not tags:
+        cuts.append(n), tags.append(None)
+    return np.array(cuts), tags
+
+
 def attributed(token_end: np.ndarray, bounds: np.ndarray, rule: str = "first") -> tuple[np.ndarray, np.ndarray]:
     """Tokens of each section [bounds[i], bounds[i+1]), and how many of them cross a boundary.
 
@@ -67,8 +83,9 @@ def attributed(token_end: np.ndarray, bounds: np.ndarray, rule: str = "first") -
 def sections(docs: DataFrame, path: str, rule: str = "first", id_col: str = "doc_id", text_col: str = "text", fields_col: str | None = None) -> DataFrame:
     """Rows (id, section, name, first_char, end_char, n_tokens double, n_crossing, doc_tokens), one for each line of each document.
 
-    With fields_col, an array of (name, first_char, end_char) in order and disjoint, one row for each field, and one
-    for each gap that has characters (name null).
+    With fields_col, an array of (name, first_char, end_char), one row for each field, and one for each gap that has
+    characters (name null).  Fields are cut to the text (null bounds: its ends) and taken by their first character; one
+    that begins inside another starts at the end of it, and is empty if it ends there too.
     """
     if rule not in RULES:
         raise ValueError(f"rule must be one of {RULES}")
@@ -77,7 +94,7 @@ def sections(docs: DataFrame, path: str, rule: str = "first", id_col: str = "doc
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = loaded(spec.value)
-        for b in slices(batches, text_col, 2 << 20):
+        for b in slices(unloaded(batches), text_col, SLICE):
             many = texts(b, text_col)
             fields = b.column(2).to_pylist() if fields_col else [None] * len(many)
             out: list[list[np.ndarray]] = [[] for _ in range(8)]
@@ -86,16 +103,7 @@ def sections(docs: DataFrame, path: str, rule: str = "first", id_col: str = "doc
                 raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), np.uint8)
                 place = char_places(raw)
                 if fields_col:
-                    own = sorted((max(0, f["first_char"]), min(len(place) - 1, f["end_char"]), f["name"]) for f in named or [])
-                    cuts, tags, at = [0], [], 0
-                    for a, e, name in own:
-                        if a > at:
-                            cuts.append(a), tags.append(None)
-                        cuts.append(max(e, a)), tags.append(name)
-                        at = max(e, a)
-                    if at < len(place) - 1 or not tags:
-                        cuts.append(len(place) - 1), tags.append(None)
-                    chars = np.array(cuts)
+                    chars, tags = cut_by(named, len(place) - 1)
                     bounds = place[chars]
                 else:
                     bounds = lines(raw)
@@ -111,4 +119,4 @@ def sections(docs: DataFrame, path: str, rule: str = "first", id_col: str = "doc
             yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(cat[0].astype(np.int64))), *arrays], [id_col, *names])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(id_col, text_col, *([fields_col] if fields_col else [])).mapInArrow(run, f"{id_col} {kind}, section int, name string, first_char long, end_char long, n_tokens double, n_crossing long, doc_tokens long")
+    return docs.select(id_col, text_col, *([fields_col] if fields_col else [])).mapInArrow(settled(run), f"{id_col} {kind}, section int, name string, first_char long, end_char long, n_tokens double, n_crossing long, doc_tokens long")
