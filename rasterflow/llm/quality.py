@@ -23,7 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import crc_of_id, raw_texts, slices
+from .common import crc_of_id, raw_texts, settled, slices
 
 BITS = 18
 SIZES = (3, 5)
@@ -158,7 +158,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
 
     chosen = docs.select(id_col, text_col).join(F.broadcast(known), id_col).select(id_col, "label", text_col)  # `sample` rows at most
     kind = docs.schema[id_col].dataType.simpleString()
-    got = chosen.mapInArrow(run, f"id {kind}, label int, grams binary").toArrow().combine_chunks()
+    got = chosen.mapInArrow(settled(run), f"id {kind}, label int, grams binary").toArrow().combine_chunks()
     if not got.num_rows:
         return fit([], np.empty(0, np.int64))
     # views of one buffer, in the order of ids: the sample is in the driver's memory once
@@ -174,18 +174,28 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str
     return fit([flat[at[i] : at[i + 1]] for i in order], labels_[order].astype(np.int64))
 
 
-def score(docs: DataFrame, model: Model, threshold: float = 0.7, id_col: str = "doc_id", text_col: str = "text", keep_columns: bool = False) -> DataFrame:
-    """Rows (id, held_out, score, predicted); with keep_columns, all columns of the input and these."""
+def score(docs: DataFrame, model: Model, threshold: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows (id, held_out, score, predicted)."""
     held = docs.sparkSession.sparkContext.broadcast(model)
-    columns = [c for c in docs.columns if c not in ("held_out", "score", "predicted")] if keep_columns else [id_col]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = held.value
-        for b in slices(batches, "scored_text"):
-            s = [model.score(grams(x)) for x in raw_texts(b, "scored_text")]
-            arrays = [b.column(i) for i in range(b.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*arrays, pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32())], [*b.schema.names[:-1], "score", "predicted"])
-
-    rows = docs.select(*columns, (F.coalesce(crc_of_id(id_col) % 4 == 2, F.lit(False))).alias("held_out"), F.col(text_col).alias("scored_text"))
-    schema = rows.drop("scored_text").schema.add("score", "double").add("predicted", "integer")
-    return rows.mapInArrow(run, schema)
+        for b in slices(batches, text_col):
+            s = [model.score(grams(x)) for x in raw_texts(b, text_col)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(s, pa.float64()), pa.array([int(x >= threshold) for x in s], pa.int32())], [id_col, "held_out", "score", "predicted"])
+
+    rows = docs.select(id_col, F.coalesce(crc_of_id(id_col) % 4 == 2, F.lit(False)).alias("held_out"), text_col)
+    kind = docs.schema[id_col].dataType.simpleString()
+    return rows.mapInArrow(settled(run), f"{id_col} {kind}, held_out boolean, score double, predicted int")
+
+
+def accepted(docs: DataFrame, model: Model, threshold: float = 0.7, text_col: str = "text") -> DataFrame:
+    """The rows, all their columns as they are, whose text has a score of at least `threshold`."""
+    held = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = held.value
+        for b in slices(batches, text_col):
+            yield b.filter(pa.array([model.score(grams(x)) >= threshold for x in raw_texts(b, text_col)], pa.bool_()))
+
+    return docs.mapInArrow(settled(run), docs.schema)
