@@ -8,7 +8,8 @@ on.  Prefix sums are taken in two steps (hash buckets of a source, then document
 most of the rows is spread over all buckets.
 
 Null source: a source of its own, last.  Null or empty text: size 0, never taken.  Null doc_id: ordered first in its
-bucket.  Repeated rows are taken one by one.  An empty table gives no rows.  Other columns pass through.
+bucket.  Repeated rows are taken one by one.  An empty table gives no rows.  Other columns pass through in the struct
+`row`, whatever their names.
 """
 
 from __future__ import annotations
@@ -64,41 +65,62 @@ def targets(totals: DataFrame, schedules: Sequence[Schedule], budget: float, cap
     return ranked.select("skey", "source_size", "class", F.coalesce(F.least(F.col("most"), F.col("level") * F.col("weight")), F.col("most")).alias("target"))
 
 
-def mix(docs: DataFrame, schedules: Sequence[Schedule] = SCHEDULES, budget: float = 1.5, cap: float = 2.0, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """Each row with size, source_size, target, taken and positions (progress of each copy, in 0..1), in order of training.
+#: Documents that a bucket of a source should hold; buckets are the first 3 to 5 hex digits of md5(id).
+BUCKET = 4096
 
-    `taken` counts whole copies and a part of one; a source's sum is its target rounded down.  The rows are
-    range-partitioned and sorted by the first position (never taken: last).
+
+def placed(docs: DataFrame, schedules: Sequence[Schedule], budget: float, cap: float, id_col: str, text_col: str, source_col: str, keep: Sequence[str] | None) -> DataFrame:
+    """Rows (row, id, size, source_size, target, taken, first_position, positions), in no order.
+
+    A row's columns travel in the struct `row`, so none can clash with ours.  The buckets only divide the work: their
+    number follows that of the documents, and no result depends on it.
     """
-    own = {"skey", "bucket", "turn_key", "size", "source_size", "class", "target", "start", "before", "copies", "rest", "taken", "positions", "first_position"}
-    docs = docs.drop(*(own & set(docs.columns)))
+    digits, n = 3, docs.count()
+    while digits < 5 and n > BUCKET * 16**digits:
+        digits += 1
     key = F.coalesce(F.concat(F.lit("s"), F.col(source_col).cast("string")), F.lit("n"))
     turn = F.coalesce(F.md5(F.col(id_col).cast("string")), F.lit(""))
-    rows = docs.select("*", key.alias("skey"), turn.alias("turn_key"), size_of(text_col).alias("size")).withColumn("bucket", F.substring("turn_key", 1, 3))
-    sums = written(rows.groupBy("skey", F.col(source_col).alias("source"), "bucket").agg(F.sum("size").alias("words")))
+    rows = docs.select(F.struct(*(docs.columns if keep is None else keep)).alias("row"), F.col(id_col).alias("id"), F.col(source_col).alias("source"), key.alias("skey"), turn.alias("turn_key"), size_of(text_col).alias("size"))
+    rows = rows.withColumn("bucket", F.substring("turn_key", 1, digits))
+    sums = written(rows.groupBy("skey", "source", "bucket").agg(F.sum("size").alias("words")))
     totals = sums.groupBy("skey", "source").agg(F.sum("words").alias("source_size"))
     shares = targets(totals, schedules, budget, cap)
     starts = sums.select("skey", "bucket", F.coalesce(F.sum("words").over(W.partitionBy("skey").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("start"))
     per_bucket = starts.join(shares, "skey")
-    in_bucket = W.partitionBy("skey", "bucket").orderBy("turn_key", F.col(id_col), "size").rowsBetween(W.unboundedPreceding, -1)
-    placed = rows.join(per_bucket, ["skey", "bucket"]).withColumn("before", F.col("start") + F.coalesce(F.sum("size").over(in_bucket), F.lit(0)))
-    placed = placed.withColumn("copies", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long"))
-    placed = placed.withColumn("rest", F.floor("target") - F.col("copies") * F.col("source_size"))
+    in_bucket = W.partitionBy("skey", "bucket").orderBy("turn_key", "id", "size").rowsBetween(W.unboundedPreceding, -1)
+    out = rows.drop("source").join(per_bucket, ["skey", "bucket"]).withColumn("before", F.col("start") + F.coalesce(F.sum("size").over(in_bucket), F.lit(0)))
+    # the source's demand is a line of `target` words; a document's words lie on it at `before`, and again each source_size later
+    whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long")
+    out = out.withColumn("copies", whole).withColumn("rest", F.floor("target") - F.col("copies") * F.col("source_size"))
     part = F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), F.col("rest") - F.col("before")))
-    placed = placed.withColumn("taken", F.col("copies") * F.col("size") + part)
+    out = out.withColumn("taken", F.col("copies") * F.col("size") + part)
     n = F.when(F.col("size") > 0, F.ceil(F.col("taken") / F.col("size"))).otherwise(0).cast("int")
     share = lambda i: (i * F.col("source_size") + F.col("before")) / F.col("target")
     progress = lambda i: F.coalesce(*[F.when(F.col("class") == c, progress_at(share(i), s)) for c, s in enumerate(schedules)])
-    placed = placed.withColumn("first_position", F.when(F.col("taken") > 0, progress(F.lit(0))))
-    placed = placed.withColumn("positions", F.when(n > 0, F.transform(F.sequence(F.lit(0), n - 1), progress)).otherwise(F.array().cast("array<double>")))
-    placed = placed.drop("skey", "bucket", "turn_key", "class", "start", "before", "copies", "rest")
-    return placed.repartitionByRange(F.col("first_position").asc_nulls_last(), F.col(id_col)).sortWithinPartitions(F.col("first_position").asc_nulls_last(), F.col(id_col))
+    out = out.withColumn("first_position", F.when(F.col("taken") > 0, progress(F.lit(0))))
+    out = out.withColumn("positions", F.when(n > 0, F.transform(F.sequence(F.lit(0), n - 1), progress)).otherwise(F.array().cast("array<double>")))
+    return out.select("row", "id", "size", "source_size", "target", "taken", "first_position", "positions")
+
+
+def mix(docs: DataFrame, schedules: Sequence[Schedule] = SCHEDULES, budget: float = 1.5, cap: float = 2.0, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", keep: Sequence[str] | None = None) -> DataFrame:
+    """Rows (row, id, size, source_size, target, taken, first_position, positions), in order of training.
+
+    `row` holds the input's columns, or those in `keep`.  `taken` counts whole copies and a part of one; a source's sum
+    is its target rounded down.  `positions` has the progress 0..1 at which each copy begins.  The rows are
+    range-partitioned and sorted by the first position (never taken: last).
+    """
+    out = placed(docs, schedules, budget, cap, id_col, text_col, source_col, keep)
+    return out.repartitionByRange(F.col("first_position").asc_nulls_last(), "id").sortWithinPartitions(F.col("first_position").asc_nulls_last(), "id")
 
 
-def copies(mixed: DataFrame, text_col: str = "text", **names: str) -> DataFrame:
-    """One row for each copy that the mix takes, with its position and number; a part of a copy is a whole row."""
-    rows = mixed.select("*", F.posexplode("positions").alias("copy", "position")).drop("positions", "first_position")
-    return rows.repartitionByRange("position", F.col(names.get("id_col", "doc_id")), "copy").sortWithinPartitions("position", names.get("id_col", "doc_id"), "copy")
+def copies(docs: DataFrame, schedules: Sequence[Schedule] = SCHEDULES, budget: float = 1.5, cap: float = 2.0, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """Rows (row, position, copy), one for each copy that the mix takes, in order of training; a part of a copy is a whole row.
+
+    Whole texts cross two shuffles: to the bucket that places them, and to their range of positions.
+    """
+    out = placed(docs, schedules, budget, cap, id_col, text_col, source_col, None)
+    out = out.select("row", "id", F.posexplode("positions").alias("copy", "position"))
+    return out.repartitionByRange("position", "id", "copy").sortWithinPartitions("position", "id", "copy").select("row", "position", "copy")
 
 
 #: The op8 contract in SQL.
@@ -109,8 +131,15 @@ r AS (SELECT *, ((row_number() OVER (ORDER BY source ASC NULLS LAST)) - 1) % 3 A
 w AS (SELECT *, CASE k WHEN 0 THEN 3.0::DOUBLE WHEN 1 THEN 1.0::DOUBLE ELSE 2.0::DOUBLE END AS weight, 2.0::DOUBLE * source_size AS most FROM r),
 l AS (SELECT *, (1.5::DOUBLE * (sum(source_size) OVER ())::DOUBLE - coalesce(sum(most) OVER (ORDER BY most / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0::DOUBLE)) / sum(weight) OVER (ORDER BY most / weight, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS here FROM w),
 g AS (SELECT *, max(CASE WHEN here <= most / weight THEN here END) OVER () AS level FROM l),
-s AS (SELECT source, source_size, coalesce(least(most, level * weight), most) AS target FROM g),
-c AS (SELECT d.doc_id, d.size, s.source_size, s.target, coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY d.h, d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS before,
-  CASE WHEN s.source_size > 0 THEN floor(s.target / s.source_size) ELSE 0 END::BIGINT AS copies FROM d JOIN s ON d.source IS NOT DISTINCT FROM s.source)
-SELECT doc_id, size, source_size, target, (copies * size + greatest(0, least(size, floor(target)::BIGINT - copies * source_size - before)))::BIGINT AS taken FROM c
+s AS (SELECT source, source_size, k, coalesce(least(most, level * weight), most) AS target FROM g),
+c AS (SELECT d.doc_id, d.size, s.source_size, s.k, s.target, coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY d.h, d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS before,
+  CASE WHEN s.source_size > 0 THEN floor(s.target / s.source_size) ELSE 0 END::BIGINT AS copies FROM d JOIN s ON d.source IS NOT DISTINCT FROM s.source),
+p AS (SELECT *, (copies * size + greatest(0, least(size, floor(target)::BIGINT - copies * source_size - before)))::BIGINT AS taken FROM c),
+q AS (SELECT *, CASE WHEN size > 0 THEN ceil(taken / size) ELSE 0 END::BIGINT AS n_copies FROM p),
+a AS (SELECT *, CASE WHEN taken > 0 THEN before / target END AS first_share, CASE WHEN taken > 0 THEN ((n_copies - 1) * source_size + before) / target END AS last_share FROM q)
+SELECT doc_id, size, source_size, target, taken, n_copies, PLACE(first_share) AS first_position, PLACE(last_share) AS last_position FROM a
 """
+# progress at a share of the three schedules' integrals, by the quadratic formula
+_place = "CASE k WHEN 0 THEN CASE WHEN {x} * 3.0::DOUBLE < 3.0::DOUBLE THEN 2 * ({x} * 3.0::DOUBLE) / (4.0::DOUBLE + sqrt(greatest(0.0::DOUBLE, 16.0::DOUBLE - 4.0::DOUBLE * ({x} * 3.0::DOUBLE)))) ELSE 1.0::DOUBLE END WHEN 1 THEN CASE WHEN {x} < 1.0::DOUBLE THEN CASE WHEN {x} = 0 THEN 0.0::DOUBLE ELSE 2 * {x} / (0.5::DOUBLE + sqrt(greatest(0.0::DOUBLE, 0.25::DOUBLE + 2.0::DOUBLE * {x}))) END ELSE 1.0::DOUBLE END ELSE CASE WHEN {x} * 2.0::DOUBLE < 1.0::DOUBLE THEN 2 * ({x} * 2.0::DOUBLE) / 4.0::DOUBLE WHEN {x} * 2.0::DOUBLE < 2.0::DOUBLE THEN 0.5::DOUBLE + 2 * ({x} * 2.0::DOUBLE - 1.0::DOUBLE) / 4.0::DOUBLE ELSE 1.0::DOUBLE END END"
+for _x in ("first_share", "last_share"):
+    ORACLE = ORACLE.replace(f"PLACE({_x})", f"CASE WHEN {_x} IS NOT NULL THEN {_place.format(x=_x)} END")

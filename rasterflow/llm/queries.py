@@ -5,7 +5,7 @@ from __future__ import annotations
 import os
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from . import avi, bpe, chat, hmm, mixing, neardup, neighbours, pii, quality, tokens
 from .common import read
@@ -55,9 +55,11 @@ def op7_neighbours(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
 
 
 def op8_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Words that the mix takes of every document, in order of training."""
+    """Words that the mix takes of every document and where its copies begin, in order of training."""
     docs = read(spark, sf_dir, "documents").select("doc_id", "source", "text")
-    return mixing.mix(docs).select("doc_id", "size", "source_size", "target", "taken")
+    copies = F.size("positions")
+    last = F.when(copies > 0, F.element_at("positions", -1))
+    return mixing.mix(docs, keep=["doc_id"]).select("row.doc_id", "size", "source_size", "target", "taken", copies.cast("long").alias("n_copies"), "first_position", last.alias("last_position"))
 
 
 def op9_tokens(spark: SparkSession, sf_dir: str, path: str = os.path.join(TOKENIZERS, "byte_bpe_50k.json"), rule: str = "first") -> DataFrame:
