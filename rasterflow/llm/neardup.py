@@ -1,15 +1,18 @@
 """Near-duplicates by an LSH forest.
 
 Documents are sets of distinct word shingles.  Those with equal sets collapse to one representative first.  Each tree
-of the forest orders representatives by its own sequence of minhashes; documents whose longest common prefix in an
-order reaches the depth of the region are candidates.  The depth is DEPTH where few share a prefix; where more than
-CROWD do, its members' texts are read again and ordered by DEEP longer orders of depth DEEPER, each of minhashes of
-its own, so that text that many documents share doesn't tie them together.  Candidates' whole texts then meet, and
-links are confirmed on full sets.
-
-Candidates are kept as connected groups, not as pairs.  A group that is too large for one task is cut into blocks by
-hash, and every two blocks meet in a task, so no candidate is dropped; within a task, inverted lists give the
-intersections of a set with all others at once, and sets already connected aren't compared again.
+of the forest is a sequence of minhashes, and all representatives are range-sorted by it; neighbours whose longest
+common prefix reaches the depth of their region are candidates.  The depth is DEPTH where few share a prefix; where
+more than CROWD do, the region's members are sorted again by DEEP longer orders of depth DEEPER, each of minhashes of
+its own, so that text that many documents share doesn't tie them together and no pair gets a worse chance.  The sort
+splits large regions over tasks: members of one that touches the edge of a task go to the deep orders too, and at the
+last depth the pieces of a region are joined up.
+
+Candidates are kept as connected groups, not as pairs, and links are confirmed on full sets of whole texts.  A group
+is dealt over blocks by size of set and hash.  First each block meets by itself and with the group's first; then only
+sets that are still apart from the first's component meet the other blocks of sizes that a link allows.  No candidate
+is dropped.  Within a task, inverted lists give the intersections of a set with all others at once, and sets already
+connected aren't compared again.
 
 Null or empty text: no shingles, linked with nothing, kept.  Fewer words than a shingle takes: the whole sequence is
 one shingle.  Null id: its own component (null), kept, linked with nothing.  Rows that repeat an id are compared like
@@ -25,11 +28,10 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from .common import connected, id_filter, passing, raw_texts, slices, written
+from .common import chunked, connected, id_filter, looked_up, passing, raw_texts, settled, slices, written
 
-#: Minhashes; trees of the forest and their depth; orders and depth where a region is crowded, and from what size.
+#: Trees of the forest and their depth; orders and depth where a region is crowded, and from what size.
 #: No two orders share a minhash: at 0.8, (1 - 0.8^3)^20 = 5.9e-7 is missed by the trees and (1 - 0.8^6)^50 = 2.5e-7 in crowds.
-HASHES = 64
 TREES, DEPTH = 20, 3
 DEEP, DEEPER = 50, 6
 CROWD = 64
@@ -37,12 +39,10 @@ CROWD = 64
 BLOCK_SETS, BLOCK_SHINGLES = 1024, 1 << 20
 
 _rng = np.random.default_rng(20240607)
-MULTIPLY = _rng.integers(0, 1 << 63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-ADD = _rng.integers(0, 1 << 63, HASHES, dtype=np.uint64)
-ORDERS = np.arange(TREES * DEPTH).reshape(TREES, DEPTH)
+MULTIPLY = _rng.integers(0, 1 << 63, TREES * DEPTH, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+ADD = _rng.integers(0, 1 << 63, TREES * DEPTH, dtype=np.uint64)
 DEEP_MULTIPLY = _rng.integers(0, 1 << 63, DEEP * DEEPER, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 DEEP_ADD = _rng.integers(0, 1 << 63, DEEP * DEEPER, dtype=np.uint64)
-DEEP_ORDERS = np.arange(DEEP * DEEPER).reshape(DEEP, DEEPER)
 
 
 def shingles(text: bytes, words: int) -> np.ndarray:
@@ -67,13 +67,13 @@ def minhashes(s: np.ndarray, multiply: np.ndarray = MULTIPLY, add: np.ndarray =
     return (low >> np.uint64(32)).astype(np.uint32)
 
 
-def prefixes(signature: np.ndarray, orders: np.ndarray, salt: int) -> np.ndarray:
-    """One 64-bit key for each order: equal for signatures with a common prefix of the order's depth."""
-    key = (np.arange(len(orders)) + 1 + 1000 * salt).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93)
-    for i in range(orders.shape[1]):
-        key = (key ^ signature[orders[:, i]].astype(np.uint64)) * np.uint64(0x9E3779B97F4A7C15)
-        key ^= key >> np.uint64(29)
-    return key.view(np.int64)
+def sort_keys(signatures: np.ndarray, depth: int, salt: int) -> list[bytes]:
+    """The keys of each signature in every order: the number of the order, then its minhashes, all big-endian."""
+    orders = signatures.reshape(len(signatures), -1, depth)
+    number = np.broadcast_to(np.arange(orders.shape[1], dtype=np.uint32)[None, :, None] + np.uint32(salt), (*orders.shape[:2], 1))
+    flat = np.concatenate([number, orders], 2).astype(">u4").tobytes()
+    width = 4 * (1 + depth)
+    return [flat[i : i + width] for i in range(0, len(flat), width)]
 
 
 def described(docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
@@ -92,51 +92,110 @@ def described(docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFr
     return docs.select(F.col(id_col).cast("long").alias("id"), text_col).mapInArrow(run, "id long, n_shingles long, class binary, signature binary")
 
 
-def keyed(representatives: DataFrame, orders: np.ndarray, salt: int) -> DataFrame:
-    """Rows (key, rep), one for each order."""
+def ordered(representatives: DataFrame) -> DataFrame:
+    """Rows (key, rep): the key of each representative in each of the TREES orders."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            keys = [prefixes(np.frombuffer(x, np.uint32), orders, salt) for x in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*keys, np.empty(0, np.int64)])), b.column(0).take(pa.array(np.repeat(np.arange(b.num_rows), len(orders))))], ["key", "rep"])
+        for whole in batches:
+            for i in range(0, whole.num_rows, 2000):
+                b = whole.slice(i, 2000)
+                keys = sort_keys(np.array([np.frombuffer(x, np.uint32) for x in b.column(1).to_pylist()]), DEPTH, 0)
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column(0).take(pa.array(np.repeat(np.arange(b.num_rows), TREES)))], ["key", "rep"])
 
-    return representatives.select("rep", "signature").mapInArrow(run, "key long, rep long")
+    return representatives.select("rep", "signature").mapInArrow(settled(run), "key binary, rep long")
 
 
-def deep_keyed(crowded: DataFrame, docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
-    """Rows (key, rep), one for each deep order of the representatives in `crowded`, from their texts."""
+def ordered_deeply(crowded: DataFrame, docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
+    """Rows (key, rep): the key of the representatives in `crowded` in each of the DEEP orders, from their texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches):
             sets = [shingles(x, words) for x in raw_texts(b)]
-            keys = [prefixes(minhashes(s, DEEP_MULTIPLY, DEEP_ADD), DEEP_ORDERS, 1) if len(s) else np.empty(0, np.int64) for s in sets]
-            at = np.repeat(np.arange(b.num_rows), [len(k) for k in keys])
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([*keys, np.empty(0, np.int64)])), b.column(0).take(pa.array(at))], ["key", "rep"])
+            own = [i for i, s in enumerate(sets) if len(s)]
+            if own:
+                keys = sort_keys(np.array([minhashes(sets[i], DEEP_MULTIPLY, DEEP_ADD) for i in own]), DEEPER, TREES)
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column(0).take(pa.array(np.repeat(own, DEEP)))], ["key", "rep"])
 
     texts = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).alias("text"))
     rows = passing(texts, "rep", id_filter(crowded, "rep")).join(crowded, "rep", "left_semi")
-    return rows.select("rep", "text").mapInArrow(run, "key long, rep long")
+    return rows.select("rep", "text").mapInArrow(settled(run), "key binary, rep long")
+
+
+def regions(rows: DataFrame, depth: int, crowd: int | None) -> DataFrame:
+    """Rows (a, b, key) from rows (key, rep), sorted in ranges: a and b are neighbours in a region.
+
+    With `crowd`, b is null for members of regions of more members and of regions that touch the edge of a task.
+    Without, all neighbours are there, and `key` is given, with b null, once for each piece of such a region.
+    """
+    width, crowd_ = 1 + depth, crowd or 1 << 62
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, reps = np.empty((0, width), ">u4"), np.empty(0, np.int64)
+        first_region = True  # whether no earlier region began in this task
+
+        def out(start: np.ndarray, size: np.ndarray, edge: np.ndarray) -> pa.RecordBatch:
+            """The regions given; edge: those that may go on in another task."""
+            at = np.repeat(start, size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+            if crowd:
+                deep = np.repeat((size > crowd) | edge, size)
+                a, b = reps[at[deep]], np.empty(0, np.int64)
+                near = at[~deep]
+                near = near[~np.isin(near, start)]
+                marks: list[bytes | None] = [None] * len(a)
+            else:
+                a = reps[start[edge]]
+                near = at[~np.isin(at, start)]
+                marks = [keys[i].tobytes() for i in start[edge].tolist()]
+            a_ = pa.array(np.concatenate([reps[near], a]), pa.int64())
+            b_ = pa.array(np.concatenate([reps[near - 1], np.zeros(len(a), np.int64)]), pa.int64(), mask=np.concatenate([np.zeros(len(near), bool), np.ones(len(a), bool)]))
+            return pa.RecordBatch.from_arrays([a_, b_, pa.array([None] * len(near) + marks, pa.binary())], ["a", "b", "key"])
+
+        def bounds() -> tuple[np.ndarray, np.ndarray]:
+            start = np.flatnonzero(np.concatenate([[True], (keys[1:] != keys[:-1]).any(1)]))
+            return start, np.diff(np.append(start, len(keys)))
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            new = np.frombuffer(b"".join(batch.column(0).to_pylist()), ">u4").reshape(-1, width)
+            keys, reps = np.concatenate([keys, new]), np.concatenate([reps, batch.column(1).to_numpy()])
+            start, size = bounds()
+            last = start[-1]
+            if len(start) > 1:
+                edge = np.zeros(len(start) - 1, bool)
+                edge[0] = first_region
+                first_region = False
+                yield out(start[:-1], size[:-1], edge)
+            keys, reps = keys[last:], reps[last:]
+            if len(keys) > 1 << 16:  # a huge region: what is done of it goes out, and its last member stays for the next link
+                n = np.array([len(keys)])
+                yield out(np.array([0]), n, np.array([bool(crowd) or first_region]))
+                stay = 1 if crowd is None else min(len(keys), crowd_ + 1)
+                keys, reps = keys[-stay:], reps[-stay:]
+        if len(keys):
+            yield out(*bounds(), np.array([True]))
+
+    return rows.repartitionByRange("key", "rep").sortWithinPartitions("key", "rep").mapInArrow(settled(run), "a long, b long, key binary")
 
 
 def candidate_links(representatives: DataFrame, docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
-    """Rows (a, b): each representative with the first of every region that it is in."""
-    keys = keyed(representatives, ORDERS, 0)
-    regions = written(keys.groupBy("key").agg(F.count("*").alias("n"), F.min("rep").alias("first")).where("n > 1"))
-    placed = written(keys.join(regions, "key").select("rep", "first", "n"))
-    near = placed.where(F.col("n") <= CROWD).where("rep <> first").select(F.col("rep").alias("a"), F.col("first").alias("b"))
-    crowded = written(placed.where(F.col("n") > CROWD).select("rep").distinct())
+    """Rows (a, b): neighbours in the sorted orders, enough to connect every region at its depth."""
+    found = written(regions(ordered(representatives), DEPTH, CROWD).distinct())
+    near = found.where(F.col("b").isNotNull()).select("a", "b")
+    crowded = written(found.where(F.col("b").isNull()).select(F.col("a").alias("rep")))
     if crowded.isEmpty():
-        return near.distinct()
-    keys = written(deep_keyed(crowded, docs, words, id_col, text_col))
-    regions = keys.groupBy("key").agg(F.count("*").alias("n"), F.min("rep").alias("first")).where("n > 1")
-    deep = keys.join(regions, "key").where("rep <> first").select(F.col("rep").alias("a"), F.col("first").alias("b"))
-    return near.unionByName(deep).distinct()
+        return near
+    deep = written(regions(written(ordered_deeply(crowded, docs, words, id_col, text_col)), DEEPER, None).distinct())
+    pieces = deep.where(F.col("b").isNull()).select("a", "key")
+    whole = pieces.groupBy("key").agg(F.min("a").alias("b"))
+    across = pieces.join(whole, "key").where("a <> b").select("a", "b")  # two rows a task at most
+    return near.unionByName(deep.where(F.col("b").isNotNull()).select("a", "b")).unionByName(across).distinct()
 
 
-def links_between(sets: list[np.ndarray], side: np.ndarray, percent: int) -> list[tuple[int, int]]:
+def links_between(sets: list[np.ndarray], percent: int, root: np.ndarray | None = None, asks: np.ndarray | None = None) -> list[tuple[int, int]]:
     """Links that join up sets (numbers of two), enough to connect all that are linked.
 
-    side: 0 and 1 mark two blocks, of which only pairs across count; -1 everywhere: all pairs.
+    root: what is connected already (the least number of each).  asks: only pairs with one of these count.
     """
     n = len(sets)
     size = np.array([len(s) for s in sets])
@@ -146,25 +205,20 @@ def links_between(sets: list[np.ndarray], side: np.ndarray, percent: int) -> lis
     order = np.argsort(code, kind="stable")
     by_code, first = owner[order], np.concatenate([[0], np.cumsum(np.bincount(code))])
     at = np.concatenate([[0], np.cumsum(size)])
-    root = np.arange(n)
+    root = np.arange(n) if root is None else root.copy()
     out = []
-    for i in range(n):
-        if i + 1 == n:
-            break
+    for i in range(n) if asks is None else np.flatnonzero(asks):
+        if (root == root[i]).all():
+            continue
         c = code[at[i] : at[i + 1]]
         a, length = first[c], first[c + 1] - first[c]
         alone = length == 1
         a, length = a[~alone], length[~alone]
         if not len(a):
             continue
-        if not ((root[i + 1 :] != root[i]) & ((side[i + 1 :] != side[i]) | (side[i] < 0))).any():
-            continue
         places = np.repeat(a - np.concatenate([[0], np.cumsum(length)[:-1]]), length) + np.arange(length.sum())
         common = np.bincount(by_code[places], minlength=n)
         linked = 100 * common >= percent * (size[i] + size - common)
-        linked[: i + 1] = False
-        if side[i] >= 0:
-            linked &= side != side[i]
         for j in np.flatnonzero(linked & (root != root[i])).tolist():
             if root[j] != root[i]:
                 out.append((i, j))
@@ -172,40 +226,93 @@ def links_between(sets: list[np.ndarray], side: np.ndarray, percent: int) -> lis
     return out
 
 
+def dealt_groups(groups: DataFrame, percent: int) -> DataFrame:
+    """Rows (node, root, band, part, parts, single): the block of each node.
+
+    Links keep sizes within a factor of 100 / percent, so a band (a step of the size's logarithm) meets itself and the
+    next ones only; a band of a group has enough parts for blocks of BLOCK_SETS sets and BLOCK_SHINGLES shingles.
+    """
+    step = float(np.log(100 / percent) * 1.001) if percent < 100 else 1.0
+    sets = chunked(groups.withColumn("band", F.floor(F.log("n_shingles") / step).cast("int")))
+    enough = lambda sets, all_: F.greatest(F.ceil(sets / BLOCK_SETS), F.ceil(all_ / BLOCK_SHINGLES), F.lit(1)).cast("int")
+    of_band = sets.groupBy("root", "band").agg(F.count("*").alias("sets"), F.sum("n_shingles").alias("all"))
+    of_group = of_band.groupBy("root").agg(F.sum("sets").alias("sets"), F.sum("all").alias("all"))
+    of_band = of_band.select("root", "band", F.least(enough(F.col("sets"), F.col("all")), F.col("sets").cast("int")).alias("parts"))
+    of_band = of_band.join(of_group.select("root", (enough(F.col("sets"), F.col("all")) == 1).alias("single")), "root")
+    named = F.struct("root", "band")
+    sets = looked_up(sets.withColumn("cell", named), "cell", of_band.select(named.alias("cell"), "parts", "single"))
+    return sets.select("node", "root", F.when(F.col("single"), 0).otherwise(F.col("band")).alias("band"), F.when(F.col("single"), 0).otherwise(F.pmod(F.xxhash64("node"), F.col("parts"))).cast("int").alias("part"), F.when(F.col("single"), 1).otherwise(F.col("parts")).alias("parts"), "single")
+
+
 def confirmed_links(groups: DataFrame, docs: DataFrame, words: int, percent: int, id_col: str, text_col: str) -> DataFrame:
     """Rows (a, b): links that hold on full sets, enough to connect each component.  groups: rows (node, root, n_shingles)."""
-    sums = groups.groupBy("root").agg(F.count("*").alias("sets"), F.sum("n_shingles").alias("shingles"))
-    blocks = F.greatest(F.ceil(F.col("sets") / BLOCK_SETS), F.ceil(F.col("shingles") / BLOCK_SHINGLES), F.lit(1)).cast("int")
-    dealt = groups.join(sums.select("root", F.least(blocks, F.col("sets").cast("int")).alias("blocks")), "root")
-    dealt = dealt.withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    texts = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"), F.lit(words).alias("w"))
-    rows = passing(texts, "node", id_filter(groups, "node")).join(dealt, "node").select("node", "text", "root", "block", "blocks")
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    rows = rows.select("node", "text", "root", "block", other.alias("other"))
-    rows = rows.select("node", "text", "root", "block", F.least("block", "other").alias("x"), F.greatest("block", "other").alias("y"))
+    dealt = written(dealt_groups(groups, percent))
+    texts = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"))
+    rows = passing(texts, "node", id_filter(groups, "node")).join(dealt, "node")
+
+    def sets_of(t: pa.Table) -> tuple[pa.Table, list[np.ndarray]]:
+        t = t.sort_by([("node", "ascending")])
+        node = t["node"].to_numpy()
+        t = t.take(np.flatnonzero(np.concatenate([[True], node[1:] != node[:-1]])))
+        return t, [shingles(x or b"", words) for x in t["text"].cast(pa.binary()).to_pylist()]
+
+    def pairs(node: np.ndarray, found: list[tuple[int, int]], apart: np.ndarray) -> pa.Table:
+        """Links, and with b null the nodes that are apart."""
+        a = np.concatenate([node[[p[0] for p in found]], node[apart]]) if len(node) else node
+        b = np.concatenate([node[[p[1] for p in found]], np.zeros(len(apart), np.int64)]) if len(node) else node
+        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64(), mask=np.arange(len(b)) >= len(found))], names=["a", "b"])
 
     def meet(t: pa.Table) -> pa.Table:
-        t = t.sort_by("node")
-        seen: dict[int, int] = {}
-        for i, x in enumerate(t["node"].to_pylist()):
-            seen.setdefault(x, i)
-        t = t.take(list(seen.values()))
-        sets = [shingles(x or b"", words) for x in t["text"].cast(pa.binary()).to_pylist()]
-        x, y = t["x"][0].as_py(), t["y"][0].as_py()
-        side = np.full(len(sets), -1) if x == y else (t["block"].to_numpy() == y).astype(np.int64)
-        found = links_between(sets, side, percent)
+        """A block by itself, with the group's first."""
+        t, sets = sets_of(t)
+        node, root, single = t["node"].to_numpy(), t["root"][0].as_py(), t["single"][0].as_py()
+        found = links_between(sets, percent)
+        if single:
+            return pairs(node, found, np.empty(0, np.int64))
+        below = np.arange(len(node))
+        for i, j in found:
+            below[below == below[j]] = below[i]
+        first = np.flatnonzero(node == root)
+        return pairs(node, found, np.flatnonzero(below != below[first[0]]) if len(first) else np.arange(len(node)))
+
+    firsts = rows.where("node = root").select("node", "text", "root", "single")
+    blocks = dealt.where("NOT single").select("root", "band", "part").distinct()
+    with_first = rows.select("node", "text", "root", "band", "part", "single").unionByName(firsts.where("NOT single").join(blocks, "root").select("node", "text", "root", "band", "part", "single"))
+    met = written(with_first.groupBy("root", "band", "part").applyInArrow(meet, "a long, b long"))
+    links = met.where(F.col("b").isNotNull())
+    apart = dealt.join(met.where(F.col("b").isNull()).select(F.col("a").alias("node")).distinct(), "node", "left_semi")
+    apart = written(apart.where("NOT single"))
+    if apart.isEmpty():
+        return links
+
+    # blocks of those that are apart, and each block that they meet
+    parts = apart.groupBy("root", "band").agg(F.count("*").alias("n"))
+    parts = parts.select("root", F.col("band").alias("asks_band"), F.ceil(F.col("n") / BLOCK_SETS).cast("int").alias("asks_parts"))
+    bands = dealt.where("NOT single").select("root", "band", "parts").distinct()
+    meetings = written(parts.join(bands, "root").where(F.abs(F.col("band") - F.col("asks_band")) <= 1))
+    asks = apart.select("node", "root", F.col("band").alias("asks_band")).join(meetings, ["root", "asks_band"])
+    asks = asks.select("node", "root", "asks_band", F.pmod(F.xxhash64(F.lit(7), "node"), F.col("asks_parts")).cast("int").alias("asks_part"), "band", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(True).alias("asks"))
+    rest = dealt.where("NOT single").join(meetings.drop("parts"), ["root", "band"])
+    rest = rest.select("node", "root", "asks_band", F.explode(F.sequence(F.lit(0), F.col("asks_parts") - 1)).alias("asks_part"), "band", "part", F.lit(False).alias("asks"))
+    cells = asks.unionByName(rest)
+
+    def meet_apart(t: pa.Table) -> pa.Table:
+        asked = set(t.filter(t["asks"])["node"].to_pylist())
+        if not asked:
+            return pairs(np.empty(0, np.int64), [], np.empty(0, np.int64))
+        t, sets = sets_of(t)
         node = t["node"].to_numpy()
-        a, b = (np.array([node[p[k]] for p in found], np.int64) for k in (0, 1))
-        return pa.table([a, b], names=["a", "b"])
+        return pairs(node, links_between(sets, percent, asks=np.array([x in asked for x in node.tolist()])), np.empty(0, np.int64))
 
-    return rows.groupBy("root", "x", "y").applyInArrow(meet, "a long, b long")
+    rows = passing(texts, "node", id_filter(cells, "node")).join(cells, "node")
+    more = rows.groupBy("root", "asks_band", "asks_part", "band", "part").applyInArrow(meet_apart, "a long, b long")
+    return links.unionByName(more)
 
 
 def components(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows (id, n_shingles, component_id, kept) of every document; links have 100 * intersection >= percent * union."""
-    base = written(described(docs, words, id_col, text_col))
-    classes = base.where(F.col("class").isNotNull() & F.col("id").isNotNull()).groupBy("class").agg(F.min("id").alias("rep"))
-    classes = written(classes)
+    base = chunked(described(docs, words, id_col, text_col))
+    classes = written(base.where(F.col("class").isNotNull() & F.col("id").isNotNull()).groupBy("class").agg(F.min("id").alias("rep")))
     chosen = base.join(classes.select(F.col("class"), F.col("rep").alias("id")), ["class", "id"], "left_semi")
     representatives = written(chosen.dropDuplicates(["id", "class"]).select(F.col("id").alias("rep"), "n_shingles", "signature"))
     groups = connected(candidate_links(representatives, docs, words, id_col, text_col))
@@ -213,7 +320,7 @@ def components(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str =
     links = confirmed_links(written(sized), docs, words, percent, id_col, text_col)
     roots = connected(links)
     of_class = classes.join(roots.select(F.col("node").alias("rep"), "root"), "rep", "left").select("class", F.coalesce("root", "rep").alias("component_id"))
-    out = base.drop("signature").join(of_class, "class", "left")
+    out = looked_up(base.drop("signature"), "class", of_class)  # a class may hold a third of all rows
     component = F.when(F.col("id").isNotNull(), F.coalesce("component_id", "id"))
     return out.select(F.col("id").alias(id_col), "n_shingles", component.alias("component_id"), (component.isNull() | (component == F.col("id"))).alias("kept"))
 
