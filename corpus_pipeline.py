@@ -22,7 +22,7 @@ def good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier accepts."""
     ship(spark)
     model = quality.train(docs, read(spark, sf_dir, "labels"))
-    return quality.score(docs, model, keep_columns=True).where("predicted = 1").select(*docs.columns)
+    return quality.accepted(docs, model)
 
 
 def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,7 +41,7 @@ def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A row for each copy that the mix takes, in order of training."""
-    return mixing.copies(mixing.mix(docs)).select(*docs.columns)
+    return mixing.copies(docs).select("row.*")
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
