@@ -26,12 +26,12 @@ from pyspark.sql import DataFrame
 from .common import settled, slices, texts
 
 SHORT = 64
-#: Bytes that the words and pieces a worker has seen may take, all memories together; beyond that they are forgotten.
-REMEMBERED = 24 << 20
+#: Bytes that the words and pieces a worker has seen may take, all memories together.
+REMEMBERED = 48 << 20
 #: Pieces of more characters than this are forgotten after their slice of texts.
 BRIEF = 64
 #: Bytes of text in a slice: what a slice adds to the memories is bounded by it.
-SLICE = 1 << 20
+SLICE = 2 << 20
 #: Fixed value: the public pattern that splits text before the merges.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 NEVER = np.int32(2**31 - 1)
@@ -46,6 +46,23 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in visible else chr(next(hidden)) for b in range(256)]
 
 
+class Memory:
+    """Ids of pieces in two generations: what isn't met again while the younger one fills up goes with the older one."""
+
+    def __init__(self) -> None:
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def lacking(self, pieces: set[str]) -> set[str]:
+        """The pieces that aren't remembered; all others are in the younger generation after this."""
+        new = pieces - self.young.keys()
+        if self.old:
+            again = new & self.old.keys()
+            self.young.update((p, self.old[p]) for p in again)
+            new -= again
+        return new
+
+
 class RankArrayBPE:
     """Encoder and decoder for a byte-level vocabulary file of the tokenizers library."""
 
@@ -74,12 +91,10 @@ class RankArrayBPE:
         self.split_special = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")") if special else None
         self.kind = np.dtype("<u2" if n <= 1 << 16 else "<u4")
         self.pair_ranks: dict[int, int] | None = None  # for long words, made when the first comes
-        self.held = 0  # bytes of the memories, about
-        self.passing: list[tuple[dict[str, bytes], str]] = []  # what goes after this slice
-        self.words: dict[str, bytes] = {}
-        self.odd: dict[str, bytes] = {}  # pieces of texts with other white space beside a space
-        self.opening: dict[str, bytes] = {}  # pieces at the start of a text
-        self.spaced: dict[str, bytes] = {}  # pieces after one space
+        self.held = 0  # bytes that the younger generations were given, about
+        self.passing: list[tuple[Memory, str]] = []  # what goes after this slice
+        self.words, self.odd = Memory(), Memory()  # odd: pieces of texts with other white space beside a space
+        self.opening, self.spaced = Memory(), Memory()  # pieces at the start of a text, and after one space
         self.split_words = regex.compile(PATTERN).findall
 
     def rank_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
@@ -165,30 +180,30 @@ class RankArrayBPE:
             out[k] = self.merge_long(raw[k])
         return out
 
-    def _fill(self, memory: dict[str, bytes], missing: list[str], lead: str) -> None:
+    def _fill(self, memory: Memory, missing: list[str], lead: str) -> None:
         """Remember pieces: a space (or nothing) and what follows it."""
         whole = [p for p in missing if p.isalpha()]  # these are single words
         self._keep(memory, whole, self.encode_words([lead + p for p in whole]))
         rest = [p for p in missing if not p.isalpha()]
         parts = [self.split_words(lead + p) for p in rest]
-        new = list({w for ws in parts for w in ws} - self.words.keys())
+        new = list(self.words.lacking({w for ws in parts for w in ws}))
         self._keep(self.words, new, self.encode_words(new))
-        get = self.words.__getitem__
+        get = self.words.young.__getitem__
         self._keep(memory, rest, [b"".join(map(get, ws)) for ws in parts])
 
-    def _keep(self, memory: dict[str, bytes], pieces: list[str], ids: list[bytes]) -> None:
-        memory.update(zip(pieces, ids, strict=True))
+    def _keep(self, memory: Memory, pieces: list[str], ids: list[bytes]) -> None:
+        memory.young.update(zip(pieces, ids, strict=True))
         self.held += 250 * len(pieces) + 2 * sum(map(len, pieces)) + sum(map(len, ids))
         self.passing += [(memory, p) for p in pieces if len(p) > BRIEF]
 
     def forget(self, all_of_it: bool = True) -> None:
-        """Drop long pieces, and the whole of the memories if they are full (or all_of_it)."""
+        """Drop long pieces, and the older generations if the younger are full, or all."""
         for memory, p in self.passing:
-            self.held -= 250 + 2 * len(p) + len(memory.pop(p, b""))
+            self.held -= 250 + 2 * len(p) + len(memory.young.pop(p, b""))
         self.passing = []
-        if all_of_it or self.held > REMEMBERED:
+        if all_of_it or self.held > REMEMBERED // 2:
             for memory in (self.words, self.opening, self.spaced, self.odd):
-                memory.clear()
+                memory.young, memory.old = {}, {} if all_of_it else memory.young
             self.held = 0
 
     def _plain(self, many: list[str]) -> list[np.ndarray]:
@@ -199,16 +214,16 @@ class RankArrayBPE:
         plain gaps only.
         """
         pieces = [x.split(" ") for x in many]
-        missing = list(set().union(*pieces) - self.spaced.keys())
+        missing = self.spaced.lacking(set().union(*pieces))
         bad = {p for p in missing if not p or p[0].isspace() or p[-1].isspace()}
         odd = {i for i, p in enumerate(pieces) if not bad.isdisjoint(p)} if bad else set()
         self._fill(self.spaced, [p for p in missing if p not in bad], " ")
-        self._fill(self.opening, list({p[0] for i, p in enumerate(pieces) if i not in odd} - self.opening.keys()), "")
+        self._fill(self.opening, list(self.opening.lacking({p[0] for i, p in enumerate(pieces) if i not in odd})), "")
         cut = {i: [x if k == 0 else " " + x for k, x in enumerate(PLAIN_GAP.split(many[i]))] for i in odd}
-        self._fill(self.odd, list({x for c in cut.values() for x in c} - self.odd.keys()), "")
-        get, rare, out = self.spaced.__getitem__, self.odd.__getitem__, []
+        self._fill(self.odd, list(self.odd.lacking({x for c in cut.values() for x in c})), "")
+        get, rare, out = self.spaced.young.__getitem__, self.odd.young.__getitem__, []
         for i, p in enumerate(pieces):
-            ids = b"".join(map(rare, cut[i])) if i in cut else self.opening[p[0]] + b"".join(map(get, p[1:]))
+            ids = b"".join(map(rare, cut[i])) if i in cut else self.opening.young[p[0]] + b"".join(map(get, p[1:]))
             out.append(np.frombuffer(ids, self.kind))
         self.forget(all_of_it=False)
         return out
