@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
-import gc
 import re
 import tempfile
 import uuid
@@ -13,7 +12,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window as W, functions as F
 
 #: Bytes of text that one slice of a batch may hold (a longer text is a slice of its own).
 SLICE_BYTES = 4 << 20
@@ -56,7 +55,6 @@ def settled(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]])
         try:
             yield from run(batches)
         finally:
-            gc.collect()
             pa.default_memory_pool().release_unused()
             with contextlib.suppress(AttributeError, OSError):  # only where the C library has it
                 ctypes.CDLL(None).malloc_trim(0)
@@ -162,10 +160,10 @@ def connected(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     before = None
     while True:
         least = e.groupBy("u").agg(F.min("v").alias("m"))
-        larger = looked_up(e, "v", least.withColumnRenamed("u", "v")).select("u", F.coalesce("m", "v").alias("v")).distinct()
-        least = larger.groupBy("u").agg(F.min("v").alias("m"))
-        smaller = larger.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        e = chunked(smaller.unionByName(least.select("u", F.col("m").alias("v"))).distinct())
+        larger = looked_up(e, "v", least.withColumnRenamed("u", "v")).select("u", F.coalesce("m", "v").alias("v"))
+        smaller = larger.withColumn("m", F.min("v").over(W.partitionBy("u")))
+        ends = F.when(F.col("v") == F.col("m"), F.array("u")).otherwise(F.array("u", "v"))
+        e = chunked(smaller.select(F.explode(ends).alias("u"), F.col("m").alias("v")).distinct())
         state = e.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0)).alias("s")).first()
         if state == before:
             break

@@ -31,9 +31,9 @@ from pyspark.sql import DataFrame, functions as F
 from .common import chunked, connected, id_filter, looked_up, passing, raw_texts, settled, slices, written
 
 #: Trees of the forest and their depth; orders and depth where a region is crowded, and from what size.
-#: No two orders share a minhash: at 0.8, (1 - 0.8^3)^20 = 5.9e-7 is missed by the trees and (1 - 0.8^6)^50 = 2.5e-7 in crowds.
+#: No two orders share a minhash: at 0.8, (1 - 0.8^3)^20 = 5.9e-7 is missed by the trees and (1 - 0.8^5)^35 = 9.3e-7 in crowds.
 TREES, DEPTH = 20, 3
-DEEP, DEEPER = 50, 6
+DEEP, DEEPER = 35, 5
 CROWD = 64
 #: Sets and shingles that a block should hold; a larger group meets block by block.
 BLOCK_SETS, BLOCK_SHINGLES = 1024, 1 << 20
