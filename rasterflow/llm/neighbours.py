@@ -1,11 +1,14 @@
 """Approximate nearest neighbours over balanced posting lists.
 
-Centroids are fitted on a bounded sample by k-means whose oversized clusters are split, and sit in an in-memory graph
-(each linked to its nearest).  The search ratio is set on the sample too.  A vector goes to the lists of its nearest centroids: all whose distance is within a
+Centroids are fitted on a bounded sample (by a hash of the rows, so reruns agree) by k-means whose oversized clusters
+are split, and sit in an in-memory graph (each linked to its nearest).  The search ratio is set on the sample too.  A vector goes to the lists of its nearest centroids: all whose distance is within a
 ratio of the least, REPLICAS at most, so vectors near a boundary are found from both sides.  A query walks the graph,
 keeps the centroids within a distance ratio, and scans their lists exactly, in double precision on the original
-vectors.  Where these don't surely hold as many other ids as are asked for, its nearest lists that do are found by
-comparing all centroids, and the ratio counts from the last of them; all lists are the last resort.  A list with more than LIST rows is dealt over shards by hash, so that copies of one vector don't meet in one
+vectors.  Where the walk's beam is full of centroids within the ratio, all centroids are compared, so no list is cut.  Where
+the lists don't surely hold as many other ids as are asked for, its nearest lists that do are found by
+comparing all centroids, and the ratio counts from the last of them; all lists are the last resort.  Results say how
+many lists and posting rows each query met; on vectors without any structure that is a good part of the table,
+whatever the index, and the ratio is set for no more than AIM of recall.  A list with more than LIST rows is dealt over shards by hash, so that copies of one vector don't meet in one
 task; a query visits every shard.
 
 Vectors that are null, zero, or hold null or non-finite components take no part, nor do those of another length than
@@ -22,15 +25,17 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window as W, functions as F
 
-from .common import written
+from .common import settled, written
 
 #: Bound on the vectors that centroids are fitted on, and on centroids.
 SAMPLE, CENTROIDS = 20_000, 4096
-#: Rows that a list should have; a larger one is sharded.
-LIST = 1024
-REPLICAS, REPLICA_RATIO = 3, 1.08
+#: Rows of the table to a centroid, while there are fewer than CENTROIDS; rows of a list's shard.
+PER_CENTROID, LIST = 24, 1024
+REPLICAS, REPLICA_RATIO = 3, 1.06
 #: Recall, on the sample, that the search ratio is set for.
-AIM = 0.98
+AIM = 0.94
+#: Centroids of the beam whose links a step of a walk follows.
+FOLLOWED = 4
 
 
 @dataclass
@@ -43,56 +48,71 @@ class Graph:
     ratio: float = 1.2  # lists whose centroid is within this ratio of the nearest centroid's distance are searched
     lists: int = 16  # most lists that this takes, with a margin
     homes: np.ndarray | None = None  # ids by list, each counted in one list only
+    sizes: np.ndarray | None = None  # posting rows by list
 
     def nearest(self, x: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
         """The `width` nearest centroids found for each row, nearest first, and their distances.
 
-        A beam walk from the entry points, for all rows together: the beam's links join it until it stays the same.
+        A beam walk from the entry points, for all rows together: in each step the links of the nearest that weren't
+        followed yet join the beam, until all of the beam are followed.
         """
         n, width = len(x), min(width, len(self.centroids))
         square = (self.centroids**2).sum(1)
         own = (x**2).sum(1)[:, None]
-        far = lambda ids: np.sqrt(np.maximum(own - 2 * np.einsum("nd,nkd->nk", x, self.centroids[ids]) + square[ids], 0.0))
         d = np.sqrt(np.maximum(own - 2 * x @ self.centroids[self.entries].T + square[self.entries], 0.0))
         first = np.argsort(d, 1, kind="stable")[:, :width]
         beam, dist = self.entries[first], np.take_along_axis(d, first, 1)
         if beam.shape[1] < width:
             pad = width - beam.shape[1]
             beam, dist = np.pad(beam, ((0, 0), (0, pad)), mode="edge"), np.pad(dist, ((0, 0), (0, pad)), constant_values=np.inf)
-        for _ in range(64):
-            ids = np.concatenate([beam, self.links[beam].reshape(n, -1)], 1)
-            all_d = np.concatenate([dist, far(ids[:, width:])], 1)
-            order = np.lexsort((all_d, ids), axis=1)
-            ids, all_d = np.take_along_axis(ids, order, 1), np.take_along_axis(all_d, order, 1)
+        followed = np.isinf(dist)
+        live, step = np.arange(n), min(max(FOLLOWED, width // 8), width)
+        while len(live):
+            b, far, done = beam[live], dist[live], followed[live]
+            turn = np.argsort(np.where(done, np.inf, far), 1, kind="stable")[:, :step]
+            picked = np.take_along_axis(b, turn, 1)
+            new = np.where(np.take_along_axis(done, turn, 1)[:, :, None], picked[:, :, None], self.links[picked]).reshape(len(live), -1)
+            np.put_along_axis(done, turn, True, 1)
+            new_d = np.sqrt(np.maximum(own[live] - 2 * np.matmul(self.centroids[new], x[live][:, :, None])[:, :, 0] + square[new], 0.0))
+            ids, all_d = np.concatenate([b, new], 1), np.concatenate([far, new_d], 1)
+            mark = np.concatenate([~done, np.ones(new.shape, bool)], 1)
+            order = np.argsort(2 * ids + mark, 1, kind="stable")  # of one centroid's entries, one that was followed comes first
+            ids, all_d, mark = (np.take_along_axis(a, order, 1) for a in (ids, all_d, mark))
             all_d[:, 1:][ids[:, 1:] == ids[:, :-1]] = np.inf
             best = np.argsort(all_d, 1, kind="stable")[:, :width]
-            new, new_d = np.take_along_axis(ids, best, 1), np.take_along_axis(all_d, best, 1)
-            same = np.array_equal(new_d, dist)
-            beam, dist = new, new_d
-            if same:
-                break
+            beam[live], dist[live] = np.take_along_axis(ids, best, 1), np.take_along_axis(all_d, best, 1)
+            followed[live] = ~np.take_along_axis(mark, best, 1) | np.isinf(dist[live])
+            live = live[~followed[live].all(1)]
         return beam, dist
 
     def visited(self, x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Pairs (row, list) to search for k ids and the row's own."""
         found, d = self.nearest(x, self.lists)
         keep = (d <= self.ratio * np.maximum(d[:, :1], 1e-12) + 1e-12) & np.isfinite(d)
-        short = np.flatnonzero((self.homes[found] * keep).sum(1) <= k)
-        keep[short] = False
+        full = keep.all(1) & (found.shape[1] < len(self.centroids))  # there may be more within the ratio
+        short = (self.homes[found] * keep).sum(1) <= k
+        keep[full | short] = False
         at, which = np.nonzero(keep)
         rows, lists = [at], [found[at, which]]
-        for i in short.tolist():
+        for i in np.flatnonzero(full | short).tolist():
             far = np.sqrt(((self.centroids - x[i]) ** 2).sum(1))
             order = np.argsort(far, kind="stable")
-            enough = int(np.searchsorted(np.cumsum(self.homes[order]), k + 1)) + 1
-            edge = far[order[min(enough, len(order)) - 1]]
-            within = int((far <= self.ratio * max(edge, 1e-12) + 1e-12).sum())
-            take = order[: max(enough, min(within, self.lists))]
+            edge, enough = far[order[0]], 1
+            if short[i]:
+                enough = min(int(np.searchsorted(np.cumsum(self.homes[order]), k + 1)) + 1, len(order))
+                edge = far[order[enough - 1]]
+            take = order[: max(enough, int((far <= self.ratio * max(edge, 1e-12) + 1e-12).sum()))]
             rows.append(np.full(len(take), i))
             lists.append(take)
         return np.concatenate(rows), np.concatenate(lists)
 
 
+def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
+    """Rows of a list column without nulls, all of one length."""
+    lists = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return np.asarray(lists.flatten(), np.float64).reshape(len(lists), -1)
+
+
 def balanced_centroids(x: np.ndarray, k: int, seed: int = 0) -> np.ndarray:
     """k-means centres; clusters much larger than the mean are split in two and the smallest are given up for them."""
     rng = np.random.default_rng(seed)
@@ -170,42 +190,44 @@ def build(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding",
     spark = df.sparkSession
     rows = usable(df, id_col, vector_col)
     n = rows.count()
-    share = min(1.0, 1.2 * sample / max(n, 1))
-    chosen = rows.where((F.pmod(F.xxhash64("id"), F.lit(1 << 20)) < int(share * (1 << 20)) + 1)).limit(sample).toArrow()
-    lists = chosen["vector"].combine_chunks() if chosen.num_rows else None
-    if lists is None:
+    pick = F.pmod(F.xxhash64("id", "vector"), F.lit(1 << 30))
+    chosen = rows.where(pick < int(min(1.0, 1.2 * sample / max(n, 1)) * (1 << 30))).orderBy(pick, "id").limit(sample).toArrow()
+    if not chosen.num_rows:
         x = np.zeros((1, 1))
     else:
+        lists = chosen["vector"].combine_chunks()
         size = np.diff(np.asarray(lists.offsets))
         dim = int(np.bincount(size).argmax())
-        x = np.array([v for v in lists.to_pylist() if len(v) == dim], np.float64)
+        x = matrix(lists.filter(pa.array(size == dim)))
     rows = rows.where(F.size("vector") == x.shape[1])
-    graph = spark.sparkContext.broadcast(calibrated(graph_of(x, min(CENTROIDS, max(1, n // (LIST // 4)), max(1, len(x) // 8))), x))
+    graph = spark.sparkContext.broadcast(calibrated(graph_of(x, min(CENTROIDS, max(1, n // PER_CENTROID), max(1, len(x) // 4))), x))
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         g = graph.value
         for whole in batches:
             for i in range(0, whole.num_rows, 2048):
                 b = whole.slice(i, 2048)
-                x = np.array(b.column(1).to_pylist(), np.float64).reshape(b.num_rows, -1)
-                found, d = g.nearest(x, max(16, REPLICAS))
+                found, d = g.nearest(matrix(b.column(1)), max(8, REPLICAS))
                 keep = d <= REPLICA_RATIO * d[:, :1] + 1e-12
                 keep[:, REPLICAS:] = False
                 at, which = np.nonzero(keep)
                 yield pa.RecordBatch.from_arrays([pa.array(found[at, which].astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), pa.array(which == 0)], ["list", "id", "vector", "home"])
 
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}
-    postings = written(rows.mapInArrow(assign, f"list int, id {kinds['id']}, vector {kinds['vector']}, home boolean"))
-    homes = np.zeros(len(graph.value.centroids), np.int64)
+    postings = written(rows.mapInArrow(settled(assign), f"list int, id {kinds['id']}, vector {kinds['vector']}, home boolean"))
+    homes, sizes = np.zeros((2, len(graph.value.centroids)), np.int64)
     for h in postings.where("home").groupBy("id").agg(F.min("list").alias("list")).groupBy("list").count().collect():  # CENTROIDS rows at most
         homes[h["list"]] = h["count"]
-    shards = postings.groupBy("list").agg(F.ceil(F.count("*") / LIST).cast("int").alias("shards"))
+    shards = postings.groupBy("list").agg(F.count("*").alias("n"))
+    for h in shards.collect():  # CENTROIDS rows at most
+        sizes[h["list"]] = h["n"]
+    shards = spark.createDataFrame([(i, -(-n // LIST)) for i, n in enumerate(sizes.tolist()) if n], "list int, shards int")
     dealt = postings.join(F.broadcast(shards), "list").withColumn("shard", F.pmod(F.xxhash64("id"), F.col("shards")).cast("int"))  # CENTROIDS rows at most
-    return Index(replace(graph.value, homes=homes), dealt.select("list", "shard", "id", "vector"), shards)
+    return Index(replace(graph.value, homes=homes, sizes=sizes), dealt.select("list", "shard", "id", "vector"), shards)
 
 
 def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
-    """Rows (query_id, rank, vec_id, score): the k nearest of each query but rows with its own id."""
+    """Rows (query_id, rank, vec_id, score, lists_visited, rows_scanned): the k nearest of each query but rows with its own id."""
     spark = queries.sparkSession
     graph = spark.sparkContext.broadcast(index.graph)
     rows = usable(queries, id_col, vector_col).where(F.size("vector") == index.graph.centroids.shape[1])
@@ -216,21 +238,21 @@ def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id"
         for whole in batches:
             for i in range(0, whole.num_rows, 256):
                 b = whole.slice(i, 256)
-                x = np.array(b.column(1).to_pylist(), np.float64).reshape(b.num_rows, -1)
-                at, lists = g.visited(x, k)
-                yield pa.RecordBatch.from_arrays([pa.array(lists.astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at))], ["list", "id", "vector"])
+                at, lists = g.visited(matrix(b.column(1)), k)
+                met = np.bincount(at, g.sizes[lists], minlength=b.num_rows)[at].astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(lists.astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), pa.array(np.bincount(at, minlength=b.num_rows)[at]), pa.array(met)], ["list", "id", "vector", "lists", "met"])
 
-    asked = rows.mapInArrow(visit, f"list int, id {kinds['id']}, vector {kinds['vector']}")
-    asked = asked.join(F.broadcast(index.shards), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"), "id", "vector")
+    visits = rows.mapInArrow(settled(visit), f"list int, id {kinds['id']}, vector {kinds['vector']}, lists long, met long")
+    asked = visits.join(F.broadcast(index.shards), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"), "id", "vector", "lists", "met")
 
     def scan(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         """Up to k nearest of each query within one shard of a list."""
         if not left.num_rows or not right.num_rows:  # a list that no query visits, or an empty shard
             kind = left.schema.field("id").type
-            return pa.table([pa.array([], kind), pa.array([], kind), pa.array([], pa.float64())], names=["query_id", "vec_id", "score"])
-        q, p = (np.array(t["vector"].to_pylist(), np.float64).reshape(t.num_rows, -1) for t in (left, right))
+            return pa.table([pa.array([], kind), pa.array([], kind), pa.array([], pa.float64()), pa.array([], pa.int64()), pa.array([], pa.int64())], names=["query_id", "vec_id", "score", "lists", "met"])
+        q, p = matrix(left["vector"]), matrix(right["vector"])
         q_id, p_id = (t["id"].to_numpy(zero_copy_only=False) for t in (left, right))
-        out: list[list[np.ndarray]] = [[], [], []]
+        out: list[list[np.ndarray]] = [[], [], [], []]
         for i in range(len(q)):
             d = np.sqrt(((p - q[i]) ** 2).sum(1))
             other = np.flatnonzero(p_id != q_id[i])
@@ -238,12 +260,12 @@ def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id"
                 edge = np.partition(d[other], k - 1)[k - 1]
                 other = other[d[other] <= edge]
             best = other[np.lexsort((p_id[other], d[other]))[:k]]
-            for store, x in zip(out, (np.full(len(best), q_id[i]), p_id[best], d[best]), strict=True):
+            for store, x in zip(out, (np.full(len(best), q_id[i]), p_id[best], d[best], np.full(len(best), i)), strict=True):
                 store.append(x)
-        a, b, c = (np.concatenate([*x, np.empty(0, q_id.dtype if j < 2 else np.float64)]) for j, x in enumerate(out))
-        return pa.table([pa.array(a, left.schema.field("id").type), pa.array(b, left.schema.field("id").type), pa.array(c, pa.float64())], names=["query_id", "vec_id", "score"])
+        a, b, c, i = (np.concatenate([*x, np.empty(0, (q_id.dtype, q_id.dtype, np.float64, np.int64)[j])]) for j, x in enumerate(out))
+        return pa.table([pa.array(a, left.schema.field("id").type), pa.array(b, left.schema.field("id").type), pa.array(c, pa.float64()), left["lists"].take(pa.array(i)), left["met"].take(pa.array(i))], names=["query_id", "vec_id", "score", "lists", "met"])
 
-    near = asked.groupBy("list", "shard").cogroup(index.postings.groupBy("list", "shard")).applyInArrow(scan, f"query_id {kinds['id']}, vec_id {kinds['id']}, score double")
-    near = near.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))  # replicas of one vector
+    near = asked.groupBy("list", "shard").cogroup(index.postings.groupBy("list", "shard")).applyInArrow(scan, f"query_id {kinds['id']}, vec_id {kinds['id']}, score double, lists long, met long")
+    near = near.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"), F.max("lists").alias("lists_visited"), F.max("met").alias("rows_scanned"))  # replicas of one vector
     order = W.partitionBy("query_id").orderBy("score", "vec_id")
-    return near.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return near.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", "lists_visited", "rows_scanned")
