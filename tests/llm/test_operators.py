@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -147,6 +148,22 @@ def test_pii_rows_and_redaction(spark):
     assert "a.b@c.org" not in clean[1] and "DE8937" not in clean[1] and clean[2] is None
 
 
+def test_pii_is_linear_after_every_cue():
+    finder = pii.Finder()
+    for cue in ("account", "IBAN", "token", "token =", "Bearer", "://a:b@", "+1", "a@b.c", "1", "account no"):
+        for filler in (" ", "1 ", "a", ".", "token=", "A1", " no"):
+            began = time.perf_counter()
+            finder.spans(cue + filler * (300_000 // len(filler)) + "x")
+            assert time.perf_counter() - began < 5, (cue, filler)
+
+
+def test_pii_secrets():
+    found = lambda t: [t[a:b] for a, b in pii.Finder().spans(t)["secret"]]
+    secret = "04dbebab91ab85687d33eeaaf9ac699e1188f962"
+    assert found(f'x token = "{secret}" y') == found(f"TOKEN={secret}!") == found(f"api_key: '{secret}'") == found(f"Authorization: Bearer {secret},") == [secret]
+    assert found("the token of friendship") == found("token = short1") == found("password: internationalization") == found("") == []
+
+
 def test_chat_round_trip_and_branches(spark):
     odd = ["\\", "<|", "|>", "<|end|>\n", "\\<\\|", "<|>", "|\\>", "a<|assistant|>\nb", None, "", "é🙂<|end|>"]
     rows = [(c, k, "assistant" if k % 2 else "user", odd[(c + k) % len(odd)]) for c in range(12) for k in range(5)] + [(3, 1, "assistant", "again"), (None, 0, None, "x")]
@@ -182,7 +199,7 @@ def test_hmm_scores(docs, spark):
     assert all(np.isfinite(r["score"]) for r in got.collect())
 
 
-def test_hmm_forward_and_training():
+def test_hmm_forward_and_training(monkeypatch):
     rng = np.random.default_rng(0)
     m = hmm.Model(rng.dirichlet(np.ones(3)), rng.dirichlet(np.ones(3), 3), rng.dirichlet(np.ones(5), 3).T.copy())
     rows = [rng.integers(0, 5, n).astype(np.int32) for n in (1, 3, 6, 2500, 4096)]
@@ -199,11 +216,39 @@ def test_hmm_forward_and_training():
     got = hmm.forward_log(rows, m)
     assert np.allclose(got[:3], [paths(r) for r in rows[:3]])
     s, v, e, log = hmm.expected(rows, m)
-    assert np.isclose(log, got.sum()) and np.isclose(e.sum(), sum(map(len, rows))) and np.isclose(s.sum(), len(rows))
+    assert np.isclose(log, got.sum()) and np.isclose(e.sum(), sum(map(len, rows))) and np.isclose(s.sum(), len(rows)) and np.isclose(v.sum(), sum(len(r) - 1 for r in rows))
+    monkeypatch.setattr(hmm, "LONG", 2)  # the same by blocks
+    monkeypatch.setattr(hmm, "BLOCK", 7)
+    assert np.allclose(hmm.forward_log(rows, m), got)
+    for x, y in zip(hmm.expected(rows, m), (s, v, e, log), strict=True):
+        assert np.allclose(x, y)
     better = hmm.Model(s / s.sum(), v / v.sum(1, keepdims=True), e / e.sum(0))
     assert hmm.forward_log(rows, better).sum() >= log - 1e-9
 
 
+def test_hmm_beats_the_unigram_on_held_out_rows(spark):
+    """On whole small tables, where words of a language keep together."""
+    docs = hmm.split(spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text"))
+    got = hmm.score(docs, docs.where("NOT held_out")).where("held_out").groupBy().sum("score", "base_score").first()
+    assert got[0] > got[1]
+
+
+def test_hmm_grids_are_bounded():
+    rows = [np.zeros(n, np.int32) for n in [45] * 9999 + [20_000, 3000]]
+    assert all(len(p) * max(map(len, p)) <= hmm.GRID or len(p) == 1 for _, p in hmm.grouped(rows))
+    assert sorted(i for own, _ in hmm.grouped(rows) for i in own) == list(range(len(rows)))
+
+
+def test_bpe_memory_is_bounded():
+    b = bpe.RankArrayBPE(bpe.vocabulary(VOCABULARY))
+    for i in range(12):
+        b.encode_batch([" ".join(f"w{i}x{j}" for j in range(15_000)), "y" * 20_000])
+        assert b.held <= bpe.REMEMBERED // 2
+        assert not any(len(p) > bpe.BRIEF for m in (b.words, b.opening, b.spaced, b.odd) for p in {*m.young, *m.old})
+    b.forget()
+    assert b.held == 0 and not any(m.young or m.old for m in (b.words, b.opening, b.spaced, b.odd))
+
+
 def test_bpe_equals_the_library(docs):
     tokenizers = pytest.importorskip("tokenizers")
     t = tokenizers.Tokenizer.from_file(VOCABULARY)
@@ -291,19 +336,122 @@ def test_mixing_targets(docs):
     assert len(got) == docs.count()
     sizes, taken, target = Counter(), Counter(), {}
     for r in got:
-        size = len(WS.findall(r["text"] or ""))
+        size, source = len(WS.findall(r["row"]["text"] or "")), r["row"]["source"]
         assert r["size"] == size and 0 <= r["taken"] <= 2 * size
         assert len(r["positions"]) == (-(-r["taken"] // size) if size else 0) and all(0 <= p <= 1 for p in r["positions"])
-        sizes[r["source"]] += size
-        taken[r["source"]] += r["taken"]
-        target[r["source"]] = r["target"]
+        sizes[source] += size
+        taken[source] += r["taken"]
+        target[source] = r["target"]
     order = sorted(sizes, key=lambda s: (s is None, s or ""))
     want = water(sizes, {s: (3.0, 1.0, 2.0)[i % 3] for i, s in enumerate(order)}, 1.5, 2.0)
     assert all(abs(target[s] - want[s]) < 1e-6 and abs(taken[s] - want[s]) <= 1 for s in sizes)
-    assert mixing.copies(mixing.mix(docs)).count() == sum(len(r["positions"]) for r in got)
+    assert mixing.copies(docs).count() == sum(len(r["positions"]) for r in got)
     assert mixing.mix(docs.limit(0)).count() == 0
 
 
+def test_mixing_positions_by_integration(docs):
+    """The integral of a source's schedule up to a position, by small steps, is the share of its demand at which the copy begins."""
+    grid = np.linspace(0, 1, 100_001)
+    done = []
+    for knots in mixing.SCHEDULES:
+        w = np.interp(grid, [t for t, _ in knots], [w for _, w in knots])
+        area = np.concatenate([[0], np.cumsum((w[1:] + w[:-1]) / 2 * np.diff(grid))])
+        done.append(area / area[-1])
+    got = mixing.mix(docs).collect()
+    order = sorted({r["row"]["source"] for r in got}, key=lambda s: (s is None, s or ""))
+    for s in order:
+        own = [r for r in got if r["row"]["source"] == s and r["taken"]]
+        curve = done[order.index(s) % 3]
+        line = sorted((p, r["size"]) for r in own for p in r["positions"])
+        at = 0
+        for p, size in line:
+            assert abs(np.interp(p, grid, curve) - at / own[0]["target"]) < 1e-6
+            at += size
+
+
+def test_clashing_columns_keep_their_values(spark):
+    rows = [(i, f"some words of text number {i}", "s", 7.0, i, True, "x", "y") for i in range(6)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, source string, target double, size long, held_out boolean, score string, row string")
+    want = {tuple(r) for r in rows}
+    assert {tuple(r["row"]) for r in mixing.mix(d).collect()} == want
+    assert {tuple(r["row"]) for r in mixing.copies(d).collect()} <= want
+    prior = quality.train(d, spark.createDataFrame([], "doc_id long, quality int"))
+    assert {tuple(r) for r in quality.accepted(d, prior, 0.4).collect()} == want and quality.accepted(d, prior, 0.6).count() == 0
+
+
+def test_quality_equals_brute_force():
+    """Log-count ratios and the hinge-loss optimum, stated plainly."""
+    r = random.Random(4)
+    texts_ = [(" ".join(r.choice("abcd" if i % 2 else "bcde") * 3 for _ in range(6))).encode() for i in range(40)]
+    rows, y = [quality.grams(t) for t in texts_], np.array([1 if i % 2 else -1 for i in range(40)])
+    plain = lambda t: {t[i : i + n] for n in quality.SIZES for i in range(len(t) - n + 1)}
+    hashed = {}
+    for t, x in zip(texts_, rows, strict=True):
+        for g in plain(t):
+            code = (int.from_bytes(g, "big") + len(g)) * 0x9E3779B97F4A7C15 % 2**64 >> 64 - quality.BITS
+            assert code in x
+            hashed[g] = code
+    ratio = quality.log_ratio(rows, y)
+    for g, code in hashed.items():
+        if sum(c == code for c in hashed.values()) == 1 and not any(code in quality.repeats(t) for t in texts_):
+            up, down = (sum(g in plain(t) for t, v in zip(texts_, y, strict=True) if v == s) for s in (1, -1))
+            assert abs(ratio[code] - np.log((up + 1) / (20 + 2)) + np.log((down + 1) / (20 + 2))) < 1e-5
+    values = [ratio[x] / np.linalg.norm(ratio[x]) for x in rows]
+    w, bias = quality.coordinate_descent(rows, values, y, np.full(40, 1.0), epochs=400)
+    loss = lambda w, b: 0.5 * (w @ w + b * b) + sum(max(0.0, 1 - s * (w[x] @ v + b)) for x, v, s in zip(rows, values, y, strict=True))
+    least, step = loss(w, bias), np.random.default_rng(0)
+    used = np.unique(np.concatenate(rows))
+    for _ in range(300):
+        moved = w.copy()
+        moved[used] += step.normal(size=len(used)) * 10.0 ** -step.integers(1, 5)
+        assert loss(moved, bias + step.normal() * 1e-2) >= least - 1e-4
+
+
+def test_token_attribution_of_fields_against_library_offsets(spark):
+    tokenizers = pytest.importorskip("tokenizers")
+    t = tokenizers.Tokenizer.from_file(VOCABULARY)
+    r = random.Random(9)
+    many = ["".join(r.choice(["ab ", "été", "漢", " 12", "\n", "hello world"]) for _ in range(r.randint(1, 25))) for _ in range(40)]
+    rows = []
+    for i, x in enumerate(many):
+        cuts = sorted(r.randint(0, len(x)) for _ in range(4))
+        rows.append((i, x, [("a", cuts[0], cuts[1]), ("b", cuts[2], cuts[3])]))
+    kind = "doc_id long, text string, fields array<struct<name string, first_char int, end_char int>>"
+    d = spark.createDataFrame(rows, kind)
+    for rule in tokens.RULES:
+        got = {(x["doc_id"], x["first_char"], x["end_char"], x["name"]): x["n_tokens"] for x in tokens.sections(d, VOCABULARY, rule, fields_col="fields").collect()}
+        for (i, first, end, _), n in got.items():
+            raw = [len(many[i][:k].encode()) for k in range(len(many[i]) + 1)]
+            lengths = np.cumsum([0, *[len(bytes(b)) for b in token_bytes(t, many[i])]])
+            sections = sorted({(a, e) for j, a, e, _ in got if j == i and e > a})
+            total = 0.0
+            for a, e in zip(lengths, lengths[1:], strict=False):
+                inside = [max(0, min(e, raw[y]) - max(a, raw[x])) for x, y in sections]
+                own = [k for k, v in enumerate(inside) if v]
+                part = {"first": {own[0]: 1.0}, "last": {own[-1]: 1.0}, "largest": {int(np.argmax(inside)): 1.0}, "share": {k: inside[k] / (e - a) for k in own}}[rule]
+                total += part.get(sections.index((first, end)), 0.0) if end > first else 0.0
+            assert abs(total - n) < 1e-9, (i, rule, first, end)
+    odd = [(0, "hello world", [("far", 50, 60), ("over", 6, 99)]), (1, "hello world", [("x", 0, 8), ("y", 3, 5), ("z", 4, 11)]), (2, None, [("x", 0, 3)]), (3, "ab", None), (4, "ab", [("n", None, None), None]), (5, "ab", [("neg", -5, -1), (None, 1, 0)])]
+    out = tokens.sections(spark.createDataFrame(odd, kind), VOCABULARY, fields_col="fields").collect()
+    for i, x, _ in odd:
+        own = sorted((r["section"], r["first_char"], r["end_char"]) for r in out if r["doc_id"] == i)
+        assert own[0][1] == 0 and own[-1][2] == len(x or "") and all(a[2] == b[1] for a, b in zip(own, own[1:], strict=False)) and all(a <= e for _, a, e in own)
+        assert sum(r["n_tokens"] for r in out if r["doc_id"] == i) == (out and next(r["doc_tokens"] for r in out if r["doc_id"] == i))
+    assert [(r["name"], r["first_char"], r["end_char"]) for r in out if r["doc_id"] == 1] == [("x", 0, 8), ("y", 8, 8), ("z", 8, 11)]
+
+
+def token_bytes(t, text):
+    letters = {c: b for b, c in enumerate(bpe.byte_letters())}
+    return [bytes(letters[c] for c in t.id_to_token(i)) for i in t.encode(text, add_special_tokens=False).ids]
+
+
+def test_components_with_a_hub(spark):
+    """No task of the join on a hub's edges gets a row for each of them."""
+    edges = spark.range(20_000).selectExpr("id + 1 AS a", "0L AS b").unionByName(spark.range(30_000, 30_050).selectExpr("id AS a", "id + 1 AS b"))
+    got = {r["node"]: r["root"] for r in neardup.connected(edges.repartition(7)).collect()}
+    assert got == {**dict.fromkeys(range(20_001), 0), **dict.fromkeys(range(30_000, 30_051), 30_000)}
+
+
 def test_token_attribution(docs):
     for rule in tokens.RULES:
         rows = tokens.sections(docs, VOCABULARY, rule).collect()
@@ -335,8 +483,8 @@ def brute_components(rows, k, percent=80):
     return {i: (len(sets[i]), find(i)) for i in ids}
 
 
-@pytest.mark.parametrize("words", [2, 5])
-def test_near_duplicates_equal_brute_force(spark, words, monkeypatch):
+@pytest.mark.parametrize(("words", "block", "crowd"), [(2, 4, 64), (5, None, 64), (2, 3, 2)])
+def test_near_duplicates_equal_brute_force(spark, words, block, crowd, monkeypatch):
     r = random.Random(words)
     base = [[f"w{r.randint(0, 400)}" for _ in range(r.randint(1, 120))] for _ in range(25)]
     rows = []
@@ -346,7 +494,9 @@ def test_near_duplicates_equal_brute_force(spark, words, monkeypatch):
             t[r.randrange(len(t))] = f"e{r.randint(0, 10**6)}"
         rows.append((i, " ".join(t)))
     rows += [(300, None), (301, ""), (302, "one"), (303, "ONE"), (304, rows[0][1])]
-    monkeypatch.setattr(neardup, "BLOCK_SETS", 4)  # groups meet block by block
+    if block:
+        monkeypatch.setattr(neardup, "BLOCK_SETS", block)  # groups meet block by block
+    monkeypatch.setattr(neardup, "CROWD", crowd)
     d = spark.createDataFrame([(*x, "clash") for x in rows], "doc_id long, text string, rep string").repartition(3)
     got = {x["doc_id"]: (x["n_shingles"], x["component_id"]) for x in neardup.components(d, words).collect()}
     assert got == brute_components(rows, words)
