@@ -1,7 +1,7 @@
 """Aggregates of an expensive target under an error bound: exact, plain sampling, control variates, sample sizes.
 
-Samples are the first n rows by md5(seed-id): nested as n grows, equal on every engine.  At scale the prefix is a
-threshold on that hash, so that drawing it is a filter, not a sort; `top` takes exactly n by a top-k.
+Samples are the first n rows by md5(seed-id): nested as n grows, equal on every engine.  `sample` takes them by a
+top-k; `drawn` takes those of many seeds in one scan, by a threshold on the hash before ranking.
 """
 
 from __future__ import annotations
@@ -9,7 +9,7 @@ from __future__ import annotations
 import math
 from collections.abc import Sequence
 
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 Z95 = 1.959964
 
@@ -73,14 +73,28 @@ def adaptive(frames: DataFrame, eps: float, y: str = "y", x: str = "x", pilot: i
         n = min(total, max(n + 1, math.ceil(1.1 * need)))
 
 
-def coverage(frames: DataFrame, n: int, seeds: Sequence[int], y: str = "y", x: str = "x", z: float = Z95) -> DataFrame:
-    """Share of seeds whose interval holds the exact mean, and variance of both estimates: every seed in one plan."""
-    from pyspark.sql import Window as W
+def drawn(frames: DataFrame, n: int, seeds: Sequence[int]) -> DataFrame:
+    """Rows (seed, frame_id, y, x): for each seed the first n frames by hash, from rows (frame_id, y, x).
 
-    trials = frames.select("frame_id", F.col(y).alias("y"), F.col(x).alias("x")).crossJoin(F.broadcast(frames.sparkSession.createDataFrame([(s,) for s in seeds], "seed int")))
+    A threshold on the hash keeps a little more than n of them while scanning, so only these are shuffled and ranked; if
+    it left any seed short (about never), it is doubled.
+    """
+    total, spark = frames.count(), frames.sparkSession
+    trials = frames.crossJoin(F.broadcast(spark.createDataFrame([(int(s),) for s in seeds], "seed int")))
     key = F.md5(F.concat(F.col("seed").cast("string"), F.lit("-"), F.col("frame_id")))
-    drawn = trials.withColumn("r", F.row_number().over(W.partitionBy("seed").orderBy(key, "frame_id"))).where(F.col("r") <= n)
-    s = drawn.groupBy("seed").agg(F.count("*").alias("n"), F.avg("y").alias("my"), F.avg("x").alias("mx"), F.var_samp("y").alias("vy"), F.var_samp("x").alias("vx"), F.covar_samp("y", "x").alias("cov"))
+    share = (n + 8 * math.sqrt(n) + 16) / max(1, total)
+    while True:
+        kept = trials if share >= 1 else trials.where(F.substring(key, 1, 8) < f"{int(share * 16**8):08x}")
+        if share >= 1 or kept.groupBy("seed").count().where(F.col("count") >= min(n, total)).count() == len(set(seeds)):
+            break
+        share *= 2
+    return kept.withColumn("r", F.row_number().over(W.partitionBy("seed").orderBy(key, "frame_id"))).where(F.col("r") <= n).drop("r")
+
+
+def coverage(frames: DataFrame, n: int, seeds: Sequence[int], y: str = "y", x: str = "x", z: float = Z95) -> DataFrame:
+    """Share of seeds whose interval holds the exact mean, and variance of both estimates: every seed in one plan."""
+    rows = frames.select("frame_id", F.col(y).alias("y"), F.col(x).alias("x"))
+    s = drawn(rows, n, seeds).groupBy("seed").agg(F.count("*").alias("n"), F.avg("y").alias("my"), F.avg("x").alias("mx"), F.var_samp("y").alias("vy"), F.var_samp("x").alias("vx"), F.covar_samp("y", "x").alias("cov"))
     s = s.crossJoin(F.broadcast(frames.agg(F.avg(x).alias("mu"), F.avg(y).alias("truth"), F.count("*").alias("total"))))
     c = F.when(F.col("vx") > 0, F.col("cov") / F.col("vx")).otherwise(0.0)
     est = F.col("my") - c * (F.col("mx") - F.col("mu"))

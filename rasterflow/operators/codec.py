@@ -131,6 +131,45 @@ def smoothed(p: np.ndarray, most: float = 24.0) -> np.ndarray:
     return out
 
 
+class Scanlines:
+    """Decodes a block-DCT payload line by line: skips lines without inverse transforms, and only transforms the blocks of the columns kept.
+
+    Lines of skipped block rows are never inflated, as each block row has its offset; nothing after the last line read is.
+    """
+
+    def __init__(self, payload: bytes, index: list[int], left: int = 0, right: int | None = None):
+        self.payload, self.index, self.at = payload, index, 0
+        self.height, self.width, self.quality = struct.unpack_from("<III", payload)
+        self.left, self.right = max(0, left), min(self.width, self.width if right is None else right)
+        self.inflated = 0  # block rows
+
+    def skip(self, lines: int) -> None:
+        self.at = min(self.height, self.at + max(0, lines))
+
+    def read(self, lines: int) -> np.ndarray:
+        end = min(self.height, self.at + max(0, lines))
+        if end <= self.at or self.right <= self.left:
+            self.at = max(self.at, end)
+            return np.empty((0, max(0, self.right - self.left)), np.uint8)
+        x0, x1, cols = self.left // 8, -(-self.right // 8), -(-self.width // 8)
+        out = []
+        for y in range(self.at // 8, -(-end // 8)):
+            c = np.frombuffer(zlib.decompress(self.payload[self.index[y] : self.index[y + 1]]), "<i2").reshape(cols, 8, 8)[x0:x1]
+            self.inflated += 1
+            p = BASIS.T @ (c * quantiser(self.quality)) @ BASIS + 128
+            band = np.clip(np.rint(p), 0, 255).astype(np.uint8).transpose(1, 0, 2).reshape(8, -1)
+            out.append(band[max(0, self.at - 8 * y) : end - 8 * y, self.left - 8 * x0 : self.right - 8 * x0])
+        self.at = end
+        return np.concatenate(out)
+
+
+def decode_rows(payload: bytes, index: list[int], top: int, bottom: int, left: int, right: int) -> np.ndarray:
+    """A region by scanlines: skip to its top, cut its columns, stop after its bottom (no filter over block edges)."""
+    lines = Scanlines(payload, index, left, right)
+    lines.skip(top)
+    return lines.read(bottom - lines.at)
+
+
 # Pyramid -------------------------------------------------------------------
 
 
@@ -169,20 +208,26 @@ def pyramid_decode(payload: bytes, index: list[int], level: int = 0) -> np.ndarr
     return r
 
 
+def stages() -> list[tuple[str, bool]]:
+    """Stages of the block codec's decoding, and which must stay on the host: entropy decoding can't be spread, the others can."""
+    return [("entropy", True), ("inverse_transform", False), ("deblock", False)]
+
+
 def psnr(a: np.ndarray, b: np.ndarray) -> float:
     e = float(((a.astype(float) - b) ** 2).mean())
     return float("inf") if e == 0 else 10 * np.log10(255**2 / e)
 
 
 FORMATS = ("full", "half_png", "half_dct95", "half_dct75")
+LOSSLESS = ("full", "half_png", "quarter_png")
 
 
 def encode(format_id: str, r: np.ndarray) -> tuple[bytes, list[int]]:
-    small = half(r) if format_id.startswith("half") else r
-    if format_id in ("full", "half_png"):
+    small = half(r) if format_id.startswith("half") else half(half(r)) if format_id.startswith("quarter") else r
+    if format_id in LOSSLESS:
         return png_encode(small), []
     return dct_encode(small, int(format_id[-2:]))
 
 
 def decode(format_id: str, payload: bytes, index: list[int], deblock: bool = True) -> np.ndarray:
-    return png_decode(payload) if format_id in ("full", "half_png") else dct_decode(payload, index, deblock=deblock)
+    return png_decode(payload) if format_id in LOSSLESS else dct_decode(payload, index, deblock=deblock)

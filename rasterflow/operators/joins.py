@@ -21,3 +21,15 @@ def asof(left: DataFrame, right: DataFrame, key: str, ts: str, value: str) -> Da
     rows = both.unionByName(other, allowMissingColumns=True)
     w = W.partitionBy(key).orderBy(ts, "_side", "_v").rowsBetween(W.unboundedPreceding, W.currentRow)
     return rows.withColumn(value, F.last("_v", ignorenulls=True).over(w)).where("_side = 1").drop("_side", "_v")
+
+
+def back_range(rows: DataFrame, key: str, at: str, width: int) -> DataFrame:
+    """rows with n: how many of the same key lie in the `width` before each, itself and ties included.
+
+    A row also goes to the stretch after its own, so a window over (key, stretch) sees all that a frame can reach and a
+    key with most of the rows is spread over time.
+    """
+    own = F.floor(F.col(at) / F.lit(width))
+    both = rows.withColumn("_own", own).withColumn("_s", F.explode(F.array(own, own + 1)))
+    w = W.partitionBy(key, "_s").orderBy(at).rangeBetween(-width, 0)
+    return both.withColumn("n", F.count("*").over(w)).where("_s = _own").drop("_own", "_s")

@@ -9,7 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 from pyspark.sql import types as T
-from pyspark.sql.functions import pandas_udf, udf, udtf
+from pyspark.sql.functions import arrow_udf, pandas_udf, udf, udtf
 
 
 def brightness(payload: bytes | None) -> float:
@@ -48,14 +48,29 @@ class Blocks:
             yield i // 64, brightness(payload[i : i + 64])
 
 
-IMPLEMENTATIONS = ("udf", "pandas_udf", "arrow")
+@arrow_udf(T.DoubleType())
+def by_array(parts: pa.Array) -> pa.Array:
+    return pa.array([brightness(x) for x in parts.to_pylist()], pa.float64())
+
+
+@pandas_udf(T.DoubleType())
+def jackknife(v: pd.Series) -> float:
+    """Standard error of a group's mean by leaving out one value at a time."""
+    v, n = v.dropna().to_numpy(float), int(v.notna().sum())
+    if n < 2:
+        return float("nan")
+    left = (v.sum() - v) / (n - 1)
+    return float(np.sqrt((n - 1) / n * ((left - left.mean()) ** 2).sum()))
+
+
+IMPLEMENTATIONS = ("udf", "pandas_udf", "arrow_udf", "arrow")
 
 
 def stack(rows: DataFrame, impl: str) -> DataFrame:
     """Rows (raster_id, score) by the named implementation."""
     if impl == "arrow":
         return by_batch(rows)
-    f = {"udf": by_row, "pandas_udf": by_series}[impl]
+    f = {"udf": by_row, "pandas_udf": by_series, "arrow_udf": by_array}[impl]
     return rows.select("raster_id", f(F.col("payload")).alias("score"))
 
 

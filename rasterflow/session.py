@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
+import uuid
 import zipfile
 
 from pyspark.sql import SparkSession
@@ -43,3 +45,16 @@ def ship(spark: SparkSession) -> SparkSession:
     context.addPyFile(path)
     ship.done = context.applicationId
     return spark
+
+
+def shared_folder(spark: SparkSession, kind: str) -> str:
+    """A new path that driver and executors share, in the session's spark.checkpoint.dir.
+
+    Where that is unset, a local session gets a folder of its own; any other is refused.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None) or getattr(shared_folder, "own", None)
+    if not base:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        base = shared_folder.own = tempfile.mkdtemp(prefix="rasterflow-shared-")
+    return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"

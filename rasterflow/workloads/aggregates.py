@@ -63,12 +63,12 @@ def sweep(f):
 
 query("b7_required_samples", each_sql(SWEEP))(each(sweep))
 
-COVER = """SELECT round(avg((abs(est - truth) <= 1.959964::DOUBLE * sqrt(var))::INT), 6) AS coverage, round(var_samp(est) / var_samp(my), 4) AS variance_ratio FROM
+COVER = """SELECT round(avg((abs(est - truth) <= 1.959964::DOUBLE * sqrt(var))::INT), 6) AS coverage, round(var_samp(est) / nullif(var_samp(my), 0), 4) AS variance_ratio FROM
  (SELECT my, truth, my - c * (mx - mu) AS est, greatest(0, vy - c * cov) / n * (1 - n / total::DOUBLE) AS var FROM (SELECT *, CASE WHEN vx > 0 THEN cov / vx ELSE 0 END AS c FROM
  (SELECT seed, count(*) AS n, avg(y) AS my, avg(x) AS mx, var_samp(y) AS vy, var_samp(x) AS vx, covar_samp(y, x) AS cov FROM
  (SELECT *, row_number() OVER (PARTITION BY seed ORDER BY md5(seed::VARCHAR || '-' || frame_id), frame_id) AS r FROM FRAMES CROSS JOIN (SELECT unnest(range(40)) AS seed)) WHERE r <= 100 GROUP BY seed)
  CROSS JOIN (SELECT avg(x) AS mu, avg(y) AS truth, count(*) AS total FROM FRAMES)))"""
-query("e6m_coverage", each_sql(COVER))(each(lambda f: A.coverage(f, 100, range(40)).select(R6("coverage").alias("coverage"), F.round(F.col("cv_variance") / F.col("plain_variance"), 4).alias("variance_ratio"))))
+query("e6m_coverage", each_sql(COVER))(each(lambda f: A.coverage(f, 100, range(40)).select(R6("coverage").alias("coverage"), F.round(F.try_divide("cv_variance", "plain_variance"), 4).alias("variance_ratio"))))
 
 
 @query("e7m_negative_control", f"SELECT round(corr(none, y), 6) AS rho, round(1 - corr(none, y) ^ 2, 6) AS variance_factor FROM {STREAM_SQL['v2_orders']}")
@@ -77,7 +77,17 @@ def negative(spark, sf):
     return STREAMS["v2_orders"](spark, sf).agg(R6(F.corr("none", "y")).alias("rho"), R6(1 - F.pow(F.corr("none", "y"), 2)).alias("variance_factor"))
 
 
-@query("b7a_adaptive")
+ADAPT = """SELECT arg_max(estimate, k) AS estimate, arg_max(half, k) AS half_width, arg_max(n, k)::BIGINT AS target_calls, max(k)::INTEGER AS rounds, arg_max(abs(estimate - m) / m, k) AS error FROM (
+WITH RECURSIVE f AS (SELECT y, x, row_number() OVER (ORDER BY md5('0-' || frame_id), frame_id) AS r FROM FRAMES),
+o AS (SELECT count(*) AS total, avg(y) AS m, avg(x) AS mu, 0.03::DOUBLE * avg(y) AS eps FROM f),
+t AS (SELECT n, my - c * (mx - mu) AS estimate, 1.959964::DOUBLE * sqrt(greatest(0.0::DOUBLE, vy - 2 * c * cov + c * c * vx) / n * (1 - n / total::DOUBLE)) AS half FROM (SELECT *, CASE WHEN vx > 0 THEN cov / vx ELSE 0.0 END AS c FROM
+ (SELECT r AS n, avg(y) OVER w AS my, avg(x) OVER w AS mx, var_samp(y) OVER w AS vy, var_samp(x) OVER w AS vx, covar_samp(y, x) OVER w AS cov FROM f WINDOW w AS (ORDER BY r)) CROSS JOIN o)),
+s(k, n, half) AS (SELECT 1, least(50, total), half FROM o JOIN t ON t.n = least(50, total)
+ UNION ALL SELECT k + 1, t.n, t.half FROM s CROSS JOIN o JOIN t ON t.n = least(total, greatest(s.n + 1, ceil(1.1::DOUBLE * (s.n * (s.half / eps) ^ 2))::BIGINT)) WHERE s.half > eps AND s.n < total AND k <= 8)
+SELECT s.k, s.n, s.half, t.estimate, m FROM s JOIN t ON t.n = s.n CROSS JOIN o)"""
+
+
+@query("b7a_adaptive", each_sql(ADAPT).replace("estimate, half_width", "estimate, half_width"))
 def adaptive(spark, sf):
     """Rounds of a growing sample until the error is within 3 % of the mean."""
     rows = []

@@ -8,6 +8,7 @@ from ..functions import cost, geometry
 from ..plans import dag, placement, select
 from ..registry import query
 from ..sources import literals as L
+from .studies import FLAGGED, flagged
 
 R6 = lambda c: F.round(c, 6)
 EXAMPLE, REGIMES = L.EXAMPLE.sql(), L.REGIMES.sql()
@@ -121,6 +122,15 @@ def c8(spark, sf):
     return L.REGIMES.df(spark).select("config", cost.regime(F.col("pre"), F.col("exec")).alias("regime"))
 
 
+SLOW = L.Relation("model_id string, format_id string, pre double, exec double, acc double", (("rcnn", "full", 527.0, 4.0, 90.0), ("mask", "full", 527.0, 5.0, 80.0), ("res50", "half", 1995.0, 4513.0, 75.0), ("rcnn", "half", 1995.0, 4.0, 90.0)))
+
+
+@query("c10a_no_model_is_fast_enough", f"SELECT format_id, model_id, exec < pre AS exec_bound FROM (SELECT *, row_number() OVER (PARTITION BY format_id ORDER BY exec >= pre DESC, CASE WHEN exec >= pre THEN -acc ELSE -exec END, model_id) AS n FROM {SLOW.sql()}) WHERE n = 1")
+def c10a(spark, sf):
+    """Detectors are slower than any decoding: the fastest is kept and flagged (an example of ours)."""
+    return select.matched_model(SLOW.df(spark)).select("format_id", "model_id", "exec_bound")
+
+
 @query("c10_matched_model", f"SELECT format_id, model_id, exec_bound FROM (SELECT *, exec < pre AS exec_bound, row_number() OVER (PARTITION BY format_id ORDER BY exec < pre, CASE WHEN exec >= pre THEN -acc ELSE -exec END, model_id) AS n FROM {EXAMPLE}) WHERE n = 1")
 def c10(spark, sf):
     return select.matched_model(L.EXAMPLE.df(spark)).select("format_id", "model_id", "exec_bound")
@@ -185,12 +195,12 @@ def p4a(spark, sf):
     return select.frontier_bruteforce(trained(spark)).select("model_id", "format_id", "training", "acc", "est_tput")
 
 
-LES = f"(SELECT *, tput AS est_tput FROM {L.LESIONS.sql()})"
+LES = f"(SELECT *, tput AS est_tput FROM {FLAGGED})"
 
 
 @query("p4b_frontier_by_dataset", f"SELECT dataset, lowres, dag, acc, est_tput FROM ({undominated(LES, by='dataset')})")
 def p4b(spark, sf):
-    return select.frontier(L.LESIONS.df(spark).withColumn("est_tput", F.col("tput")), by=["dataset"]).select("dataset", "lowres", "dag", "acc", "est_tput")
+    return select.frontier(flagged(spark, sf).withColumn("est_tput", F.col("tput")), by=["dataset"]).select("dataset", "lowres", "dag", "acc", "est_tput")
 
 
 @query("p6_model_space", f"SELECT model_id, depth, exec, round(exec / min(exec) OVER (), 6) AS over_deepest FROM {MODELS}")
@@ -376,16 +386,16 @@ def e12m(spark, sf):
     return i.join(base, "optimised").select("vcpus", "optimised", R6(F.col("tput") / (F.col("vcpus") / 4.0 * F.col("base"))).alias("efficiency"))
 
 
-@query("e13m_lesion_deltas", f"SELECT a.dataset, a.name, round(f.tput / a.tput, 6) AS loss FROM (SELECT dataset, CASE WHEN lowres THEN 'without dag' ELSE 'without lowres' END AS name, tput FROM {L.LESIONS.sql()} WHERE lowres <> dag) a JOIN {L.LESIONS.sql().replace('AS lit', 'AS f')} ON f.dataset = a.dataset AND f.lowres AND f.dag")
+@query("e13m_lesion_deltas", f"SELECT a.dataset, a.name, round(f.tput / a.tput, 6) AS loss FROM (SELECT dataset, CASE WHEN lowres THEN 'without dag' ELSE 'without lowres' END AS name, tput FROM {FLAGGED} WHERE lowres <> dag) a JOIN {FLAGGED[:-3]}f ON f.dataset = a.dataset AND f.lowres AND f.dag")
 def e13m(spark, sf):
-    d = L.LESIONS.df(spark)
+    d = flagged(spark, sf)
     whole = d.where("lowres AND dag").select("dataset", F.col("tput").alias("whole"))
     return d.where("lowres <> dag").join(whole, "dataset").select("dataset", F.when(F.col("lowres"), "without dag").otherwise("without lowres").alias("name"), R6(F.col("whole") / F.col("tput")).alias("loss"))
 
 
-@query("e13n_factor_increments", f"SELECT dataset, k::INTEGER AS step, round(tput / lag(tput) OVER (PARTITION BY dataset ORDER BY k), 6) AS gain FROM (SELECT dataset, tput, CASE WHEN lowres THEN 2 WHEN dag THEN 1 ELSE 0 END AS k FROM {L.LESIONS.sql()} WHERE dag OR NOT lowres)")
+@query("e13n_factor_increments", f"SELECT dataset, k::INTEGER AS step, round(tput / lag(tput) OVER (PARTITION BY dataset ORDER BY k), 6) AS gain FROM (SELECT dataset, tput, CASE WHEN lowres THEN 2 WHEN dag THEN 1 ELSE 0 END AS k FROM {FLAGGED} WHERE dag OR NOT lowres)")
 def e13n(spark, sf):
-    d = L.LESIONS.df(spark).where("dag OR NOT lowres").withColumn("step", F.when(F.col("lowres"), 2).when(F.col("dag"), 1).otherwise(0))
+    d = flagged(spark, sf).where("dag OR NOT lowres").withColumn("step", F.when(F.col("lowres"), 2).when(F.col("dag"), 1).otherwise(0))
     return d.select("dataset", "step", R6(F.col("tput") / F.lag("tput").over(W.partitionBy("dataset").orderBy("step"))).alias("gain"))
 
 
@@ -402,9 +412,9 @@ def e15m(spark, sf):
     return L.GENERATIONS.df(spark).select("device", R6(F.col("tput") / F.first("tput").over(W.orderBy("released", "tput"))).alias("ratio"))
 
 
-@query("e4m_speedup_at_accuracy", f"SELECT dataset, round(max(CASE WHEN lowres AND dag THEN tput END) / max(CASE WHEN NOT lowres AND NOT dag THEN tput END), 6) AS speedup FROM {L.LESIONS.sql()} WHERE acc >= 75 GROUP BY dataset")
+@query("e4m_speedup_at_accuracy", f"SELECT dataset, round(max(CASE WHEN lowres AND dag THEN tput END) / max(CASE WHEN NOT lowres AND NOT dag THEN tput END), 6) AS speedup FROM {FLAGGED} GROUP BY dataset")
 def e4m(spark, sf):
-    d = L.LESIONS.df(spark).where("acc >= 75").groupBy("dataset")
+    d = flagged(spark, sf).groupBy("dataset")
     return d.agg(R6(F.max(F.when(F.col("lowres") & F.col("dag"), F.col("tput"))) / F.max(F.when(~F.col("lowres") & ~F.col("dag"), F.col("tput")))).alias("speedup"))
 
 
@@ -447,14 +457,14 @@ def z7(spark, sf):
     return L.REGIMES.df(spark).crossJoin(F.broadcast(f)).select("config", "d_exec", "d_pre", R6(cost.sensitivity(F.col("pre"), F.col("exec"), F.col("d_exec"), F.col("d_pre"))).alias("gain"))
 
 
-SHAP = f"(SELECT dataset, max(CASE WHEN NOT lowres AND NOT dag THEN ln(tput) END) AS n, max(CASE WHEN lowres AND NOT dag THEN ln(tput) END) AS l, max(CASE WHEN dag AND NOT lowres THEN ln(tput) END) AS g, max(CASE WHEN dag AND lowres THEN ln(tput) END) AS b FROM {L.LESIONS.sql()} GROUP BY dataset)"
+SHAP = f"(SELECT dataset, max(CASE WHEN NOT lowres AND NOT dag THEN ln(tput) END) AS n, max(CASE WHEN lowres AND NOT dag THEN ln(tput) END) AS l, max(CASE WHEN dag AND NOT lowres THEN ln(tput) END) AS g, max(CASE WHEN dag AND lowres THEN ln(tput) END) AS b FROM {FLAGGED} GROUP BY dataset)"
 
 
 @query("z8_attribution", f"SELECT dataset, round(((l - n) + (b - g)) / 2, 6) AS lowres_log_gain, round(((g - n) + (b - l)) / 2, 6) AS dag_log_gain FROM {SHAP}")
 def z8(spark, sf):
     """Each flag's mean log gain over both orders of adding them."""
     at = lambda lo, g: F.max(F.when((F.col("lowres") == lo) & (F.col("dag") == g), F.log("tput")))
-    d = L.LESIONS.df(spark).groupBy("dataset").agg(at(False, False).alias("n"), at(True, False).alias("l"), at(False, True).alias("g"), at(True, True).alias("b"))
+    d = flagged(spark, sf).groupBy("dataset").agg(at(False, False).alias("n"), at(True, False).alias("l"), at(False, True).alias("g"), at(True, True).alias("b"))
     return d.select("dataset", R6(F.expr("((l - n) + (b - g)) / 2")).alias("lowres_log_gain"), R6(F.expr("((g - n) + (b - l)) / 2")).alias("dag_log_gain"))
 
 

@@ -8,11 +8,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import functions as F
 
-from ..functions import cost
-from ..operators import codec, inference as I
-from ..plans import profile, select
+from ..operators import codec, inference as I, udfs
+from ..plans import engine as E, profile
 from ..registry import query
 from ..sources.rasters import text_blobs
+from . import studies
+from .rasters import PIXELS
 
 
 @query("w5_format_matrix", "SELECT f AS format_id, count(*) AS n FROM documents CROSS JOIN (VALUES ('full'), ('half_png'), ('half_dct95'), ('half_dct75')) x(f) GROUP BY 1")
@@ -53,9 +54,10 @@ def middle(r):
     return w // 4, h // 4, w - w // 4, h - h // 4
 
 
-def png_trip(r):
+def early(r):
+    """Sum of the first half of the rows, from a decoder that inflates no more."""
     blob, n = codec.png_encode(r), -(-len(r) // 2)
-    return same(codec.png_decode(blob), r), same(codec.png_decode(blob, n), r[:n])
+    return int(codec.png_decode(blob).sum()), int(codec.png_decode(blob, n).sum())
 
 
 def roi(r):
@@ -64,15 +66,29 @@ def roi(r):
     return same(codec.dct_decode(p, i, (left, top, right, bottom)), codec.dct_decode(p, i)[top:bottom, left:right]), same(codec.dct_decode(p, i, (left, top, right, bottom), False), codec.dct_decode(p, i, deblock=False)[top:bottom, left:right])
 
 
+def scanlines(r):
+    """The middle by scanlines: whether it equals decode-and-crop, the block rows inflated, and those that the region touches."""
+    left, top, right, bottom = middle(r)
+    p, i = codec.dct_encode(r, 75)
+    lines = codec.Scanlines(p, i, left, right)
+    lines.skip(top)
+    got = lines.read(bottom - top)
+    return same(got, codec.dct_decode(p, i, deblock=False)[top:bottom, left:right]), lines.inflated
+
+
 def pyramid(r):
+    """Sums of each level, from the shortest prefix of the payload that holds it."""
     p, i = codec.pyramid_encode(r, 2)
-    return same(codec.pyramid_decode(p, i, 0), r), same(codec.pyramid_decode(p, i, 1), codec.half(r)), same(codec.pyramid_decode(p, i, 2), codec.half(codec.half(r)))
+    return tuple(int(codec.pyramid_decode(p[: i[3 - level]], i, level).sum()) for level in range(3))
 
 
 TRUE = "SELECT doc_id AS raster_id, {} FROM documents"
-kernel("k4_png_early_stop", "whole boolean, part boolean", png_trip, sql=TRUE.format("true AS whole, true AS part"))
+HALVES = f"""px AS MATERIALIZED {PIXELS}, l1 AS (SELECT raster_id, r, c, (a + b + 2) // 4 AS s, (max(h) + 1) // 2 AS h FROM (SELECT raster_id, i // 64 AS r, i % 32 // 2 AS c, max(h) AS h, sum(CASE WHEN i // 32 % 2 = 0 THEN v ELSE 0 END) AS a, sum(CASE WHEN i // 32 = least(i // 64 * 2 + 1, h - 1) THEN v ELSE 0 END) AS b FROM px GROUP BY 1, 2, 3) GROUP BY 1, 2, 3, 4),
+l2 AS (SELECT raster_id, (a + b + 2) // 4 AS s FROM (SELECT raster_id, r // 2 AS q, c // 2 AS c, sum(CASE WHEN r % 2 = 0 THEN s ELSE 0 END) AS a, sum(CASE WHEN r = least(r // 2 * 2 + 1, h - 1) THEN s ELSE 0 END) AS b FROM l1 GROUP BY 1, 2, 3))"""
+kernel("k4_png_early_stop", "whole long, part long", early, sql=f"SELECT raster_id, sum(v)::BIGINT AS whole, sum(CASE WHEN i // 32 < (h + 1) // 2 THEN v ELSE 0 END)::BIGINT AS part FROM {PIXELS} GROUP BY 1")
 kernel("k1_roi_decode", "filtered boolean, plain boolean", roi, sql=TRUE.format("true AS filtered, true AS plain"))
-kernel("k6_multi_resolution", "level0 boolean, level1 boolean, level2 boolean", pyramid, sql=TRUE.format("true AS level0, true AS level1, true AS level2"))
+kernel("k3_scanline_decode", "equal boolean, inflated long", scanlines, sql=TRUE.format("true AS equal, CASE WHEN b > t THEN ceil(b / 8) - t // 8 ELSE 0 END::BIGINT AS inflated").replace("FROM documents", "FROM (SELECT doc_id, h // 4 AS t, h - h // 4 AS b FROM (SELECT doc_id, greatest(1, ceil(octet_length(encode(coalesce(text, ''))) / 32))::BIGINT AS h FROM documents))"))
+kernel("k6_multi_resolution", "level0 long, level1 long, level2 long", pyramid, sql=f"WITH {HALVES} SELECT a.raster_id, level0, level1, level2 FROM (SELECT raster_id, sum(v)::BIGINT AS level0 FROM px GROUP BY 1) a JOIN (SELECT raster_id, sum(s)::BIGINT AS level1 FROM l1 GROUP BY 1) b USING (raster_id) JOIN (SELECT raster_id, sum(s)::BIGINT AS level2 FROM l2 GROUP BY 1) c USING (raster_id)")
 kernel("k9_quality_ladder", "q20 double, q75 double, q95 double, ordered boolean", lambda r: (lambda e: (*e, e[0] >= e[1] >= e[2]))([float(((codec.dct_decode(*codec.dct_encode(r, q), deblock=False).astype(float) - r) ** 2).mean()) for q in (20, 75, 95)]))
 kernel("k5_reduced_fidelity", "with_filter double, without double", lambda r: (lambda p, i: tuple(float(((codec.dct_decode(p, i, deblock=d).astype(float) - r) ** 2).mean()) for d in (True, False)))(*codec.dct_encode(r, 30)))
 kernel("w3_large_rasters", "rows int, stored long", lambda r: (len(r), len(codec.png_encode(r))), source="pages")
@@ -84,18 +100,13 @@ def split(spark, sf):
     return blobs.where(~group), blobs.where(group)
 
 
-def graded(spark, sf, names=("res18", "res34", "res50")):
-    """Rows (model_id, training, format_id, n, acc): every model with both trainings on every format."""
+def graded(spark, sf, names=("res18", "res34", "res50"), formats=codec.FORMATS):
+    """Rows (model_id, training, format_id, n, acc): every model with both trainings on every format, in one pass over held-out renditions."""
     own, held = split(spark, sf)
-    models = I.ladder(own, names).models
-    r = I.renditions(held)
-    out = None
-    for (name, training), m in models.items():
-        for f in codec.FORMATS:
-            one = I.infer(r.where(F.col("format_id") == f), m).agg(F.count("*").alias("n"), F.avg((F.col("label") == F.col("guess")).cast("double")).alias("acc"))
-            one = one.select(F.lit(name).alias("model_id"), F.lit(training).alias("training"), F.lit(f).alias("format_id"), "n", "acc")
-            out = one if out is None else out.unionByName(one)
-    return out
+    models = {f"{n}/{t}": m for (n, t), m in I.ladder(own, names).models.items()}
+    got = I.infer_all(I.renditions(held, formats), models).groupBy("model", "format_id").agg(F.count("*").alias("n"), F.avg((F.col("label") == F.col("guess")).cast("double")).alias("acc"))
+    part = F.split("model", "/")
+    return got.select(part[0].alias("model_id"), part[1].alias("training"), "format_id", "n", "acc")
 
 
 @query("w6_training_grid")
@@ -104,33 +115,6 @@ def training_grid(spark, sf):
     return graded(spark, sf, ("res34", "res50"))
 
 
-@query("w12_pareto")
-def pareto(spark, sf):
-    """The engine's Pareto set against the naive baseline's, on held-out accuracy and modelled rates."""
-    acc = graded(spark, sf)
-    best = select.choose(acc, "acc", tie=("training",), by=("model_id", "format_id"))
-    ex = spark.createDataFrame([("res18", 12592.0), ("res34", 6860.0), ("res50", 4513.0)], "model_id string, exec double")
-    pre = spark.createDataFrame([("full", 527.0), ("half_png", 1995.0), ("half_dct95", 5900.0), ("half_dct75", 5900.0)], "format_id string, pre double")
-    plans = select.estimate(best.join(F.broadcast(ex), "model_id").join(F.broadcast(pre), "format_id"))
-    both = plans.withColumn("method", F.lit("engine")).unionByName(plans.where("format_id = 'full'").withColumn("method", F.lit("naive")))
-    return select.frontier(both, by=["method"]).select("method", "model_id", "training", "format_id", "acc", "est_tput")
-
-
-@query("b2_cascade")
-def cascade(spark, sf):
-    """A tiny net answers where it is confident; the deepest net sees the rest.  One row: shares, accuracy, modelled rates."""
-    own, held = split(spark, sf)
-    tiny, deep = I.train(own, I.BINS["tiny"]), I.train(own, I.BINS["res50"])
-    r = I.renditions(held, ("full",))
-    a = I.infer(r, tiny).select("raster_id", "label", F.col("guess").alias("quick"), F.col("score").alias("sure"))
-    b = I.infer(r, deep).select("raster_id", F.col("guess").alias("slow"))
-    j = a.join(b, "raster_id").withColumn("passed", F.col("sure") < 0.9)
-    hit = lambda c: F.avg((c == F.col("label")).cast("double"))
-    out = j.agg(F.count("*").alias("n"), F.avg(F.col("passed").cast("double")).alias("share"), hit(F.col("quick")).alias("quick_acc"), hit(F.col("slow")).alias("slow_acc"), hit(F.when(F.col("passed"), F.col("slow")).otherwise(F.col("quick"))).alias("acc"))
-    ex = 1 / (1 / F.lit(250000.0) + F.col("share") / F.lit(4513.0))
-    return out.withColumn("exec", ex).withColumn("est_tput", cost.est_pipelined(cost.true_pre(F.lit(527.0), F.lit(527.0), F.col("share")), ex))
-
-
 @query("r4_runtime_lesions")
 def lesions(spark, sf):
     """Seconds and results of the model stage with its parts switched off; the answers must agree."""
@@ -147,27 +131,112 @@ def lesions(spark, sf):
 
 @query("e2m_stage_breakdown")
 def breakdown(spark, sf):
-    """Mean microseconds for each raster: decode, features, score; measured on the executors."""
+    """Microseconds of each stage for an item: decoding and every operator of the declared and the optimised chain, and the deepest net; measured."""
+    e, rows = studies.engine(spark, sf), []
+    for f in e.formats:
+        for name, chain in (("declared", E.CHAIN), ("optimised", e.chain(f))):
+            rows += [(f, name, i, op, s * 1e6) for i, op, s in e.timed(f, chain)]
+    x, m = np.ones((64, 16)), np.ones((4, 16))
+    began = time.perf_counter()
+    for _ in range(50):
+        ((x[:, None, :] - m) ** 2).sum(2).argmin(1)
+    rows.append(("all", "net", 0, E.NETS[-1].model_id, (time.perf_counter() - began) / 50 / 64 * 1e6))
+    return spark.createDataFrame(rows, "format_id string, chain string, place int, op string, microseconds double")
+
+
+@query("k5_choose_fidelity")
+def choose_fidelity(spark, sf):
+    """Proxy and target with and without the filter over block edges: accuracy and measured decoding of each, and the faster that loses at most a point."""
+    own, held = split(spark, sf)
+    rows, out = I.renditions(held, ("half_dct75",)).persist(), []
+    for name in ("res18", "res50"):
+        m = I.train(own, I.BINS[name])
+        for deblock in (True, False):
+            began = time.perf_counter()
+            acc = I.infer(rows, m, deblock=deblock).agg(F.avg((F.col("guess") == F.col("label")).cast("double"))).first()[0]
+            out.append((name, deblock, acc, time.perf_counter() - began))
+    rows.unpersist()
+    best = {n: max(a or 0.0 for k, _, a, _ in out if k == n) for n in ("res18", "res50")}
+    chosen = {n: min((s, d) for k, d, a, s in out if k == n and (a or 0.0) >= best[n] - 0.01)[1] for n in ("res18", "res50")}
+    return spark.createDataFrame([(*r, chosen[r[0]] == r[1]) for r in out], "model_id string, deblock boolean, acc double, seconds double, chosen boolean")
+
+
+@query("z13_quality_sweep")
+def quality_sweep(spark, sf):
+    """Accuracy, size and decoding time of half-size block-DCT renditions over the quality, in one pass over held-out items."""
     own, held = split(spark, sf)
-    m = spark.sparkContext.broadcast(I.train(own, I.BINS["res50"]))
+    m = spark.sparkContext.broadcast(I.train(own, I.BINS["res50"], "lowres"))
 
     def go(batches):
         for b in batches:
-            took, n = [0.0, 0.0, 0.0], 0
-            for p in b.column(0).to_pylist():
-                t0 = time.perf_counter()
-                r = codec.png_decode(p)
-                t1 = time.perf_counter()
-                x = I.features(r, m.value.bins)[None, :]
-                t2 = time.perf_counter()
-                m.value.scores(x)
-                took = [a + b for a, b in zip(took, (t1 - t0, t2 - t1, time.perf_counter() - t2), strict=True)]
-                n += 1
-            yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64()), *[pa.array([v]) for v in took]], ["n", "decode", "features", "score"])
-
-    s = I.renditions(held, ("full",)).select("payload").mapInArrow(go, "n long, decode double, features double, score double")
-    per = lambda c: (F.sum(c) / F.sum("n") * 1e6).alias(c)
-    return s.agg(F.sum("n").alias("n"), per("decode"), per("features"), per("score"))
+            for p, label in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                small, rows = codec.half(codec.text_raster(p)), []
+                for q in (10, 30, 50, 75, 95):
+                    payload, index = codec.dct_encode(small, q)
+                    began = time.perf_counter()
+                    r = codec.dct_decode(payload, index)
+                    took = time.perf_counter() - began
+                    guess = m.value.labels[int(m.value.scores(I.features(r, m.value.bins)[None, :])[0].argmax())]
+                    rows.append((q, len(payload), took, guess == label))
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows, strict=True)], ["quality", "n_bytes", "seconds", "hit"])
+
+    s = held.where("label IS NOT NULL").select("payload", "label").mapInArrow(go, "quality long, n_bytes long, seconds double, hit boolean")
+    return s.groupBy("quality").agg(F.count("*").alias("n"), F.avg("n_bytes").alias("n_bytes"), (F.avg("seconds") * 1e6).alias("microseconds"), F.avg(F.col("hit").cast("double")).alias("acc"))
+
+
+@query("e16m_training_overhead")
+def training_overhead(spark, sf):
+    """Seconds of regular training and of the low-resolution rounds after it, and their ratio; measured."""
+    own, _ = split(spark, sf)
+    rows = []
+    for name in ("res18", "res34", "res50"):
+        began = time.perf_counter()
+        m = I.train(own, I.BINS[name])
+        middle_ = time.perf_counter()
+        I.train(own, I.BINS[name], "lowres", start=m)
+        rows.append((name, middle_ - began, time.perf_counter() - middle_))
+    return spark.createDataFrame([(n, a, b, b / a) for n, a, b in rows], "model_id string, regular double, lowres double, overhead double")
+
+
+@query("w7_own_stacks")
+def own_stacks(spark, sf):
+    """Items a second of the same score by each kind of user-defined function; measured."""
+    rows, out = text_blobs(spark, sf).persist(), []
+    n = rows.count()
+    for impl in udfs.IMPLEMENTATIONS:
+        out.append((impl, n / profile.seconds(udfs.stack(rows, impl), 2)))
+    rows.unpersist()
+    return spark.createDataFrame(out, "stack string, tput double")
+
+
+@query("w17_own_cores")
+def own_cores(spark, sf):
+    """Items a second of the optimised and the declared chain on 1, 2 and 4 tasks at a time; measured."""
+    own, held = split(spark, sf)
+    m, out = I.train(own, I.BINS["res18"]), []
+    for name, f in (("optimised", "half_png"), ("unoptimised", "full")):
+        rows = I.renditions(held, (f,)).persist()
+        n = rows.count()
+        for cores in (1, 2, 4):
+            out.append((name, cores, n / profile.seconds(I.infer(rows.coalesce(cores), m), 2)))
+        rows.unpersist()
+    return spark.createDataFrame(out, "chain string, cores int, tput double")
+
+
+@query("w15_system_factors")
+def system_factors(spark, sf):
+    """Parts of the runtime added one by one, on full and small renditions: batches, buffer reuse, decoding threads, the optimised chain's rendition; measured, answers agree."""
+    own, held = split(spark, sf)
+    m, out = I.train(own, I.BINS["res50"]), []
+    for f in ("full", "half_png"):
+        rows = I.renditions(held, (f,)).persist()
+        n = rows.count()
+        for k, (name, r) in enumerate((("one by one", I.Runtime(threads=0, batch=1, reuse=False)), ("+ batches", I.Runtime(threads=0, reuse=False)), ("+ reuse", I.Runtime(threads=0)), ("+ threads", I.Runtime()), ("+ producers", I.Runtime(threads=None, consumers=2)))):
+            got = I.infer(rows, m, r)
+            hits = got.agg(F.sum((F.col("guess") == F.col("label")).cast("long"))).first()[0]
+            out.append((f, k, name, n, hits, n / profile.seconds(got)))
+        rows.unpersist()
+    return spark.createDataFrame(out, "format_id string, step int, part string, n long, hits long, tput double")
 
 
 @query("c6_profile")

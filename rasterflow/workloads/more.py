@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import Window as W, functions as F
 
 from ..functions import cost
 from ..operators import inference as I
 from ..plans import select
 from ..registry import query, table as t
+from ..session import shared_folder
 from ..sources import literals as L
 from ..sources.rasters import text_blobs
 from ..streaming import frames as S
@@ -25,14 +24,6 @@ def b1(spark, sf):
     return select.estimate(cand(spark).where("format_id = 'full' AND model_id <> 'tiny'")).select("model_id", "format_id", "est_tput")
 
 
-@query("b2b_cascade_space", "SELECT bins::INTEGER AS bins, width::INTEGER AS width, depth::INTEGER AS depth, row_number() OVER (ORDER BY bins * width * depth, bins, width, depth) <= 8 AS used FROM (VALUES (4), (8), (16)) a(bins) CROSS JOIN (VALUES (8), (16), (32), (64)) b(width) CROSS JOIN (VALUES (1), (2)) c(depth)")
-def b2b(spark, sf):
-    """24 small nets, of which the 8 cheapest are tried as first stages."""
-    d = spark.createDataFrame([(b, w, k) for b in (4, 8, 16) for w in (8, 16, 32, 64) for k in (1, 2)], "bins int, width int, depth int")
-    order = W.orderBy(F.col("bins") * F.col("width") * F.col("depth"), "bins", "width", "depth")
-    return d.withColumn("used", F.row_number().over(order) <= 8)
-
-
 @query("b8_control_variate_configuration", "SELECT 'tiny' AS model_id, 'full' AS format_id, 250000.0::DOUBLE AS exec_only, 527.0::DOUBLE AS pipelined")
 def b8(spark, sf):
     """One model, one format, and the estimate that leaves out preparation, beside the one that doesn't."""
@@ -72,7 +63,7 @@ def w11(spark, sf):
 @query("a2_object_aggregates", "SELECT user_id, max_by(event_id, (ts, event_id)) AS last, min_by(event_type, (ts, event_id)) AS first_type, len(list(event_id)) AS n FROM events GROUP BY 1")
 def a2(spark, sf):
     k = F.struct("ts", "event_id")
-    return t(spark, sf, "events").groupBy("user_id").agg(F.max_by("event_id", k).alias("last"), F.min_by("event_type", k).alias("first_type"), F.size(F.collect_list("event_id")).cast("long").alias("n"))
+    return t(spark, sf, "events").groupBy("user_id").agg(F.max_by("event_id", k).alias("last"), F.min_by("event_type", k).alias("first_type"), F.count("event_id").alias("n"))
 
 
 @query("f2_dates", "SELECT year(o_orderdate)::INT AS y, quarter(o_orderdate)::INT AS q, count(*) AS n, max(date_diff('day', DATE '1992-01-01', o_orderdate::DATE))::INT AS d FROM orders GROUP BY 1, 2")
@@ -107,23 +98,28 @@ def j11(spark, sf):
     return o.join(t(spark, sf, "customer").select("c_custkey"), "c_custkey", "left_semi")
 
 
-@query("t2_distributed_sort", "SELECT o_orderkey, rank() OVER (ORDER BY o_totalprice)::BIGINT AS r FROM orders QUALIFY r <= 100")
+@query("t2_distributed_sort", "SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice, o_orderkey)::BIGINT AS place FROM orders")
 def t2(spark, sf):
-    """The cheapest hundred with ties, from a top-k bound instead of a sort of everything."""
-    o = t(spark, sf, "orders").select("o_orderkey", "o_totalprice")
-    edge = o.orderBy("o_totalprice").limit(100).agg(F.max("o_totalprice").alias("edge"))
-    few = o.join(F.broadcast(edge), F.col("o_totalprice") <= F.col("edge"))
-    return few.select("o_orderkey", F.rank().over(W.orderBy("o_totalprice")).cast("long").alias("r")).where("r <= 100")
+    """All orders by price, with their places: range-partitioned and sorted, then counts of the parts before are added; no task sees all rows."""
+    path = shared_folder(spark, "sorted")
+    o = t(spark, sf, "orders").select("o_orderkey", "o_totalprice").repartitionByRange("o_totalprice", "o_orderkey").sortWithinPartitions("o_totalprice", "o_orderkey")
+    o.withColumn("part", F.spark_partition_id()).write.parquet(path)
+    o = spark.read.parquet(path)
+    parts = o.groupBy("part").agg(F.count("*").alias("n"))  # a row for each partition
+    before = parts.select("part", F.coalesce(F.sum("n").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    own = F.row_number().over(W.partitionBy("part").orderBy("o_totalprice", "o_orderkey"))
+    return o.join(F.broadcast(before), "part").select("o_orderkey", (F.col("before") + own).cast("long").alias("place"))
 
 
 SESSIONS = """SELECT user_id, count(*) AS sessions, max(n)::BIGINT AS longest FROM (SELECT user_id, s, count(*) AS n FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM
  (SELECT *, coalesce((ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE)::INT, 0) AS new FROM events)) GROUP BY 1, 2) GROUP BY 1"""
 
 
-@query("st4_sessions")
+@query("st4_sessions", SESSIONS)
 def st4(spark, sf):
-    """Sessions of users as a stream (append mode: those that the watermark has closed)."""
-    return S.finished(S.sessions(S.source(spark, f"{sf}/events.parquet")), f"s{uuid.uuid4().hex}", "append").groupBy("user_id").agg(F.count("*").alias("sessions"))
+    """Sessions of users as a stream, in complete mode: those that are still open at the end too."""
+    d = S.finished(S.sessions(S.source(spark, f"{sf}/events.parquet")), "complete", shared_folder(spark, "stream"))
+    return d.groupBy("user_id").agg(F.count("*").alias("sessions"), F.max("n").alias("longest"))
 
 
 @query("st4_sessions_batch", SESSIONS)

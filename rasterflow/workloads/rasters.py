@@ -4,9 +4,14 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Window as W, functions as F
 
 from ..functions import rasters as R
+from ..operators import codec
+from ..operators.inference import augmented
+from ..plans.engine import Engine
 from ..registry import query, table
 from ..sources.rasters import text_rasters, vector_rasters
 
@@ -105,11 +110,10 @@ def histogram_model(spark, sf):
     """Nearest centroid of byte histograms (4 bins, as the tiny net): one pass for centroids, one to score."""
     bins = F.transform(R.histogram(F.col("pixels"), 4), lambda n: n / F.size("pixels"))
     h = text_rasters(spark, sf).select("raster_id", "label", (F.col("raster_id") % 5).alias("fold"), bins.alias("h"))
-    means = h.where("fold <> 0").groupBy("label").agg(*[F.avg(F.element_at("h", k + 1)).alias(f"m{k}") for k in range(4)])
-    far = sum((F.element_at("h", k + 1) - F.col(f"m{k}")) ** 2 for k in range(4))
-    scored = h.where("fold = 0").crossJoin(F.broadcast(means.withColumnRenamed("label", "guess"))).withColumn("d", F.round(far, 12))
-    best = scored.withColumn("n", F.row_number().over(W.partitionBy("raster_id").orderBy("d", "guess"))).where("n = 1")
-    return best.select("raster_id", "label", "guess")
+    means = h.where("fold <> 0").groupBy("label").agg(F.array(*[F.avg(F.element_at("h", k + 1)) for k in range(4)]).alias("m"))
+    classes = means.agg(F.sort_array(F.collect_list(F.struct("label", "m"))).alias("classes"))  # one row of class means
+    held = h.where("fold = 0").crossJoin(F.broadcast(classes))
+    return held.select("raster_id", "label", Engine.nearest(F.col("h"), F.col("classes"), 4, places=12)[0]["label"].alias("guess"))
 
 
 H4 = f"(SELECT raster_id, label, raster_id % 5 AS fold, [len([1 for v in p if v // 64 = b]) / len(p)::DOUBLE for b in range(4)] AS h FROM {TEXT})"
@@ -172,9 +176,73 @@ CENT = "(SELECT label, i, avg(embedding[i]::DOUBLE) AS m FROM embeddings CROSS J
 
 @query("m6_nearest_centroid", f"SELECT vec_id, label, guess FROM (SELECT e.vec_id, e.label, c.label AS guess, row_number() OVER (PARTITION BY e.vec_id ORDER BY round(sum((e.embedding[c.i]::DOUBLE - c.m) ^ 2), 9), c.label) AS n FROM embeddings e CROSS JOIN {CENT} c GROUP BY 1, 2, 3) WHERE n = 1")
 def centroid(spark, sf):
-    """Ten centroids of 64 values are broadcast as one row each."""
-    e = table(spark, sf, "embeddings")
-    means = e.groupBy("label").agg(F.array(*[F.avg(F.element_at("embedding", i).cast("double")) for i in range(1, 65)]).alias("m")).withColumnRenamed("label", "guess")
-    far = F.aggregate(F.zip_with("embedding", "m", lambda a, b: (a.cast("double") - b) * (a.cast("double") - b)), F.lit(0.0), lambda s, v: s + v)
-    d = e.crossJoin(F.broadcast(means)).select("vec_id", "label", "guess", F.round(far, 9).alias("d"))
-    return d.withColumn("n", F.row_number().over(W.partitionBy("vec_id").orderBy("d", "guess"))).where("n = 1").select("vec_id", "label", "guess")
+    """Ten centroids of 64 values are broadcast in one row; the nearest is found in the projection."""
+    e = table(spark, sf, "embeddings").select("vec_id", "label", F.transform("embedding", lambda v: v.cast("double")).alias("x"))
+    means = e.groupBy("label").agg(F.array(*[F.avg(F.element_at("x", i)) for i in range(1, 65)]).alias("m"))
+    classes = means.agg(F.sort_array(F.collect_list(F.struct("label", "m"))).alias("classes"))
+    return e.crossJoin(F.broadcast(classes)).select("vec_id", "label", Engine.nearest(F.col("x"), F.col("classes"), 64)[0]["label"].alias("guess"))
+
+
+KNN = f"(SELECT label, list(m ORDER BY i) AS m FROM {CENT} GROUP BY 1)"
+COS = "list_sum([embedding[i]::DOUBLE * m[i] for i in range(1, 65)]) / sqrt(list_sum([embedding[i]::DOUBLE * embedding[i]::DOUBLE for i in range(1, 65)])) / sqrt(list_sum([m[i] * m[i] for i in range(1, 65)]))"
+
+
+@query("m6_cosine_knn", f"SELECT label, vec_id, n::INTEGER AS n FROM (SELECT c.label, e.vec_id, row_number() OVER (PARTITION BY c.label ORDER BY round({COS}, 9) DESC, e.vec_id) AS n FROM embeddings e CROSS JOIN {KNN} c) WHERE n <= 5")
+def knn(spark, sf):
+    """The five vectors nearest by angle to each class mean: the means travel in one row, and each task keeps five a class before anything is shuffled."""
+    e = table(spark, sf, "embeddings").select("vec_id", "label", F.transform("embedding", lambda v: v.cast("double")).alias("x"))
+    means = e.groupBy("label").agg(F.array(*[F.avg(F.element_at("x", i)) for i in range(1, 65)]).alias("m"))
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
+    d = e.drop("label").crossJoin(F.broadcast(means)).select("label", "vec_id", F.round(dot("x", "m") / F.sqrt(dot("x", "x")) / F.sqrt(dot("m", "m")), 9).alias("c"))
+    return d.withColumn("n", F.row_number().over(W.partitionBy("label").orderBy(F.desc("c"), "vec_id"))).where("n <= 5").select("label", "vec_id", "n")
+
+
+KEY = "('0x' || substr(md5(vec_id::VARCHAR), 1, 6))::INTEGER"
+
+
+@query("m1a_standard_augment", f"SELECT raster_id, round(list_sum(q)::DOUBLE, 0) AS total, round(list_sum([q[i] * i for i in range(1, 65)])::DOUBLE, 0) AS weighted FROM (SELECT raster_id, [p[greatest(0, least(7, i // 8 + k // 2 % 3 - 1)) * 8 + CASE WHEN k % 2 = 1 THEN 7 - greatest(0, least(7, i % 8 + k // 6 % 3 - 1)) ELSE greatest(0, least(7, i % 8 + k // 6 % 3 - 1)) END + 1] for i in range(64)] AS q FROM (SELECT vec_id AS raster_id, {KEY} AS k, [greatest(0, least(255, floor((v::DOUBLE + 1) * 127.5)::INTEGER)) for v in embedding] AS p FROM embeddings))")
+def augment(spark, sf):
+    """Standard augmentation: a flip and a shift of each block, from a hash of its id."""
+
+    def run(batches):
+        for b in batches:
+            out = [augmented(np.array(p, np.int64).reshape(8, 8), k).ravel() for p, k in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([float(q.sum()) for q in out]), pa.array([float((q * np.arange(1, 65)).sum()) for q in out])], ["raster_id", "total", "weighted"])
+
+    key = F.conv(F.substring(F.md5(F.col("raster_id").cast("string")), 1, 6), 16, 10).cast("int")
+    return vector_rasters(spark, sf).select("raster_id", "pixels", key.alias("key")).mapInArrow(run, "raster_id long, total double, weighted double")
+
+
+SPAN = "(SELECT page_id, octet_length(encode(substr(html, 1, strpos(html, '<article') - 1))) AS a, octet_length(encode(substr(html, 1, strpos(html, '</article>') + 9))) AS b, [('0x' || v)::INTEGER for v in regexp_extract_all(hex(encode(html)), '..')] AS p FROM pages WHERE strpos(html, '<article') > 0 AND strpos(html, '</article>') > strpos(html, '<article'))"
+
+
+@query("w24_article_decode", f"SELECT page_id, (ceil(b / 32) - a // 32)::BIGINT AS lines, list_sum(p[a // 32 * 32 + 1 : ceil(b / 32)::BIGINT * 32])::BIGINT AS total FROM {SPAN}")
+def article_decode(spark, sf):
+    """The region of interest of a page is decoded, and nothing after it: the article's lines of the page's raster, from its PNG."""
+
+    def run(batches):
+        for b in batches:
+            ids, lines, totals = [], [], []
+            for i, html in zip(b.column(0).to_pylist(), b.column(1).cast(pa.binary()).to_pylist(), strict=True):
+                start, end = html.find(b"<article"), html.find(b"</article>") + 10
+                top, bottom = start // 32, -(-end // 32)
+                rows = codec.png_decode(codec.png_encode(codec.text_raster(html)), bottom)[top:]
+                ids.append(i), lines.append(bottom - top), totals.append(int(rows.sum()))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(lines, pa.int64()), pa.array(totals, pa.int64())], ["page_id", "lines", "total"])
+
+    d = table(spark, sf, "pages").where(F.locate("</article>", "html") > F.locate("<article", "html")).where(F.locate("<article", "html") > 0)
+    return d.select("page_id", "html").mapInArrow(run, "page_id long, lines long, total long")
+
+
+POINTS = "(SELECT page_id, strpos(html, '<article') AS top, strpos(html, '</article>') AS bottom, unnest(range(1, len(string_split(html, '<p>')))) AS k, string_split(html, '<p>') AS s FROM pages)"
+
+
+@query("j6_points_in_region", f"SELECT page_id, count(*) AS points, sum((pos BETWEEN top AND bottom)::INT)::BIGINT AS inside FROM (SELECT *, list_sum([length(s[i]) + 3 for i in range(1, k + 1)]) - 2 AS pos FROM {POINTS}) GROUP BY 1")
+def points(spark, sf):
+    """Paragraph starts joined with the article's region of their page: an equi-join by page, then the range."""
+    pages = table(spark, sf, "pages")
+    parts = pages.select("page_id", F.posexplode(F.split("html", "<p>")).alias("k", "s"))
+    w = W.partitionBy("page_id").orderBy("k").rowsBetween(W.unboundedPreceding, W.currentRow)
+    at = parts.withColumn("at", F.sum(F.length("s") + 3).over(w) - 2).withColumn("last", F.max("k").over(W.partitionBy("page_id"))).where("k < last")
+    regions = pages.select("page_id", F.locate("<article", "html").alias("top"), F.locate("</article>", "html").alias("bottom"))
+    return at.join(regions, "page_id").groupBy("page_id").agg(F.count("*").alias("points"), F.sum(F.col("at").between(F.col("top"), F.col("bottom")).cast("long")).alias("inside"))

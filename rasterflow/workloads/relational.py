@@ -5,27 +5,11 @@ from __future__ import annotations
 from pyspark.sql import Window as W, functions as F
 
 from ..operators import joins
-from ..plans.engine import flagship
+from ..plans.engine import Engine
 from ..registry import query, table as t
 
 R6 = lambda c: F.round(c, 6)
 
-HALF = "regexp_replace(coalesce(text, ''), '(.).', '\\1', 'gs')"
-FEAT = """(SELECT doc_id AS id, lang AS label, doc_id % 5 = 0 AS held, f, len(regexp_extract_all(x, '[aeiou]')) / n AS h0, len(regexp_extract_all(x, '[A-Z]')) / n AS h1, len(regexp_extract_all(x, '[^\\x00-\\x7F]')) / n AS h2, len(regexp_extract_all(x, '[^A-Za-z]')) / n AS h3
- FROM (SELECT *, greatest(length(x), 1)::DOUBLE AS n FROM (SELECT doc_id, lang, 'full' AS f, coalesce(text, '') AS x FROM documents UNION ALL SELECT doc_id, lang, 'half', """ + HALF + """ FROM documents)))"""
-FLAG = f"""WITH h AS MATERIALIZED {FEAT}, m AS (SELECT f, label AS guess, avg(h0) AS m0, avg(h1) AS m1, avg(h2) AS m2, avg(h3) AS m3 FROM h WHERE NOT held GROUP BY 1, 2),
-g AS (SELECT h.f, h.id, h.label, m.guess, k.model_id, row_number() OVER (PARTITION BY h.f, h.id, k.model_id ORDER BY round((h0 - m0) ^ 2 + (h1 - m1) ^ 2 + CASE WHEN k.model_id = 'wide' THEN (h2 - m2) ^ 2 + (h3 - m3) ^ 2 ELSE 0 END, 12), m.guess) AS n FROM h JOIN m ON m.f = h.f CROSS JOIN (VALUES ('tiny'), ('wide')) k(model_id) WHERE held),
-p AS (SELECT model_id, f AS format_id, round(avg((label = guess)::INT), 6) AS acc, CASE f WHEN 'full' THEN 527.0 ELSE 1995.0 END::DOUBLE AS pre, CASE model_id WHEN 'tiny' THEN 250000.0 ELSE 4513.0 END::DOUBLE AS exec FROM g WHERE n = 1 GROUP BY 1, 2),
-q AS (SELECT *, least(pre, exec) AS est_tput FROM p)
-SELECT model_id, format_id, acc, est_tput, CASE WHEN abs(pre - exec) / greatest(pre, exec) <= 0.25 THEN 'balanced' WHEN pre < exec THEN 'pre_bound' ELSE 'exec_bound' END AS regime FROM q a
-WHERE NOT EXISTS (SELECT 1 FROM q b WHERE b.acc >= a.acc AND b.est_tput >= a.est_tput AND (b.acc > a.acc OR b.est_tput > a.est_tput))"""
-
-
-@query("engine_frontier", FLAG)
-def engine_frontier(spark, sf):
-    return flagship(spark, t(spark, sf, "documents"))
-
-
 @query("j3_broadcast_join", "SELECT r_name, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1")
 def j3(spark, sf):
     """Nation and region are 25 and 5 rows by definition."""
@@ -128,7 +112,9 @@ def n3(spark, sf):
 
 @query("n4_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY event_type ORDER BY epoch(ts) RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS n FROM events")
 def n4(spark, sf):
-    return t(spark, sf, "events").select("event_id", F.count("*").over(W.partitionBy("event_type").orderBy((F.unix_micros(F.to_timestamp("ts")) / 1e6)).rangeBetween(-3600, 0)).alias("n"))
+    """Events of a type in the hour before each: a window by type and stretch of time, so that a type's events are spread."""
+    e = t(spark, sf, "events").select("event_id", "event_type", (F.unix_micros(F.to_timestamp("ts")) / 1e6).alias("s"))
+    return joins.back_range(e, "event_type", "s", 3600).select("event_id", "n")
 
 
 @query("t1_top_k", "SELECT page_id, length(html)::BIGINT AS n FROM pages ORDER BY length(html) DESC, page_id LIMIT 10")
@@ -189,6 +175,40 @@ def c2b(spark, sf):
     return t(spark, sf, "documents").groupBy("source").agg(R6(F.avg(F.col("n_chars").between(500, 2000).cast("int"))).alias("pass_rate"))
 
 
-@query("w26_prefix_of_turns", "SELECT role, count(*) AS n, sum(length(text))::BIGINT AS chars, sum(length(text) - length(replace(text, ' ', '')) + 1)::BIGINT AS words FROM conversations GROUP BY 1")
+KINDS = {"vowels": "[aeiou]", "capitals": "[A-Z]", "wide": "[^\\x00-\\x7F]", "accents": "[àâçéèêëîôûäöüßñáíóú]"}
+PREFIX = "(SELECT doc_id, lang, doc_id % 5 = 0 AS held, z.k AS n_prefix, CASE WHEN z.k = 0 THEN coalesce(text, '') ELSE substr(coalesce(text, ''), 1, z.k) END AS x FROM documents CROSS JOIN (VALUES (0), (32), (128), (512)) z(k) WHERE lang IS NOT NULL)"
+SHARES = "(SELECT doc_id, lang, held, n_prefix, " + ", ".join(f"len(regexp_extract_all(x, '{p}')) / greatest(length(x), 1)::DOUBLE AS {k}" for k, p in KINDS.items()) + f" FROM {PREFIX})"
+
+
+@query(
+    "w26_prefix_decoding",
+    f"""WITH h AS MATERIALIZED {SHARES}, m AS (SELECT n_prefix, lang AS guess, {', '.join(f'avg({k}) AS {k}' for k in KINDS)} FROM h WHERE NOT held GROUP BY 1, 2),
+g AS (SELECT h.n_prefix, h.lang, arg_min(m.guess, (round({' + '.join(f'(h.{k} - m.{k}) ^ 2' for k in KINDS)}, 12), m.guess)) AS guess FROM h JOIN m ON m.n_prefix = h.n_prefix WHERE held GROUP BY h.n_prefix, h.lang, h.doc_id)
+SELECT n_prefix, count(*) AS n, round(avg((lang = guess)::INT), 6) AS acc FROM g GROUP BY 1""",
+)
 def w26(spark, sf):
+    """Text as the medium: the language of a document from a decoded prefix of it (0: the whole), by nearest class means."""
+    d = t(spark, sf, "documents").where("lang IS NOT NULL").select("doc_id", "lang", (F.col("doc_id") % 5 == 0).alias("held"), F.coalesce("text", F.lit("")).alias("text"))
+    d = d.withColumn("n_prefix", F.explode(F.array(*map(F.lit, (0, 32, 128, 512))))).withColumn("part", F.when(F.col("n_prefix") == 0, F.col("text")).otherwise(F.expr("left(text, n_prefix)")))
+    x = F.array(*[F.regexp_count("part", F.lit(p)) / F.greatest(F.length("part"), F.lit(1)) for p in KINDS.values()])
+    h = d.select("lang", "held", "n_prefix", x.alias("x"))
+    means = h.where("NOT held").groupBy("n_prefix", F.col("lang").alias("label")).agg(F.array(*[F.avg(F.element_at("x", k + 1)) for k in range(len(KINDS))]).alias("m"))
+    classes = means.groupBy("n_prefix").agg(F.sort_array(F.collect_list(F.struct("label", "m"))).alias("classes"))
+    guess = Engine.nearest(F.col("x"), F.col("classes"), len(KINDS), places=12)[0]["label"]
+    return h.where("held").join(F.broadcast(classes), "n_prefix").groupBy("n_prefix").agg(F.count("*").alias("n"), R6(F.avg((guess == F.col("lang")).cast("int"))).alias("acc"))
+
+
+@query("w26_turns_by_role", "SELECT role, count(*) AS n, sum(length(text))::BIGINT AS chars, sum(length(text) - length(replace(text, ' ', '')) + 1)::BIGINT AS words FROM conversations GROUP BY 1")
+def w26b(spark, sf):
+    """Characters and words of turns by role."""
     return t(spark, sf, "conversations").groupBy("role").agg(F.count("*").alias("n"), F.sum(F.length("text")).alias("chars"), F.sum(F.length("text") - F.length(F.replace("text", F.lit(" "))) + 1).cast("long").alias("words"))
+
+
+@query("j10_full_outer", "SELECT a IS NOT NULL AS in_first, b IS NOT NULL AS in_second, count(*) AS n, sum((x = y)::INT)::BIGINT AS agree FROM (SELECT user_id AS a, count(*) AS x FROM events WHERE event_type = 'error' GROUP BY 1) p FULL JOIN (SELECT user_id AS b, count(*) AS y FROM events WHERE event_type = 'purchase' GROUP BY 1) q ON p.a = q.b GROUP BY 1, 2")
+def j10b(spark, sf):
+    """Results of two plans side by side, whichever has an item."""
+    e = t(spark, sf, "events")
+    p = e.where("event_type = 'error'").groupBy(F.col("user_id").alias("a")).agg(F.count("*").alias("x"))
+    q = e.where("event_type = 'purchase'").groupBy(F.col("user_id").alias("b")).agg(F.count("*").alias("y"))
+    j = p.join(q, F.col("a") == F.col("b"), "full")
+    return j.groupBy(F.col("a").isNotNull().alias("in_first"), F.col("b").isNotNull().alias("in_second")).agg(F.count("*").alias("n"), F.sum((F.col("x") == F.col("y")).cast("long")).alias("agree"))

@@ -128,3 +128,126 @@ def test_low_resolution_training_helps(spark):
     half = inference.renditions(blobs, ("half_png",))
     acc = {t: inference.infer(half, m).selectExpr("avg(int(guess = label))").first()[0] for (_, t), m in models.items()}
     assert acc["lowres"] > acc["regular"] + 0.05
+
+
+def test_scanlines_skip_and_stop():
+    for r in rasters():
+        h, w = r.shape
+        p, i = codec.dct_encode(r, 75)
+        whole = codec.dct_decode(p, i, deblock=False)
+        for top, bottom, left, right in ((0, h, 0, w), (h // 3, h - h // 4, w // 5, w), (h - 1, h + 9, 0, 1), (2, 2, 0, w)):
+            assert np.array_equal(codec.decode_rows(p, i, top, bottom, left, right), whole[top:bottom, left:right])
+        lines = codec.Scanlines(p, i)
+        assert np.array_equal(np.concatenate([lines.read(3) for _ in range(-(-h // 3))]), whole)
+        assert codec.Scanlines(p, i[: 1 + -(-min(8, h) // 8)]).read(min(8, h)).shape == (min(8, h), w)  # later block rows aren't touched
+
+
+def test_lowerings_agree(spark):
+    """Every order that keeps results, cut anywhere, in the JVM and in NumPy."""
+    from pyspark.sql import functions as F
+
+    from rasterflow.plans import engine as E, lower
+
+    rng = np.random.default_rng(0)
+    for side in (8, 4, 2):
+        x = rng.integers(0, 256, (5, side, side))
+        want = lower.to_kernel(E.CHAIN.ops[1:], side, side, E.MEAN, E.STD)(x).reshape(5, -1)
+        d = spark.createDataFrame([(i, [float(v) for v in r.ravel()]) for i, r in enumerate(x)], "i int, p array<double>")
+        for chain in sorted(dag.orders(E.CHAIN, side, side, exact=True), key=dag.Dag.names)[::5]:
+            ops = chain.ops[1:]
+            assert np.allclose(lower.to_kernel(ops, side, side, E.MEAN, E.STD)(x).reshape(5, -1), want)
+            got = d.select("i", lower.to_column(ops, F.col("p"), side, side, E.MEAN, E.STD).alias("v")).orderBy("i").collect()
+            assert np.allclose([r["v"] for r in got], want)
+
+
+def test_engine_switches_and_pruning(spark):
+    from rasterflow.workloads import studies
+
+    e = studies.engine(spark, SF)
+    assert {f for f, _ in e.chains()} == {"full", "half_png", "quarter_png"}
+    plain = e.without(dag_opt=False, lowres=False)
+    assert plain.formats == ("full",) and plain.chain("full") is studies.E.CHAIN
+    fast, slow = ({(r["model_id"], r["format_id"]): min(r["pre"], r["exec"]) for r in x.placed().collect()} for x in (e, e.without(dag_opt=False)))
+    assert all(fast[k] >= slow[k] for k in slow) and any(fast[k] > slow[k] for k in slow)
+    plan = e.run("lang/res50/regular/half_png")._jdf.queryExecution().toString()
+    assert "format_id = half_png" in plan.replace("format_id#", "format_id = ").replace("isnotnull", "") or "PartitionFilters" in plan
+
+
+def test_cascade_sends_survivors_only(spark):
+    from rasterflow.operators import cascade
+    from rasterflow.workloads import studies
+
+    e = studies.engine(spark, SF)
+    none, all_ = (cascade.run(e, "lang", 4, 2, t) for t in (0.0, 1.1))
+    assert none.where("stage = 2").count() == 0 and all_.where("stage = 1").count() == 0
+    deep = {r["raster_id"]: r["guess"] for r in e.run("lang/res50/regular/full").collect()}
+    assert {r["raster_id"]: r["guess"] for r in all_.collect()} == deep
+
+
+def test_runtime_threads_end(spark):
+    import threading
+
+    from rasterflow.sources.rasters import text_blobs
+
+    blobs = text_blobs(spark, SF)
+    r = inference.renditions(blobs, ("half_png",))
+    m = inference.train(blobs, inference.BINS["res18"])
+    want = sorted(map(str, inference.infer(r, m, inference.Runtime(threads=0)).collect()))
+    for k in (inference.Runtime(threads=None), inference.Runtime(threads=2, consumers=3, depth=3, batch=16)):
+        assert sorted(map(str, inference.infer(r, m, k).collect())) == want
+    assert inference.infer(r, m, inference.Runtime(threads=2)).limit(1).count() == 1  # stopped early
+    assert inference.default_producers(spark) >= 1 and threading.active_count() < 200
+
+
+def test_models_are_trained_on_demand_and_imported(spark, tmp_path):
+    from rasterflow.sources.rasters import text_blobs
+
+    blobs = text_blobs(spark, SF)
+    lazy = inference.ladder(blobs, ("res18",), lazy=True)
+    assert not lazy.models
+    m = lazy["res18", "lowres"]
+    assert set(lazy.models) == {("res18", "regular"), ("res18", "lowres")}
+    with pytest.raises(KeyError):
+        lazy["res50", "regular"]
+    (tmp_path / "mine.json").write_text(inference.saved(m))
+    back = inference.imported(spark, str(tmp_path))["mine"]
+    assert np.array_equal(back.weights, m.weights) and back.labels == m.labels
+
+
+def test_seeds_draw_the_same_samples(spark):
+    import hashlib
+
+    rows = [(f"f{i}", float(i), float(i % 7)) for i in range(3000)]
+    d = spark.createDataFrame(rows, "frame_id string, y double, x double")
+    got = {}
+    for r in aggregation.drawn(d, 25, range(6)).collect():
+        got.setdefault(r["seed"], set()).add(r["frame_id"])
+    for s in range(6):
+        assert got[s] == set(sorted((f for f, _, _ in rows), key=lambda f: (hashlib.md5(f"{s}-{f}".encode()).hexdigest(), f))[:25])
+    few = aggregation.drawn(d.limit(10), 25, range(3))
+    assert few.count() == 30
+
+
+def test_late_rows_are_dropped(spark, tmp_path):
+    from rasterflow.streaming import frames as S
+
+    def events(i, *at):
+        spark.createDataFrame([(i * 10 + k, f"2024-01-01 {x}", 1, "click", 1.0, None) for k, x in enumerate(at)], "event_id long, ts string, user_id long, event_type string, value double, props string").withColumn("ts", __import__("pyspark.sql.functions", fromlist=["F"]).col("ts").cast("timestamp_ntz")).coalesce(1).write.parquet(str(tmp_path / "e" / f"p{i}"))
+
+    for i, at in enumerate((("10:00:00", "12:00:00"), ("12:30:00",), ("10:01:00", "12:31:00"))):
+        events(i, *at)
+    import shutil
+
+    (tmp_path / "in").mkdir()
+    for i in range(3):
+        part = next((tmp_path / "e" / f"p{i}").glob("*.parquet"))
+        shutil.copy(part, tmp_path / "in" / f"{i}.parquet")
+        __import__("os").utime(tmp_path / "in" / f"{i}.parquet", (1000 + i, 1000 + i))
+    stream = S.counts(S.source(spark, str(tmp_path / "in" / "*.parquet")))
+    q = stream.writeStream.format("memory").queryName("late").outputMode("update").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert S.late_rows(q) >= 1
+    chooser = S.PlanChooser([("good", 0.9, 100.0), ("fast", 0.8, 1000.0)])
+    for rate, plan in ((50.0, "good"), (500.0, "fast"), (5000.0, "fast"), (0.0, "good")):
+        chooser.arrived(rate)
+        assert chooser.plan == plan
