@@ -1,15 +1,19 @@
 """Approximate nearest neighbours over balanced posting lists.
 
 Centroids are fitted on a bounded sample (by a hash of the rows, so reruns agree) by k-means whose oversized clusters
-are split, and sit in an in-memory graph (each linked to its nearest).  The search ratio is set on the sample too.  A vector goes to the lists of its nearest centroids: all whose distance is within a
-ratio of the least, REPLICAS at most, so vectors near a boundary are found from both sides.  A query walks the graph,
-keeps the centroids within a distance ratio, and scans their lists exactly, in double precision on the original
-vectors.  Where the walk's beam is full of centroids within the ratio, all centroids are compared, so no list is cut.  Where
-the lists don't surely hold as many other ids as are asked for, its nearest lists that do are found by
-comparing all centroids, and the ratio counts from the last of them; all lists are the last resort.  Results say how
-many lists and posting rows each query met; on vectors without any structure that is a good part of the table,
-whatever the index, and the ratio is set for no more than AIM of recall.  A list with more than LIST rows is dealt over shards by hash, so that copies of one vector don't meet in one
-task; a query visits every shard.
+are split, and sit in an in-memory graph (each linked to its nearest).  A vector goes to the lists of its nearest
+centroids: all whose distance is within a ratio of the least, REPLICAS at most, so vectors near a boundary are found
+from both sides.  A query walks the graph, keeps the centroids whose distance is within a ratio of the mean of its NEAR
+nearest, and scans their lists exactly, in double precision on the original vectors.  The ratio is set by brute force
+for recall of AIM: CALIBRATE vectors of the sample, which the centroids weren't fitted on, are compared with every row
+of the table once.
+
+Where the walk's beam is full of centroids within the ratio, all centroids are compared, so no list is cut.  Where the
+lists don't surely hold as many other ids as are asked for, its nearest lists that do are found by comparing all
+centroids, and the ratio counts from the last of them; all lists are the last resort.  A list with more than LIST rows
+is dealt over shards by hash, so that copies of one vector don't meet in one task; a query visits every shard.  Results
+say how many lists and posting rows each query met; on vectors without any structure that is a good part of the table,
+whatever the index.
 
 Vectors that are null, zero, or hold null or non-finite components take no part, nor do those of another length than
 most.  Ties go to the smaller id.  Rows that share an id count once, by the nearest of them (a query leaves out rows
@@ -31,9 +35,11 @@ from .common import settled, written
 SAMPLE, CENTROIDS = 20_000, 4096
 #: Rows of the table to a centroid, while there are fewer than CENTROIDS; rows of a list's shard.
 PER_CENTROID, LIST = 24, 1024
-REPLICAS, REPLICA_RATIO = 3, 1.06
-#: Recall, on the sample, that the search ratio is set for.
-AIM = 0.94
+REPLICAS, REPLICA_RATIO = 2, 1.03
+#: Recall that the search ratio is set for, on so many vectors of the sample and neighbours of each.
+AIM, CALIBRATE, CALIBRATE_K = 0.96, 200, 10
+#: Nearest centroids whose mean distance the ratio refers to: the nearest alone may by chance be very near.
+NEAR = 8
 #: Centroids of the beam whose links a step of a walk follows.
 FOLLOWED = 4
 
@@ -45,7 +51,7 @@ class Graph:
     centroids: np.ndarray
     links: np.ndarray
     entries: np.ndarray
-    ratio: float = 1.2  # lists whose centroid is within this ratio of the nearest centroid's distance are searched
+    ratio: float = 1.2  # lists whose centroid is within this ratio of the mean distance of the NEAR nearest are searched
     lists: int = 16  # most lists that this takes, with a margin
     homes: np.ndarray | None = None  # ids by list, each counted in one list only
     sizes: np.ndarray | None = None  # posting rows by list
@@ -87,8 +93,8 @@ class Graph:
 
     def visited(self, x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Pairs (row, list) to search for k ids and the row's own."""
-        found, d = self.nearest(x, self.lists)
-        keep = (d <= self.ratio * np.maximum(d[:, :1], 1e-12) + 1e-12) & np.isfinite(d)
+        found, d = self.nearest(x, max(NEAR, self.lists))
+        keep = (d <= self.ratio * reference(d)[:, None]) & np.isfinite(d)
         full = keep.all(1) & (found.shape[1] < len(self.centroids))  # there may be more within the ratio
         short = (self.homes[found] * keep).sum(1) <= k
         keep[full | short] = False
@@ -97,16 +103,23 @@ class Graph:
         for i in np.flatnonzero(full | short).tolist():
             far = np.sqrt(((self.centroids - x[i]) ** 2).sum(1))
             order = np.argsort(far, kind="stable")
-            edge, enough = far[order[0]], 1
+            edge, enough = float(reference(far[order][None, :])[0]), 1
             if short[i]:
                 enough = min(int(np.searchsorted(np.cumsum(self.homes[order]), k + 1)) + 1, len(order))
-                edge = far[order[enough - 1]]
-            take = order[: max(enough, int((far <= self.ratio * max(edge, 1e-12) + 1e-12).sum()))]
+                edge = max(edge, far[order[enough - 1]])
+            take = order[: max(enough, int((far <= self.ratio * edge).sum()))]
             rows.append(np.full(len(take), i))
             lists.append(take)
         return np.concatenate(rows), np.concatenate(lists)
 
 
+def reference(d: np.ndarray) -> np.ndarray:
+    """Mean of the NEAR least finite distances of each row (rows ascend)."""
+    first = d[:, :NEAR]
+    fine = np.isfinite(first)
+    return np.maximum(np.where(fine, first, 0.0).sum(1) / np.maximum(fine.sum(1), 1), 1e-12)
+
+
 def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
     """Rows of a list column without nulls, all of one length."""
     lists = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
@@ -145,28 +158,49 @@ def graph_of(x: np.ndarray, centroids: int, degree: int = 16) -> Graph:
     return Graph(c, near, np.arange(0, k, max(1, k // 64)))
 
 
-def calibrated(g: Graph, x: np.ndarray, k: int = 10, queries: int = 300, seed: int = 1) -> Graph:
-    """Set the search ratio: the least that finds AIM of the sample's own neighbours (nearer ones, of more rows, are found sooner)."""
-    if len(g.centroids) < 2 or len(x) < 2:
+def lists_of(found: np.ndarray, d: np.ndarray) -> np.ndarray:
+    """Which of the nearest centroids' lists each row goes to."""
+    keep = d <= REPLICA_RATIO * d[:, :1] + 1e-12
+    keep[:, REPLICAS:] = False
+    return keep
+
+
+def calibrated(g: Graph, rows: DataFrame, q: np.ndarray, q_id: np.ndarray, k: int = CALIBRATE_K) -> Graph:
+    """Set the search ratio: the least at which lists hold AIM of the k nearest rows of the vectors q, found by brute force over all rows."""
+    if len(g.centroids) < 2 or not len(q):
         return g
-    rng = np.random.default_rng(seed)
-    q = rng.choice(len(x), min(queries, len(x)), replace=False)
-    far = lambda a, b: np.sqrt(np.maximum((a**2).sum(1)[:, None] - 2 * a @ b.T + (b**2).sum(1), 0.0))
-    own = far(x[q], x)
-    own[np.arange(len(q)), q] = np.inf
-    near = np.argsort(own, 1)[:, : min(k, len(x) - 1)]
-    need = np.full(near.shape, np.inf)
-    to = far(x[q], g.centroids)
-    least = np.maximum(to.min(1), 1e-12)[:, None]
-    for i in range(near.shape[1]):
-        d = far(x[near[:, i]], g.centroids)
-        first = np.argsort(d, 1)[:, :REPLICAS]
-        d = np.take_along_axis(d, first, 1)
-        there = np.where(d <= REPLICA_RATIO * d[:, :1] + 1e-12, np.take_along_axis(to, first, 1) / least, np.inf)
-        need[:, i] = there.min(1)
-    g.ratio = float(np.quantile(need, AIM)) + 1e-9
-    g.lists = int((to <= g.ratio * least).sum(1).max() * 1.25) + 16
-    return g
+    held = rows.sparkSession.sparkContext.broadcast((q, q_id))
+
+    def nearest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        q, q_id = held.value
+        best, where = np.full((len(q), k), np.inf), np.zeros((len(q), k, q.shape[1]))
+        for whole in batches:
+            for i in range(0, whole.num_rows, 2048):
+                b = whole.slice(i, 2048)
+                x, ids = matrix(b.column(1)), b.column(0).to_numpy(zero_copy_only=False)
+                d = np.sqrt(np.maximum((q**2).sum(1)[:, None] - 2 * q @ x.T + (x**2).sum(1), 0.0))
+                d[q_id[:, None] == ids] = np.inf
+                both = np.concatenate([best, d], 1)
+                first = np.argpartition(both, k - 1, 1)[:, :k]
+                new = first >= k
+                kept = np.take_along_axis(where, np.where(new, 0, first)[:, :, None], 1)
+                where = np.where(new[:, :, None], x[np.where(new, first - k, 0)], kept)
+                best = np.take_along_axis(both, first, 1)
+        at, which = np.nonzero(np.isfinite(best))
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(best[at, which]), pa.array([v.tobytes() for v in where[at, which]], pa.binary())], ["q", "d", "vector"])
+
+    order = W.partitionBy("q").orderBy("d", "vector")
+    found = rows.mapInArrow(settled(nearest), "q int, d double, vector binary").withColumn("n", F.row_number().over(order)).where(F.col("n") <= k).toArrow()  # k rows for each of q
+    if not found.num_rows:
+        return g
+    x = np.frombuffer(b"".join(found["vector"].to_pylist())).reshape(found.num_rows, -1)
+    far = np.sqrt(np.maximum((q**2).sum(1)[:, None] - 2 * q @ g.centroids.T + (g.centroids**2).sum(1), 0.0))
+    base = reference(np.sort(far, 1)[:, :NEAR])
+    home, d = g.nearest(x, max(8, REPLICAS))
+    own = found["q"].to_numpy()
+    need = np.where(lists_of(home, d), far[own[:, None], home], np.inf).min(1) / base[own]
+    ratio = float(np.quantile(need, AIM)) + 1e-9
+    return replace(g, ratio=ratio, lists=int((far <= ratio * base[:, None]).sum(1).max() * 1.25) + 16)
 
 
 def usable(df: DataFrame, id_col: str, vector_col: str) -> DataFrame:
@@ -193,14 +227,16 @@ def build(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding",
     pick = F.pmod(F.xxhash64("id", "vector"), F.lit(1 << 30))
     chosen = rows.where(pick < int(min(1.0, 1.2 * sample / max(n, 1)) * (1 << 30))).orderBy(pick, "id").limit(sample).toArrow()
     if not chosen.num_rows:
-        x = np.zeros((1, 1))
+        x, ids = np.zeros((1, 1)), np.empty(0, np.int64)
     else:
         lists = chosen["vector"].combine_chunks()
         size = np.diff(np.asarray(lists.offsets))
         dim = int(np.bincount(size).argmax())
-        x = matrix(lists.filter(pa.array(size == dim)))
+        x, ids = matrix(lists.filter(pa.array(size == dim))), chosen["id"].to_numpy()[size == dim]
     rows = rows.where(F.size("vector") == x.shape[1])
-    graph = spark.sparkContext.broadcast(calibrated(graph_of(x, min(CENTROIDS, max(1, n // PER_CENTROID), max(1, len(x) // 4))), x))
+    aside = min(CALIBRATE, len(ids) // 10)  # vectors that centroids weren't fitted on: fitted ones lie too near to them
+    made = graph_of(x[aside:], min(CENTROIDS, max(1, n // PER_CENTROID), max(1, len(x) // 4)))
+    graph = spark.sparkContext.broadcast(calibrated(made, rows, x[:aside], ids[:aside]))
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         g = graph.value
@@ -208,9 +244,7 @@ def build(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding",
             for i in range(0, whole.num_rows, 2048):
                 b = whole.slice(i, 2048)
                 found, d = g.nearest(matrix(b.column(1)), max(8, REPLICAS))
-                keep = d <= REPLICA_RATIO * d[:, :1] + 1e-12
-                keep[:, REPLICAS:] = False
-                at, which = np.nonzero(keep)
+                at, which = np.nonzero(lists_of(found, d))
                 yield pa.RecordBatch.from_arrays([pa.array(found[at, which].astype(np.int32)), b.column(0).take(pa.array(at)), b.column(1).take(pa.array(at)), pa.array(which == 0)], ["list", "id", "vector", "home"])
 
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema}

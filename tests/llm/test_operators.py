@@ -283,6 +283,9 @@ def test_neighbours_recall_and_ties(spark):
         hits += len({i for i, _ in got[q]} & set(want))
         total += 10
     assert hits / total >= 0.9
+    again = neighbours.search(neighbours.build(d.repartition(5)), d.where("vec_id % 100 = 0"))
+    assert {(r["query_id"], r["rank"]): (r["vec_id"], round(r["score"], 9)) for r in again.collect()} == {(q, i): (v, round(s, 9)) for q, found in got.items() for i, (v, s) in enumerate(found, 1)}
+    assert all(0 < r["lists_visited"] and 0 < r["rows_scanned"] < 2 * 3000 for r in again.collect())
     assert [i for i, _ in got[100]] == list(range(101, 111))
     few = d.where("vec_id < 4")
     assert neighbours.search(neighbours.build(few), few.where("vec_id = 0")).count() == 3
