@@ -251,10 +251,12 @@ def confirmed_links(groups: DataFrame, docs: DataFrame, words: int, percent: int
     rows = passing(texts, "node", id_filter(groups, "node")).join(dealt, "node")
 
     def sets_of(t: pa.Table) -> tuple[pa.Table, list[np.ndarray]]:
+        """Rows by node and their sets; rows that repeat an id are there once for each text."""
         t = t.sort_by([("node", "ascending")])
-        node = t["node"].to_numpy()
-        t = t.take(np.flatnonzero(np.concatenate([[True], node[1:] != node[:-1]])))
-        return t, [shingles(x or b"", words) for x in t["text"].cast(pa.binary()).to_pylist()]
+        seen = {}
+        for i, x in enumerate(zip(t["node"].to_pylist(), t["text"].cast(pa.binary()).to_pylist(), strict=True)):
+            seen.setdefault(x, i)
+        return t.take(list(seen.values())), [shingles(x or b"", words) for _, x in seen]
 
     def pairs(node: np.ndarray, found: list[tuple[int, int]], apart: np.ndarray) -> pa.Table:
         """Links, and with b null the nodes that are apart."""

@@ -516,6 +516,13 @@ def test_near_duplicates_in_crowds_at_the_threshold(spark, monkeypatch):
     assert [r["doc_id"] for r in got if r["component_id"] != r["doc_id"] // 2 * 2] == []
 
 
+def test_near_duplicates_compare_every_text_of_a_repeated_id(spark):
+    a, b = (" ".join(f"{c}{j}" for j in range(20)) for c in "ab")
+    rows = [(5, a), (5, b), (7, a + " x"), (9, b + " y"), (11, "other words here")]
+    got = {(r["doc_id"], r["component_id"]) for r in neardup.components(spark.createDataFrame(rows, "doc_id long, text string"), 2).collect()}
+    assert got == {(5, 5), (7, 5), (9, 5), (11, 11)}
+
+
 def test_near_duplicates_with_shared_passages_equal_brute_force(spark, monkeypatch):
     rng = random.Random(11)
     passage = " ".join(f"p{i}" for i in range(40))
