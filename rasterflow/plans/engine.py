@@ -176,10 +176,11 @@ class Engine:
         return placement.splits(self.rates(chains), ("model_id", "format_id", "chain"), self.cores, ADVANTAGE)
 
     def placed(self) -> DataFrame:
-        """Rows (model_id, format_id, chain, split, pre, exec): the best cut of each pair's chain."""
+        """Rows (model_id, format_id, chain, split, pre, exec): the best cut of each pair's chain (with dag_opt off, everything on the host)."""
         by = ("model_id", "format_id", "chain")
         chains = [(f, self.chain(f)) for f in self.formats]
-        best = placement.best_split(self.rates(chains), by, self.cores, ADVANTAGE)
+        rates = self.rates(chains)
+        best = placement.best_split(rates, by, self.cores, ADVANTAGE) if self.dag_opt else placement.splits(rates, by, self.cores, ADVANTAGE).where(F.col("split") == len(CHAIN.ops))
         return best.select(*by, "split", F.col("host_rate").alias("pre"), F.col("accel_rate").alias("exec"))
 
     def plans(self, accuracy: DataFrame | None = None) -> DataFrame:

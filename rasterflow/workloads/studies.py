@@ -75,7 +75,8 @@ def splits(ops: str) -> str:
 
 
 def placed(dag_opt: bool = True) -> str:
-    return f"(SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY model_id, format_id, chain ORDER BY round(least(host_rate, accel_rate), 9) DESC, split DESC) AS n FROM {splits(operators(dag_opt))}) WHERE n = 1)"
+    order = "round(least(host_rate, accel_rate), 9) DESC, split DESC" if dag_opt else "split DESC"
+    return f"(SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY model_id, format_id, chain ORDER BY {order}) AS n FROM {splits(operators(dag_opt))}) WHERE n = 1)"
 
 
 IMAGES = f"""img AS MATERIALIZED (SELECT d.doc_id AS raster_id, b.i, least(255, coalesce(c.n, 0) * 1020 // greatest(1, octet_length(encode(coalesce(text, ''))))) AS v FROM documents d CROSS JOIN (SELECT unnest(range(64)) AS i) b
