@@ -33,6 +33,8 @@ from .common import settled, written
 
 #: Bound on the vectors that centroids are fitted on, and on centroids.
 SAMPLE, CENTROIDS = 20_000, 4096
+#: 2 ** CELL_BITS lists meet in a task, which sends on the nearest of all of them.
+CELL_BITS = 5
 #: Rows of the table to a centroid, while there are fewer than CENTROIDS; rows of a list's shard.
 PER_CENTROID, LIST = 24, 1024
 REPLICAS, REPLICA_RATIO = 2, 1.03
@@ -203,6 +205,18 @@ def calibrated(g: Graph, rows: DataFrame, q: np.ndarray, q_id: np.ndarray, k: in
     return replace(g, ratio=ratio, lists=int((far <= ratio * base[:, None]).sum(1).max() * 1.25) + 16)
 
 
+def nearest_ids(ids: np.ndarray, d: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """The k nearest distinct ids and their least distances, ties by id."""
+    few = 4 * k
+    while True:
+        at = np.flatnonzero(d <= np.partition(d, few - 1)[few - 1]) if len(d) > few else np.arange(len(d))
+        at = at[np.lexsort((ids[at], d[at]))]
+        first = np.sort(np.unique(ids[at], return_index=True)[1])[:k]
+        if len(first) == k or len(at) == len(d):
+            return ids[at][first], d[at][first]
+        few *= 8
+
+
 def usable(df: DataFrame, id_col: str, vector_col: str) -> DataFrame:
     """Rows (id, vector) that take part."""
     v = F.col(vector_col).cast("array<double>")
@@ -280,26 +294,32 @@ def search(index: Index, queries: DataFrame, k: int = 10, id_col: str = "vec_id"
     asked = visits.join(F.broadcast(index.shards), "list").select("list", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)).alias("shard"), "id", "vector", "lists", "met")
 
     def scan(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
-        """Up to k nearest of each query within one shard of a list."""
-        if not left.num_rows or not right.num_rows:  # a list that no query visits, or an empty shard
-            kind = left.schema.field("id").type
-            return pa.table([pa.array([], kind), pa.array([], kind), pa.array([], pa.float64()), pa.array([], pa.int64()), pa.array([], pa.int64())], names=["query_id", "vec_id", "score", "lists", "met"])
-        q, p = matrix(left["vector"]), matrix(right["vector"])
-        q_id, p_id = (t["id"].to_numpy(zero_copy_only=False) for t in (left, right))
+        """Up to k nearest ids of each query within one shard of a cell's lists, each scanned exactly."""
+        kind = left.schema.field("id").type
         out: list[list[np.ndarray]] = [[], [], [], []]
-        for i in range(len(q)):
-            d = np.sqrt(((p - q[i]) ** 2).sum(1))
-            other = np.flatnonzero(p_id != q_id[i])
-            if len(other) > k:
-                edge = np.partition(d[other], k - 1)[k - 1]
-                other = other[d[other] <= edge]
-            best = other[np.lexsort((p_id[other], d[other]))[:k]]
-            for store, x in zip(out, (np.full(len(best), q_id[i]), p_id[best], d[best], np.full(len(best), i)), strict=True):
-                store.append(x)
-        a, b, c, i = (np.concatenate([*x, np.empty(0, (q_id.dtype, q_id.dtype, np.float64, np.int64)[j])]) for j, x in enumerate(out))
-        return pa.table([pa.array(a, left.schema.field("id").type), pa.array(b, left.schema.field("id").type), pa.array(c, pa.float64()), left["lists"].take(pa.array(i)), left["met"].take(pa.array(i))], names=["query_id", "vec_id", "score", "lists", "met"])
-
-    near = asked.groupBy("list", "shard").cogroup(index.postings.groupBy("list", "shard")).applyInArrow(scan, f"query_id {kinds['id']}, vec_id {kinds['id']}, score double, lists long, met long")
+        if left.num_rows and right.num_rows:  # else lists that no query visits, or an empty shard
+            q, p = matrix(left["vector"]), matrix(right["vector"])
+            q_id, p_id = (t["id"].to_numpy(zero_copy_only=False) for t in (left, right))
+            p_list = right["list"].to_numpy()
+            order = np.argsort(p_list, kind="stable")
+            p, p_id, p_list = p[order], p_id[order], p_list[order]
+            visits = left["list"].to_numpy()
+            begin, end = np.searchsorted(p_list, visits, "left"), np.searchsorted(p_list, visits, "right")
+            own: dict[tuple, list[int]] = {}
+            for i in range(len(q)):
+                own.setdefault((q_id[i], q[i].tobytes()), []).append(i)
+            for rows in own.values():
+                i = rows[0]
+                at = np.concatenate([np.arange(begin[r], end[r]) for r in rows])
+                at = at[p_id[at] != q_id[i]]
+                best, d = nearest_ids(p_id[at], np.sqrt(((p[at] - q[i]) ** 2).sum(1)), k)
+                for store, x in zip(out, (np.full(len(best), q_id[i]), best, d, np.full(len(best), i)), strict=True):
+                    store.append(x)
+        a, b, c, i = (np.concatenate([*x, np.empty(0, (np.int64, np.int64, np.float64, np.int64)[j])]) for j, x in enumerate(out))
+        return pa.table([pa.array(a, kind), pa.array(b, kind), pa.array(c, pa.float64()), left["lists"].take(pa.array(i)), left["met"].take(pa.array(i))], names=["query_id", "vec_id", "score", "lists", "met"])
+
+    cell = lambda d: d.withColumn("cell", F.shiftright("list", CELL_BITS))
+    near = cell(asked).groupBy("cell", "shard").cogroup(cell(index.postings).groupBy("cell", "shard")).applyInArrow(scan, f"query_id {kinds['id']}, vec_id {kinds['id']}, score double, lists long, met long")
     near = near.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"), F.max("lists").alias("lists_visited"), F.max("met").alias("rows_scanned"))  # replicas of one vector
     order = W.partitionBy("query_id").orderBy("score", "vec_id")
     return near.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score", "lists_visited", "rows_scanned")
