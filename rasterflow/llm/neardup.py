@@ -5,8 +5,8 @@ of the forest is a sequence of minhashes, and all representatives are range-sort
 common prefix reaches the depth of their region are candidates.  The depth is DEPTH where few share a prefix; where
 more than CROWD do, the region's members are sorted again by DEEP longer orders of depth DEEPER, each of minhashes of
 its own, so that text that many documents share doesn't tie them together and no pair gets a worse chance.  The sort
-splits large regions over tasks: members of one that touches the edge of a task go to the deep orders too, and at the
-last depth the pieces of a region are joined up.
+splits regions over tasks: those that touch the edge of a task are counted by key over all tasks before they are taken
+for a crowd, and the pieces of one that isn't are joined up, as they are at the last depth.
 
 Candidates are kept as connected groups, not as pairs, and links are confirmed on full sets of whole texts.  A group
 is dealt over blocks by size of set and hash.  First each block meets by itself and with the group's first; then only
@@ -124,8 +124,9 @@ def ordered_deeply(crowded: DataFrame, docs: DataFrame, words: int, id_col: str,
 def regions(rows: DataFrame, depth: int, crowd: int | None) -> DataFrame:
     """Rows (a, b, key) from rows (key, rep), sorted in ranges: a and b are neighbours in a region.
 
-    With `crowd`, b is null for members of regions of more members and of regions that touch the edge of a task.
-    Without, all neighbours are there, and `key` is given, with b null, once for each piece of such a region.
+    With `crowd`, b is null for members of regions of more members, and for those of regions that touch the edge of a
+    task, whose `key` is given.  Without, all neighbours are there, and `key` is given, with b null, once for each piece
+    of such a region.
     """
     width, crowd_ = 1 + depth, crowd or 1 << 62
 
@@ -141,7 +142,7 @@ def regions(rows: DataFrame, depth: int, crowd: int | None) -> DataFrame:
                 a, b = reps[at[deep]], np.empty(0, np.int64)
                 near = at[~deep]
                 near = near[~np.isin(near, start)]
-                marks: list[bytes | None] = [None] * len(a)
+                marks: list[bytes | None] = [keys[i].tobytes() if e else None for i, e in zip(at[deep].tolist(), np.repeat(edge, size)[deep].tolist(), strict=True)]
             else:
                 a = reps[start[edge]]
                 near = at[~np.isin(at, start)]
@@ -181,8 +182,11 @@ def regions(rows: DataFrame, depth: int, crowd: int | None) -> DataFrame:
 def candidate_links(representatives: DataFrame, docs: DataFrame, words: int, id_col: str, text_col: str) -> DataFrame:
     """Rows (a, b): neighbours in the sorted orders, enough to connect every region at its depth."""
     found = written(regions(ordered(representatives), DEPTH, CROWD).distinct())
-    near = found.where(F.col("b").isNotNull()).select("a", "b")
-    crowded = written(found.where(F.col("b").isNull()).select(F.col("a").alias("rep")))
+    edge = found.where(F.col("key").isNotNull()).select("a", "key")
+    whole = edge.groupBy("key").agg(F.count("*").alias("n"), F.min("a").alias("b"))  # two keys a task at most
+    edge = written(edge.join(F.broadcast(whole), "key").select("a", "b", "n"))
+    near = found.where(F.col("b").isNotNull()).select("a", "b").unionByName(edge.where((F.col("n") <= CROWD) & (F.col("a") != F.col("b"))).select("a", "b"))
+    crowded = written(found.where(F.col("b").isNull() & F.col("key").isNull()).select("a").unionByName(edge.where(F.col("n") > CROWD).select("a")).distinct().withColumnRenamed("a", "rep"))
     if crowded.isEmpty():
         return near
     deep = written(regions(written(ordered_deeply(crowded, docs, words, id_col, text_col)), DEEPER, None).distinct())

@@ -537,3 +537,20 @@ def test_near_duplicates_with_shared_passages_equal_brute_force(spark, monkeypat
     want = brute_components(rows, 2)
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in neardup.components(spark.createDataFrame(rows, "doc_id long, text string"), 2).collect()}
     assert got == want
+
+
+def test_near_duplicates_at_the_edges_of_tasks_are_no_crowd(spark, monkeypatch):
+    r = random.Random(3)
+    rows = []
+    for i in range(40):
+        own = [f"w{r.randint(0, 10**9)}" for _ in range(40)]
+        rows += [(3 * i + k, " ".join([*own, *["x"] * k])) for k in range(3)]
+    want = brute_components(rows, 2)
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    orders = []
+    deeply = neardup.ordered_deeply
+    monkeypatch.setattr(neardup, "ordered_deeply", lambda *a: orders.append(1) or deeply(*a))
+    for crowd in (64, 2):  # regions of three are no crowd, then all are
+        monkeypatch.setattr(neardup, "CROWD", crowd)
+        assert {x["doc_id"]: (x["n_shingles"], x["component_id"]) for x in neardup.components(d, 2).collect()} == want
+        assert len(orders) == (crowd == 2)
