@@ -4,9 +4,9 @@ Baum-Welch: in every round each partition runs scaled forward and backward recur
 and sums expected counts, partial sums are added up in a tree, and the driver gets one small matrix.  Emissions are
 mixed with the unigram shares (by the state's distinct words, at least SHARE), so a word that a state never showed isn't
 ruled out there.  Rounds over all
-training texts go on until the gain of log likelihood a token falls below GAIN, ROUNDS at most; they start from a model
-that one task fits to a bounded sample of texts (WARM_TEXTS, WARM_ROUNDS), which only says where to begin: all counts of
-the final model are gathered from all training texts.
+training texts go on until the gain of log likelihood a token falls below GAIN, ROUNDS at most.  They start from a
+mixture of unigrams, a state for each class of texts, fitted by MIXTURES rounds over all training texts as well (a
+mixture's round is an HMM's whose states never change, and is much cheaper).  Nothing is learnt from a sample.
 
 A text's likelihood is the exact scaled forward recursion over all its tokens.  Texts go in lockstep, in groups whose
 grid (rows times the longest) is bounded; longer ones go by blocks, whose transfer matrices are multiplied in order,
@@ -24,7 +24,7 @@ rows; other columns are ignored.
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from itertools import repeat
 
@@ -46,8 +46,8 @@ ROUNDS = 2
 GAIN = 0.01
 #: Least share of the unigram in each state's emissions.
 SHARE = 0.1
-#: Texts of the sample (about so many, by a hash of the id; those of at most WARM_TOKENS) that the first model is fitted to, and rounds over it.
-WARM_TEXTS, WARM_TOKENS, WARM_ROUNDS = 1500, 8192, 16
+#: Rounds of the mixture of unigrams that training starts from.
+MIXTURES = 3
 #: Distinct words that a task holds before it sends their counts on.
 HELD = 200_000
 #: Partial sums of expected counts meet in so many tasks before the driver adds them.
@@ -315,6 +315,19 @@ def expected_between(rows: list[np.ndarray], first: np.ndarray, tail: np.ndarray
     return gamma[at(0)].sum(0), move * m.move, emit, float(np.log(scale).sum()), entered
 
 
+def mixed(rows: list[np.ndarray], m: Model) -> Counts:
+    """The same if the state of a row's start holds to its end: expected rows and emissions of each state."""
+    size, log_emit = np.array([len(r) for r in rows]), np.log(m.emit.T)
+    flat, first = np.concatenate(rows).astype(np.intp), np.cumsum(size) - size
+    logs = np.stack([np.add.reduceat(x[flat], first) for x in log_emit], 1) + np.log(m.start)  # by state: a long text takes little memory
+    most = logs.max(1, keepdims=True)
+    weight = np.exp(logs - most)
+    total = weight.sum(1, keepdims=True)
+    weight /= total
+    emit = np.stack([np.bincount(flat, np.repeat(w, size), minlength=len(m.emit)) for w in weight.T], 1)
+    return weight.sum(0), np.zeros_like(m.move), emit, float((np.log(total) + most).sum())
+
+
 def grouped(rows: list[np.ndarray]) -> Iterator[tuple[list[int], list[np.ndarray]]]:
     """Numbers and rows of groups of similar lengths, whose grid has at most GRID places; a row of more than LONG tokens alone."""
     part: list[int] = []
@@ -340,32 +353,22 @@ def train(docs: DataFrame, a: Alphabet, states: int = STATES, rounds: int = ROUN
         a = letters.value
         for b in slices(batches, text_col):
             places, _ = encoded(raw_texts(b, text_col), a)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([symbols_of(x, a).astype("<u2").tobytes() for x in places], pa.binary())], ["pick", "symbols"])
+            yield pa.RecordBatch.from_arrays([pa.array([symbols_of(x, a).astype("<u2").tobytes() for x in places], pa.binary())], ["symbols"])
 
     def rows_of(b: pa.RecordBatch) -> list[np.ndarray]:
         return [np.frombuffer(x, "<u2").astype(np.int32) for x in b.column("symbols").to_pylist()]
 
-    def warm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows, m = [r for b in batches for r in rows_of(b)], initial(letters.value, states, seed)
-        for _ in range(WARM_ROUNDS if rows else 0):
-            m = fitted(*expected(rows, m)[:3], base, share)
-        yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in (m.start, m.move, m.emit)], ["start", "move", "emit"])
+    rows = written(docs.select(text_col).mapInArrow(settled(encode), "symbols binary"))
 
-    pick = F.pmod(F.xxhash64(id_col), F.lit(1 << 30)).alias("pick")
-    rows = written(docs.select(pick, text_col).mapInArrow(settled(encode), "pick long, symbols binary"))
-    few = rows.where((F.col("pick") < int((1 << 30) * min(1.0, WARM_TEXTS / max(1, a.ends)))) & (F.octet_length("symbols") <= 2 * WARM_TOKENS)).orderBy("pick", "symbols").select("symbols")
-    first = few.coalesce(1).mapInArrow(settled(warm), "start binary, move binary, emit binary").first()
-    m, history = initial(a, states, seed), []
-    if first:
-        m = Model(np.frombuffer(first["start"]), np.frombuffer(first["move"]).reshape(states, states), np.frombuffer(first["emit"]).reshape(symbols, states))
-    for _ in range(rounds):
+    def summed(m: Model, counts: Callable[[list[np.ndarray], Model], Counts]) -> Counts:
+        """What `counts` gives of all training texts."""
         held = spark.sparkContext.broadcast(m)
 
-        def count(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
+        def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             m = held.value
             total = np.zeros(1 + states + states * states + symbols * states)
             for b in slices(batches, "symbols", 1 << 20):
-                s, v, e, log = expected(rows_of(b), m)
+                s, v, e, log = counts(rows_of(b), m)
                 total += np.concatenate([[log], s, v.ravel(), e.ravel()])
             yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["sums"])
 
@@ -377,11 +380,19 @@ def train(docs: DataFrame, a: Alphabet, states: int = STATES, rounds: int = ROUN
             if total is not None:
                 yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["sums"])
 
-        part = rows.select("symbols").mapInArrow(settled(count), "sums binary").repartition(FAN).mapInArrow(settled(add), "sums binary").collect()
+        part = rows.mapInArrow(settled(count), "sums binary").repartition(FAN).mapInArrow(settled(add), "sums binary").collect()
         total = sum((np.frombuffer(r["sums"]) for r in part), np.zeros(1 + states + states * states + symbols * states))
         held.destroy()
-        history.append(float(total[0]))
-        s, v, e = total[1 : 1 + states], total[1 + states : 1 + states + states**2].reshape(states, states), total[1 + states + states**2 :].reshape(symbols, states)
+        return total[1 : 1 + states], total[1 + states : 1 + states + states**2].reshape(states, states), total[1 + states + states**2 :].reshape(symbols, states), float(total[0])
+
+    m, history = initial(a, states, seed), []
+    for _ in range(MIXTURES):
+        s, _, e, _ = summed(m, mixed)
+        m = Model((s + 1) / (s + 1).sum(), m.move, fitted(s, m.move, e, base, share).emit)
+    m = Model(np.full(states, 1 / states), m.move, m.emit)
+    for _ in range(rounds):
+        s, v, e, log = summed(m, expected)
+        history.append(log)
         m = fitted(s, v, e, base, share)
         if len(history) > 1 and history[-1] - history[-2] < gain * max(1, a.total):
             break

@@ -233,6 +233,25 @@ def test_hmm_beats_the_unigram_on_held_out_rows(spark):
     assert got[0] > got[1]
 
 
+def test_hmm_starts_from_all_training_texts(spark, monkeypatch):
+    """The start equals a mixture of unigrams over every text, of which there are more than a sample of 1,500 held."""
+    r = random.Random(4)
+    texts = [" ".join(r.choice("abcde" if i % 3 else "defgh") for _ in range(r.randint(0, 12))) for i in range(4000)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    a = hmm.alphabet(hmm.counted(docs, "text"), 8)
+    monkeypatch.setattr(hmm, "MIXTURES", 1)
+    got, history = hmm.train(docs, a, states=2, rounds=0)
+    first, starts, emit = hmm.initial(a, 2), np.zeros(2), np.zeros((10, 2))
+    for t in texts:
+        symbols = [*(a.ids[w] for w in t.encode().split()), a.end]
+        p = first.start * np.prod(first.emit[symbols], axis=0)
+        starts += p / p.sum()
+        for x in symbols:
+            emit[x] += p / p.sum()
+    want = hmm.fitted(starts, first.move, emit, hmm.shares(a), hmm.SHARE).emit
+    assert np.allclose(got.emit, want) and history == []
+
+
 def test_hmm_grids_are_bounded():
     rows = [np.zeros(n, np.int32) for n in [45] * 9999 + [20_000, 3000]]
     assert all(len(p) * max(map(len, p)) <= hmm.GRID or len(p) == 1 for _, p in hmm.grouped(rows))
